@@ -6,26 +6,46 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from densegrid.llm import fingerprint, line_dedup, simhash
+from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, pii, quality, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract_pages(_table(spark, sf_dir, "pages"))
+
+
 def op2_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.fingerprint_report(_table(spark, sf_dir, "documents"))
 
 
+def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(_table(spark, sf_dir, "documents"))
+
+
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return line_dedup.dedup_lines(docs)
 
 
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
+def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.mask_documents(_table(spark, sf_dir, "documents"))
+
+
 #: Lines are compared as text, positions by row numbers over the same order.
 OP7_SQL = r"""
 WITH cut AS (SELECT doc_id, text, string_split(text, chr(10)) AS ls FROM documents),
@@ -50,7 +70,7 @@ FROM documents d LEFT JOIN counts c ON d.doc_id = c.doc_id LEFT JOIN left_over k
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_fingerprints, op4_simhash, op7_line_dedup)}
+    return {f.__name__: f for f in (op1_html_extraction, op2_fingerprints, op3_decontamination, op4_simhash, op5_language_id, op7_line_dedup, op8_quality, op9_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
