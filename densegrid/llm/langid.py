@@ -190,21 +190,33 @@ def train(docs: DataFrame, text: str = "text", per_language: int = PER_LANGUAGE)
     return LanguageModel(sample_features(some.limit(2 * per_language * len(counts))))
 
 
-def identify(docs: DataFrame, model: LanguageModel | None = None) -> DataFrame:
-    """(doc_id, held_out, lang_pred, score) for every row; the whole text is read.
+def annotate(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id") -> DataFrame:
+    """``docs`` with held_out, lang_pred and score added (columns of these names are replaced).
 
-    lang_pred is a learned language, or 'und' with score 0 where the text is null
-    or has no letter. A null doc_id is not held out and not learned from. Repeated
-    rows stay; other columns are ignored; no rows give no rows.
+    The whole text is read; all columns pass through the same task, no join.
     """
-    model = model or train(docs)
-    shipped = ship(docs.sparkSession, model)
+    shipped, added = ship(docs.sparkSession, model), ("held_out", "lang_pred", "score")
+    kept = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in added])
+    rows = kept.withColumn("held_out", held_out(F.col(id_col), 5, 0))
+    schema = rows.schema.add("lang_pred", "string").add("score", "double")
+    place = kept.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here = shipped()
         for batch in batches:
-            names, scores = here.predict(column(batch, "text")) if here.languages else ([UNKNOWN] * batch.num_rows, np.zeros(batch.num_rows))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(names, pa.string()), pa.array(scores)], ["doc_id", "held_out", "lang_pred", "score"])
+            texts = batch.column(place).cast(pa.binary()).to_pylist()
+            names, scores = here.predict(texts) if here.languages else ([UNKNOWN] * len(texts), np.zeros(len(texts)))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(names, pa.string()), pa.array(scores)], [*batch.schema.names, "lang_pred", "score"])
+
+    return rows.mapInArrow(run, schema)
+
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id"), 5, 0).alias("held_out"), F.col("text").cast("binary").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+def identify(docs: DataFrame, model: LanguageModel | None = None) -> DataFrame:
+    """(doc_id, held_out, lang_pred, score) for every row; the whole text is read.
+
+    lang_pred is a learned language, or 'und' with score 0 where the text is null
+    or has no letter. A null doc_id is not held out and not learned from. Repeated
+    rows stay; other columns are ignored; no rows give no rows.
+    """
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return annotate(rows, model or train(docs)).select("doc_id", "held_out", "lang_pred", "score")

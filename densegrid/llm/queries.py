@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, pii, quality, simhash
+from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, pii, quality, sentencepiece_codec, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -33,6 +33,10 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(_table(spark, sf_dir, "documents"))
 
 
+def op6_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sentencepiece_codec.encode(_table(spark, sf_dir, "documents"))
+
+
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return line_dedup.dedup_lines(docs)
@@ -70,7 +74,7 @@ FROM documents d LEFT JOIN counts c ON d.doc_id = c.doc_id LEFT JOIN left_over k
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extraction, op2_fingerprints, op3_decontamination, op4_simhash, op5_language_id, op7_line_dedup, op8_quality, op9_pii)}
+    return {f.__name__: f for f in (op1_html_extraction, op2_fingerprints, op3_decontamination, op4_simhash, op5_language_id, op6_sentencepiece, op7_line_dedup, op8_quality, op9_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
