@@ -13,7 +13,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from densegrid.llm._text import column, slices
 from densegrid.plans.shipping import ship
@@ -198,7 +198,7 @@ def annotate(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id") -> D
     shipped, added = ship(docs.sparkSession, model), ("held_out", "lang_pred", "score")
     kept = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in added])
     rows = kept.withColumn("held_out", held_out(F.col(id_col), 5, 0))
-    schema = rows.schema.add("lang_pred", "string").add("score", "double")
+    schema = T.StructType([*rows.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
     place = kept.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
