@@ -97,7 +97,8 @@ def fingerprint_report(docs: DataFrame) -> DataFrame:
     order = successors(ids, "doc_id")
     want = order.select(F.col("next_doc_id").alias("want_id"), F.col("doc_id").alias("for_id"), F.floor(F.col("n") / 2).cast("int").alias("k"))
     want = want.join(order.select(F.col("doc_id").alias("own_id"), "h"), F.col("want_id").eqNullSafe(F.col("own_id"))).drop("own_id")
-    head = base.join(want.hint("merge"), base["doc_id"].eqNullSafe(want["want_id"]), "left").where(F.col("h") == F.xxhash64("text"))
+    head = base.join(want.hint("merge"), base["doc_id"].eqNullSafe(want["want_id"]), "left")
+    head = head.where(F.col("h").bitwiseXOR(F.xxhash64("text")) == 0)  # no join key, so that both joins share one exchange of the texts
     head = head.select("for_id", F.substring("text", F.lit(1), F.col("k")).alias("prefix"), canonical(F.col("text")).alias("canon"))
     head = head.select("for_id", "prefix", digest(F.col("canon")).alias("next_digest")).dropDuplicates(["for_id"])
     rows = base.join(head.hint("merge"), base["doc_id"].eqNullSafe(head["for_id"]), "left")
