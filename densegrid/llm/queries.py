@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, pii, quality, sentencepiece_codec, simhash
+from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, lm_score, pii, quality, sentencepiece_codec, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -50,6 +50,10 @@ def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.mask_documents(_table(spark, sf_dir, "documents"))
 
 
+def op10_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score.score(_table(spark, sf_dir, "documents"))
+
+
 #: Lines are compared as text, positions by row numbers over the same order.
 OP7_SQL = r"""
 WITH cut AS (SELECT doc_id, text, string_split(text, chr(10)) AS ls FROM documents),
@@ -74,7 +78,7 @@ FROM documents d LEFT JOIN counts c ON d.doc_id = c.doc_id LEFT JOIN left_over k
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extraction, op2_fingerprints, op3_decontamination, op4_simhash, op5_language_id, op6_sentencepiece, op7_line_dedup, op8_quality, op9_pii)}
+    return {f.__name__: f for f in (op1_html_extraction, op2_fingerprints, op3_decontamination, op4_simhash, op5_language_id, op6_sentencepiece, op7_line_dedup, op8_quality, op9_pii, op10_lm_score)}
 
 
 def oracle_sql() -> dict[str, str]:
