@@ -4,16 +4,243 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
+
+from densegrid import oracle, workloads as w
+from densegrid.operators import measures, neighbours, profile, relational
+from densegrid.operators.cells import assign_cells, cell_curve, cell_summary, verify_cell_diameter
+from densegrid.operators.components import components
+from densegrid.operators.generator import drift_clusters
+from densegrid.operators.tiles import deal, label_tile, plan_tiles, run_tiles
+from densegrid.functions.geometry import safe_reach
+from densegrid.params import ClusterParams
+from densegrid.plans.engine import cluster
+from densegrid.sources.points import Points, as_points, fold_duplicates, load_table
+from densegrid.sql import register
+from densegrid.streaming import windows
+
+Query = Callable[[SparkSession, str], DataFrame]
+_QUERIES: dict[str, Query] = {}
+_SQL: dict[str, str] = {}
+
+
+def _add(name: str, run: Query, sql: str | None = None) -> None:
+    _QUERIES[name] = run
+    if sql:
+        _SQL[name] = sql
+
+
+def _params(name: str, **changes) -> ClusterParams:
+    eps, min_pts = w.SETTINGS[name]
+    return ClusterParams(eps, min_pts, **changes)
+
+
+def _points(spark: SparkSession, sf_dir: str, name: str) -> Points:
+    return w.FIXTURES[name].points(spark, sf_dir)
+
+
+def _labels(spark: SparkSession, sf_dir: str, name: str, **changes) -> DataFrame:
+    return cluster(_points(spark, sf_dir, name), _params(name, **changes)).labels
+
+
+def _sql(name: str, **k) -> str:
+    return oracle.clusters(w.FIXTURES[name], *w.SETTINGS[name], **k)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    return _labels(spark, sf_dir, "part2d")
+
+
+# Clusters: every method of the comparison, every workload.
+for _fx, _methods in {
+    "part2d": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
+    "events2d": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
+    "noisy3": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference"),
+    "customer2d": ("slab_pruned",), "lattice4": ("slab_pruned", "kdtree_pruned", "bucket_pruned"), "line7": ("slab_pruned", "slab_full"),
+    "emb10": ("slab_pruned", "slab_full"), "emb30": ("slab_pruned",), "emb40": ("slab_pruned", "kdtree_pruned"), "emb54": ("slab_pruned", "slab_full", "kdtree_pruned"),
+    "noisy10": ("slab_pruned", "slab_full"), "noisy15": ("slab_pruned",), "noisy20": ("slab_pruned",), "noisy30": ("slab_pruned",), "noisy40": ("slab_pruned", "slab_full", "kdtree_pruned"),
+}.items():
+    for _m in _methods:
+        _add(f"clusters_{_m}_{_fx}", lambda s, d, fx=_fx, m=_m: _labels(s, d, fx, method=m), _sql(_fx))
+for _fx in ("spread3", "spread10", "spread20", "spread40"):  # whole generated tables; their oracles would take all pairs
+    _add(f"clusters_slab_pruned_{_fx}", lambda s, d, fx=_fx: _labels(s, d, fx))
+_add("clusters_border_nearest_events2d", lambda s, d: _labels(s, d, "events2d", border_rule="nearest_core"), _sql("events2d", border_rule="nearest_core"))
+_add("clusters_border_all_events2d", lambda s, d: _labels(s, d, "events2d", border_rule="all"), _sql("events2d", border_rule="all"))
+_add("clusters_visit_both_events2d", lambda s, d: _labels(s, d, "events2d", visit="both"), _sql("events2d"))
+_add("clusters_nearest_first_events2d", lambda s, d: _labels(s, d, "events2d", order="nearest_first"), _sql("events2d"))
+_add("clusters_densest_first_events2d", lambda s, d: _labels(s, d, "events2d", order="densest_first"), _sql("events2d"))
+_add("clusters_many_tiles_events2d", lambda s, d: _labels(s, d, "events2d", tile_points=1500), _sql("events2d"))
+_add("clusters_approx_events2d", lambda s, d: _labels(s, d, "events2d", method="grid_approx", rho=0.1))
+_add("clusters_brute_part2d", lambda s, d: _labels(s, d, "part2d", method="brute"), _sql("part2d"))
+_add("noise_events2d", lambda s, d: relational.noise_points(_labels(s, d, "events2d")), f"{oracle.labels(w.FIXTURES['events2d'], *w.SETTINGS['events2d'])} SELECT id FROM lbl WHERE cluster_id = -1")
+_add("clusters_toy", lambda s, d: cluster(w.toy(s), ClusterParams(10, 4, border_rule="all")).labels, "SELECT * FROM (VALUES " + ", ".join(f"(CAST({i} AS BIGINT), CAST({c} AS BIGINT), '{r}')" for i, c, r in [*((i, 1, "core") for i in (1, 2, 3, 4)), *((i, 7, "core") for i in (7, 8, 9, 10)), (5, 1, "border"), (6, 1, "border"), (6, 7, "border"), (11, -1, "noise")]) + ") t(id, cluster_id, role)")
+
+
+# Definitions.
+def _base(name: str) -> str:
+    return oracle.base(w.FIXTURES[name], *w.SETTINGS[name])
+
+
+_add("eps_neighbour_counts_events2d", lambda s, d: relational.eps_neighbours(_points(s, d, "events2d"), _params("events2d")).groupBy("id").agg(F.count("*").alias("n")), f"{_base('events2d')} SELECT id, count(*) AS n FROM nb GROUP BY id")
+_add("core_points_part2d", lambda s, d: relational.core_points(_points(s, d, "part2d"), _params("part2d")), f"{_base('part2d')} SELECT id FROM core")
+_add("direct_reach_part2d", lambda s, d: relational.direct_reach(_points(s, d, "part2d"), _params("part2d")), f"{_base('part2d')} SELECT c.id AS core_id, n.nid AS id FROM core c JOIN nb n ON c.id = n.id")
+_add("density_reachable_part2d", lambda s, d: relational.reachable_from(p := _points(s, d, "part2d"), _params("part2d"), relational.core_points(p, _params("part2d")).agg(F.min("id")).first()[0]), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'], border_rule='all')} SELECT id FROM lbl WHERE cluster_id = (SELECT min(id) FROM core)")
+_add("axiom_violations_part2d", lambda s, d: relational.check_axioms(_points(s, d, "part2d"), _labels(s, d, "part2d", border_rule="all"), _params("part2d")), "SELECT CAST('' AS VARCHAR) AS axiom, CAST(0 AS BIGINT) AS id WHERE 1 = 0")
+_add("contrast_kmeans_part2d", lambda s, d: relational.contrast_kmeans(_points(s, d, "part2d"), 10))
+
+# Cells.
+_ev = w.FIXTURES["events2d"]
+
+
+def _flat_cells(cells: DataFrame, dim: int, *more: str) -> DataFrame:
+    return cells.select(*[F.col("cell")[i].alias(f"c{i}") for i in range(dim)], *more)
+
+
+_add("cells_events2d", lambda s, d: _flat_cells(cell_summary(_points(s, d, "events2d"), _params("events2d")), 2, "n"), f"{oracle.cells(_ev, 300)} SELECT c0, c1, n FROM cells")
+_add("cell_boxes_events2d", lambda s, d: _flat_cells(cell_summary(_points(s, d, "events2d"), _params("events2d")), 2).join(_boxes(s, d), ["c0", "c1"]), f"{oracle.cells(_ev, 300)} SELECT c0, c1, min(x0) AS lo0, max(x0) AS hi0, min(x1) AS lo1, max(x1) AS hi1 FROM spot GROUP BY c0, c1")
+_add("cell_ids_events2d", lambda s, d: _flat_cells(cell_summary(_points(s, d, "events2d"), _params("events2d")), 2, "gid"), f"{oracle.cells(_ev, 300)} SELECT c0, c1, row_number() OVER (ORDER BY c0, c1) AS gid FROM cells")
+_add("cell_diameter_events2d", lambda s, d: _flat_cells(verify_cell_diameter(cell_summary(_points(s, d, "events2d"), _params("events2d")), _params("events2d")), 2, "diagonal2"), f"{oracle.cells(_ev, 300)} SELECT c0, c1, (max(x0) - min(x0)) ** 2 AS diagonal2 FROM spot GROUP BY c0, c1 HAVING (max(x0) - min(x0)) * (max(x0) - min(x0)) + (max(x1) - min(x1)) * (max(x1) - min(x1)) > 90000")
+_add("fold_duplicates_lattice4", lambda s, d: fold_duplicates(_points(s, d, "lattice4")).select(*[F.col("coord")[i].alias(f"x{i}") for i in range(4)], "weight", "id"), f"WITH pts AS ({w.FIXTURES['lattice4'].select()}) SELECT x0, x1, x2, x3, count(*) AS weight, min(id) AS id FROM pts GROUP BY x0, x1, x2, x3")
+_add("cell_stats_spread3", lambda s, d: cell_summary(_points(s, d, "spread3"), _params("spread3")).agg(F.count("*").alias("cells"), *[F.count_distinct(F.col("cell")[i]).alias(f"k{i}") for i in range(3)]), f"{oracle.cells(w.FIXTURES['spread3'], 30)} SELECT count(*) AS cells, count(DISTINCT c0) AS k0, count(DISTINCT c1) AS k1, count(DISTINCT c2) AS k2 FROM cells")
+_add("cell_curve_events2d", lambda s, d: cell_curve(_points(s, d, "events2d"), [75, 150, 300, 600, 1200]), " UNION ALL ".join(f"(WITH q{e} AS ({oracle.cells(_ev, e)} SELECT count(*) AS cells FROM cells) SELECT CAST({e} AS DOUBLE) AS eps, cells FROM q{e})" for e in (75, 150, 300, 600, 1200)))
+_add("offset_counts", lambda s, d: measures.offset_counts(s, [1, 2, 3, 4, 5, 6, 7]), "SELECT * FROM (VALUES " + ", ".join(f"(CAST({a} AS INTEGER), CAST({b} AS INTEGER), '{c}', '{e}')" for a, b, c, e in ((1, 1, 3, 2), (2, 2, 25, 20), (3, 2, 125, 116), (4, 2, 625, 608), (5, 3, 16807, 3902), (6, 3, 117649, 28196), (7, 3, 823543, 197066))) + ") t(d, reach, box, reachable)")
+
+
+def _boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cells = cell_summary(_points(spark, sf_dir, "events2d"), _params("events2d"))
+    return cells.select(*[F.col(c)[i].alias(f"{n}{i}") for c, n in (("cell", "c"), ("lo", "lo"), ("hi", "hi")) for i in range(2)])
+
+
+# Neighbour cells: every index, the same pairs.
+def _cell_pairs(spark: SparkSession, sf_dir: str, name: str, find, rule: str = "exact") -> DataFrame:
+    fx, prm = w.FIXTURES[name], _params(name, corner_rule=rule)
+    d = len(fx.features)
+    cells = cell_summary(_points(spark, sf_dir, name), prm)
+    pairs = find(cells, d, prm)
+    for s in "ab":
+        pairs = pairs.join(cells.select(F.col("gid").alias(f"gid_{s}"), *[F.col("cell")[i].alias(f"{s}{i}") for i in range(d)]), f"gid_{s}")
+    return pairs.drop("gid_a", "gid_b")
+
+
+def _tile_pairs(spark: SparkSession, sf_dir: str, name: str, method: str, rule: str = "exact") -> DataFrame:
+    points, prm = _points(spark, sf_dir, name), _params(name, method=method, corner_rule=rule)
+    at, pairs = assign_cells(points, prm), measures.neighbour_pairs(points, prm)
+    for s in "ab":
+        pairs = pairs.join(at.select(F.col("id").alias(s), *[F.col("cell")[i].alias(f"{s}{i}") for i in range(points.dim)]), s)
+    return pairs.drop("a", "b")
+
+
+for _rule in ("exact", "box"):
+    _tail, _q = "" if _rule == "exact" else "_box", oracle.neighbour_cells(w.FIXTURES["part2d"], 150, _rule)
+    _add(f"neighbour_cells_offsets_part2d{_tail}", lambda s, d, r=_rule: _cell_pairs(s, d, "part2d", neighbours.neighbours_by_offsets, r), _q)
+    _add(f"neighbour_cells_slab_sql_part2d{_tail}", lambda s, d, r=_rule: _cell_pairs(s, d, "part2d", neighbours.neighbours_by_slabs_sql, r), _q)
+    _add(f"neighbour_cells_slabs_part2d{_tail}", lambda s, d, r=_rule: _tile_pairs(s, d, "part2d", "slab_pruned", r), _q)
+    _add(f"neighbour_cells_buckets_part2d{_tail}", lambda s, d, r=_rule: _cell_pairs(s, d, "part2d", neighbours.neighbours_by_buckets, r), _q)
+_add("neighbour_cells_kdtree_part2d", lambda s, d: _tile_pairs(s, d, "part2d", "kdtree_pruned"), oracle.neighbour_cells(w.FIXTURES["part2d"], 150))
+_add("neighbour_cells_slabs_events2d", lambda s, d: _tile_pairs(s, d, "events2d", "slab_pruned"), oracle.neighbour_cells(_ev, 300))
+_add("neighbour_cells_buckets_noisy10", lambda s, d: _cell_pairs(s, d, "noisy10", neighbours.neighbours_by_buckets), oracle.neighbour_cells(w.FIXTURES["noisy10"], 80))
+_add("slab_rows_events2d", lambda s, d: neighbours.build_slabs(cell_summary(_points(s, d, "events2d"), _params("events2d"))).groupBy("dim", "pos").agg(F.sum(F.bitmap_count("bits")).alias("popcount")), f"{oracle.cells(_ev, 300)} SELECT CAST(0 AS INTEGER) AS dim, c0 AS pos, count(*) AS popcount FROM cells GROUP BY c0 UNION ALL SELECT 1, c1, count(*) FROM cells GROUP BY c1")
+_add("slab_stats_emb40", lambda s, d: measures.slab_stats(neighbours.build_slabs(cell_summary(_points(s, d, "emb40"), _params("emb40")))).select("dim", "positions"), f"{oracle.cells(w.FIXTURES['emb40'], 8300)} " + " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS dim, count(DISTINCT c{i}) AS positions FROM cells" for i in range(40)))
+_add("index_bytes_emb40", lambda s, d: measures.index_bytes(_points(s, d, "emb40"), _params("emb40"), ["slab_pruned", "kdtree_pruned"]))
+_add("index_bytes_emb54", lambda s, d: measures.index_bytes(_points(s, d, "emb54"), _params("emb54"), ["slab_pruned", "kdtree_pruned"]))
+_add("index_seconds_emb40", lambda s, d: measures.bench_index(_points(s, d, "emb40"), "emb40", _params("emb40"), [8300, 8700, 9200], ["slab_pruned", "kdtree_pruned"]))
+
+
+# Labelling and merging.
+def _core_cells(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    points, prm = _points(spark, sf_dir, name), _params(name)
+    flagged = run_tiles(deal(points.frame, plan_tiles(points, prm), points.dim, prm.eps, safe_reach(points.dim)), label_tile, "id long, coord array<bigint>, core boolean", prm, points.dim, True)
+    return assign_cells(points.with_frame(flagged), prm).groupBy("cell").agg(F.bool_or("core").alias("is_core"))
+
+
+_add("core_cells_events2d", lambda s, d: _flat_cells(_core_cells(s, d, "events2d"), 2, "is_core"), f"{_base('events2d')}, spot AS ({oracle.cells(_ev, 300)} SELECT * FROM spot) SELECT c0, c1, bool_or(id IN (SELECT id FROM core)) AS is_core FROM spot GROUP BY c0, c1")
+_add("core_components_events2d", lambda s, d: _labels(s, d, "events2d").where("role = 'core'").select("id", F.col("cluster_id").alias("root")), f"{_base('events2d')} SELECT id, root FROM lab")
+
+
+def _merge_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, prm = _points(spark, sf_dir, "events2d"), _params("events2d")
+    core = relational.core_points(points, prm)
+    at = assign_cells(points, prm).join(core, "id", "left_semi").select("id", "cell")
+    near = relational.eps_neighbours(points, prm).join(at.toDF("id", "a"), "id").join(at.toDF("nbr_id", "b"), "nbr_id")
+    return near.where("a < b").select(*[F.col(s)[i].alias(f"{s}{i}") for s in "ab" for i in range(2)]).distinct()
+
+
+_add("merge_edges_full_events2d", _merge_edges, f"{_base('events2d')}, spot AS ({oracle.cells(_ev, 300)} SELECT * FROM spot) SELECT DISTINCT a.c0 AS a0, a.c1 AS a1, b.c0 AS b0, b.c1 AS b1 FROM ee JOIN spot a ON ee.id = a.id JOIN spot b ON ee.nid = b.id WHERE (a.c0, a.c1) < (b.c0, b.c1)")
+for _fx in ("spread3", "events2d", "emb54"):
+    _add(f"merge_counts_{_fx}", lambda s, d, fx=_fx: measures.merge_counts(_points(s, d, fx), _params(fx, visit="both", box_prune=False), ["slab_full", "slab_pruned"]))
+_add("merge_ratio_spread3", lambda s, d: measures.merge_ratio(measures.merge_counts(_points(s, d, "spread3"), _params("spread3", visit="both", box_prune=False), ["grid_full", "slab_full", "slab_pruned"]), "grid_full"))
+_add("components_forest6", lambda s, d: components(s.createDataFrame(sorted(w.FOREST6[1]), "a bigint, b bigint")), "SELECT * FROM (VALUES " + ", ".join(f"(CAST({n} AS BIGINT), CAST({r} AS BIGINT))" for n, r in ((1, 1), (2, 1), (3, 1), (4, 4), (5, 4), (6, 4))) + ") t(node, root)")
+
+# Measures.
+_add("partition_equality_events2d", lambda s, d: measures.same_partition(_labels(s, d, "events2d"), _labels(s, d, "events2d", method="grid_full")), "SELECT CAST(0 AS BIGINT) AS id WHERE 1 = 0")
+_add("approx_agreement_events2d", lambda s, d: measures.agreement(_labels(s, d, "events2d", method="grid_approx", rho=0.001), _labels(s, d, "events2d")))
+_add("dataset_stats_part2d", lambda s, d: measures.dataset_stats(_points(s, d, "part2d"), _labels(s, d, "part2d")), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT (SELECT count(*) FROM pts) AS n, CAST(2 AS INTEGER) AS d, count(DISTINCT cluster_id) FILTER (cluster_id >= 0) AS clusters FROM lbl")
+_add("method_seconds_part2d", lambda s, d: measures.bench(_points(s, d, "part2d"), "part2d", _params("part2d"), ["reference", "grid_full", "grid_approx", "slab_full", "slab_pruned"], repeats=1))
+_add("generated_drift10", lambda s, d: drift_clusters(s, 20_000, 10, 10)[0].frame)
+
+# Reports and the relational surface.
+_lbl = f"{oracle.labels(_ev, *w.SETTINGS['events2d'])}"
+
+
+def _labelled_events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    events = load_table(spark, sf_dir, "events").withColumnRenamed("event_id", "id")
+    return events.join(_labels(spark, sf_dir, "events2d"), "id")
+
+
+_add("cluster_profile_part2d", lambda s, d: profile.cluster_profile(_labels(s, d, "part2d"), _points(s, d, "part2d")).select("cluster_id", "size", "core", "border", *[F.col(c)[i].alias(f"{c}{i}") for c in ("sum", "lo", "hi") for i in range(2)]), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT cluster_id, count(*) AS size, count(*) FILTER (role = 'core') AS core, count(*) FILTER (role = 'border') AS border, CAST(sum(x0) AS BIGINT) AS sum0, CAST(sum(x1) AS BIGINT) AS sum1, min(x0) AS lo0, min(x1) AS lo1, max(x0) AS hi0, max(x1) AS hi1 FROM lbl JOIN pts USING (id) GROUP BY cluster_id")
+_add("profile_rollup_events2d", lambda s, d: _labelled_events(s, d).rollup("role", "event_type").agg(F.count("*").alias("n")), f"{_lbl} SELECT role, event_type, count(*) AS n FROM lbl JOIN events ON lbl.id = event_id GROUP BY ROLLUP (role, event_type)")
+_add("profile_cube_events2d", lambda s, d: _labelled_events(s, d).cube("role", "event_type").agg(F.count("*").alias("n"), F.count_distinct("user_id").alias("users")), f"{_lbl} SELECT role, event_type, count(*) AS n, count(DISTINCT user_id) AS users FROM lbl JOIN events ON lbl.id = event_id GROUP BY CUBE (role, event_type)")
+_add("largest_clusters_events2d", lambda s, d: _labels(s, d, "events2d").where("cluster_id >= 0").groupBy("cluster_id").agg(F.count("*").alias("size")).orderBy(F.desc("size"), "cluster_id").limit(10), f"{_lbl} SELECT cluster_id, count(*) AS size FROM lbl WHERE cluster_id >= 0 GROUP BY cluster_id ORDER BY size DESC, cluster_id LIMIT 10")
+_add("cluster_ranks_part2d", lambda s, d: _labels(s, d, "part2d").where("cluster_id >= 0").join(load_table(s, d, "part").select(F.col("p_partkey").alias("id"), "p_size"), "id").select("cluster_id", "id", F.rank().over(Window.partitionBy("cluster_id").orderBy("p_size")).cast("long").alias("rnk"), F.lag("id").over(Window.partitionBy("cluster_id").orderBy("id")).alias("before"), F.count("*").over(Window.partitionBy("cluster_id").orderBy("id").rowsBetween(Window.unboundedPreceding, 0)).alias("so_far")), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT cluster_id, id, rank() OVER (PARTITION BY cluster_id ORDER BY p_size) AS rnk, lag(id) OVER (PARTITION BY cluster_id ORDER BY id) AS before, count(*) OVER (PARTITION BY cluster_id ORDER BY id ROWS UNBOUNDED PRECEDING) AS so_far FROM lbl JOIN part ON id = p_partkey WHERE cluster_id >= 0")
+_add("core_minus_noise_parts", lambda s, d: load_table(s, d, "part").select(F.col("p_partkey").alias("id")).exceptAll(relational.noise_points(_labels(s, d, "part2d"))), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT p_partkey AS id FROM part EXCEPT ALL SELECT id FROM lbl WHERE cluster_id = -1")
+_add("clustered_users_semi", lambda s, d: load_table(s, d, "events").join(_labels(s, d, "events2d").where("role = 'core'").withColumnRenamed("id", "event_id"), "event_id", "left_semi").select("user_id").distinct(), f"{_lbl} SELECT DISTINCT user_id FROM events WHERE event_id IN (SELECT id FROM lbl WHERE role = 'core')")
+_add("noise_share_by_day", lambda s, d: _labelled_events(s, d).groupBy(F.to_date("ts").alias("day")).agg(F.count_if(F.col("role") == "noise").alias("noise"), F.count("*").alias("n")), f"{_lbl} SELECT CAST(ts AS DATE) AS day, count(*) FILTER (role = 'noise') AS noise, count(*) AS n FROM lbl JOIN events ON lbl.id = event_id GROUP BY 1")
+_add("json_feature_clusters", lambda s, d: _labelled_events(s, d).where("role = 'core'").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n")), f"{_lbl} SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM lbl JOIN events ON lbl.id = event_id WHERE role = 'core' GROUP BY 1")
+_add("k_distance_part2d", lambda s, d: profile.k_distance(_points(s, d, "part2d"), 4, 400), f"WITH pts AS ({w.FIXTURES['part2d'].select()}), nb AS (SELECT a.id, {oracle.dist2_sql(2)} AS dist2, row_number() OVER (PARTITION BY a.id ORDER BY {oracle.dist2_sql(2)}, b.id) AS turn FROM pts a JOIN pts b ON {oracle.dist2_sql(2)} <= 160000) SELECT id, dist2 FROM nb WHERE turn = 4")
+_add("suggest_eps_part2d", lambda s, d: profile.suggest_eps(_points(s, d, "part2d"), 4, 400))
+
+
+def _assign(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, prm = _points(spark, sf_dir, "part2d"), _params("part2d")
+    old, new = (points.with_frame(points.frame.where(F.col("id") % 5 == 0 if fresh else F.col("id") % 5 != 0)) for fresh in (False, True))
+    return profile.assign_new(cluster(old, prm).core, new, prm)
+
+
+def _assign_sql() -> str:
+    fx = w.FIXTURES["part2d"]
+    old = w.Fixture(fx.table, fx.id, fx.features, "p_partkey % 5 <> 0")
+    new = w.Fixture(fx.table, fx.id, fx.features, "p_partkey % 5 = 0")
+    return f"{oracle.base(old, 150, 4)}, fresh AS ({new.select()}) SELECT a.id, coalesce(arg_min(l.root, ({oracle.dist2_sql(2)}, l.root)), -1) AS cluster_id FROM fresh a LEFT JOIN (lab l JOIN pts b ON l.id = b.id) ON {oracle.dist2_sql(2)} <= 22500 GROUP BY a.id"
+
+
+_add("assign_new_part2d", _assign, _assign_sql())
+
+
+def _by_type(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register(spark)
+    kinds = load_table(spark, sf_dir, "events").select(F.col("event_id").alias("id"), "event_type")
+    _points(spark, sf_dir, "events2d").frame.join(kinds, "id").createOrReplaceTempView("densegrid_events")
+    return spark.sql("SELECT id, cluster_id, role FROM dense_clusters(TABLE(densegrid_events) PARTITION BY (event_type), 600, 8)")
+
+
+def _by_type_sql() -> str:
+    near = f"{oracle.dist2_sql(2)} <= 360000 AND a.t = b.t"
+    fx = _ev.select().replace(" FROM events", ", event_type AS t FROM events")
+    chain = oracle.labels(_ev, 600, 8)
+    return chain.replace(_ev.select(), fx).replace(f"ON {oracle.dist2_sql(2)} <= 360000", f"ON {near}") + " SELECT id, cluster_id, role FROM lbl"
+
+
+_add("clusters_by_event_type_udtf", _by_type, _by_type_sql())
+
+# Streams.
+_add("stream_window_cell_counts", lambda s, d: windows.drain(windows.window_cell_counts(windows.event_stream(s, d)), "densegrid_windows").withColumn("start", F.date_format("start", "yyyy-MM-dd")), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS start, CAST(floor(round(value * 100) / 5000) AS BIGINT) AS cell, count(*) AS n FROM events GROUP BY 1, 2")
+_add("batch_window_cell_counts", lambda s, d: windows.window_cell_counts(load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))).withColumn("start", F.date_format("start", "yyyy-MM-dd")), _SQL["stream_window_cell_counts"])
+_add("stream_dense_cells", lambda s, d: windows.drain(windows.dense_cells(windows.event_stream(s, d), 50), "densegrid_dense", "append"), "SELECT cell, CAST(50 AS BIGINT) AS n FROM (SELECT CAST(floor(round(value * 100) / 5000) AS BIGINT) AS cell FROM events) GROUP BY cell HAVING count(*) >= 50")
 
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+def queries() -> dict[str, Query]:
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)

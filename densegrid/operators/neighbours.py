@@ -46,7 +46,7 @@ def build_slabs(cells: DataFrame) -> DataFrame:
 def decode_bits(bits: Column, bucket: Column) -> Column:
     """The ids whose bits are set, in SQL functions alone: bytes with bits, then their bits."""
     filled = F.filter(F.transform(F.sequence(F.lit(0), F.lit(BUCKET_BITS // 8 - 1)), lambda i: F.struct(i.alias("i"), F.conv(F.hex(F.substring(bits, i + 1, F.lit(1))), 16, 10).cast("int").alias("v"))), lambda s: s["v"] > 0)
-    each = F.flatten(F.transform(filled, lambda s: F.filter(F.transform(F.sequence(F.lit(0), F.lit(7)), lambda b: F.when(F.shiftright(s["v"], b).bitwiseAND(1) == 1, s["i"] * 8 + b)), lambda x: x.isNotNull())))
+    each = F.flatten(F.transform(filled, lambda s: F.filter(F.transform(F.sequence(F.lit(0), F.lit(7)), lambda b: F.when(F.call_function("shiftright", s["v"], b).bitwiseAND(1) == 1, s["i"] * 8 + b)), lambda x: x.isNotNull())))
     return F.transform(each, lambda p: (bucket - 1) * BUCKET_BITS + p + 1)
 
 
