@@ -2,11 +2,34 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from densegrid.operators.forest import Forest
 from densegrid.plans.lineage import Cut
 
 
+def forest_roots(edges: DataFrame, most: int, a: str = "a", b: str = "b") -> DataFrame:
+    """``components`` through one union-find forest on the driver, if there are at most ``most`` edges.
+
+    A local forest pass has left fewer links than core cells; only their two ids
+    travel. Beyond the bound the distributed rounds take over.
+    """
+    e = edges.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a IS NOT NULL AND b IS NOT NULL")
+    if e.limit(most + 1).count() > most:
+        return components(e)
+    table = e.toArrow()
+    names, at = np.unique(np.concatenate([table.column(c).to_numpy() for c in "ab"]), return_inverse=True)
+    half = len(at) // 2
+    forest = Forest(len(names), "by_min_id")
+    for x, y in zip(at[:half].tolist(), at[half:].tolist(), strict=True):
+        forest.union(x, y)
+    roots = names[np.array(forest.roots(), np.int64)] if len(names) else names
+    out = pa.table({"node": pa.array(names, pa.int64()), "root": pa.array(roots, pa.int64())})
+    return edges.sparkSession.createDataFrame(out)
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """(node, root) for every node of ``edges``: root is its component's smallest node.
 

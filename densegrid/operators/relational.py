@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from densegrid.functions.geometry import box_gap2, dist2, eps2
 from densegrid.operators.cells import cell_summary
-from densegrid.operators.components import components
+from densegrid.operators.components import components, forest_roots
 from densegrid.operators.neighbours import neighbours_by_buckets
 from densegrid.params import ClusterParams
 from densegrid.plans.lineage import cut
@@ -94,7 +94,7 @@ def _result(points: Points, core: DataFrame, links: DataFrame, touch: DataFrame,
     """Components of ``links`` (a, b) over core points, then roles; touch: id, core_id, dist2."""
     from densegrid.plans.engine import ClusterResult, assign_roles
 
-    roots = components(links)
+    roots = forest_roots(links, prm.driver_roots)
     named = cut(core.join(roots, core["id"] == roots["node"], "left").select("id", F.coalesce("root", "id").alias("cluster_id")))
     near = touch.join(named.select(F.col("id").alias("core_id"), "cluster_id"), "core_id").select("id", "cluster_id", "dist2")
     labels = assign_roles(points.frame.select("id"), named, near, prm.border_rule)
@@ -165,7 +165,7 @@ def cluster_buckets(points: Points, prm: ClusterParams, rounds: int = 40):
         checks += n
         hit = now.join(left, "gid_a").join(right, "gid_b").where(dist2(F.col("coord_a"), F.col("coord_b"), points.exact) <= limit).select("a", "b").distinct()
         links = cut(hit if links is None else links.union(hit))
-        found = components(links)
+        found = forest_roots(links, prm.driver_roots)
         roots = cut(core_cells.select(F.col("name").alias("node")).join(found, "node", "left").select("node", F.coalesce("root", "node").alias("root")))
         open_, width = ranked.where(F.col("turn") > width).select("gid_a", "gid_b", "gap2", "a", "b"), width * (2 if turn else 1)
     else:

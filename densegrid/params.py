@@ -26,6 +26,7 @@ class ClusterParams:
     max_offsets: int = 100_000
     tile_points: int = 20_000
     tile_limit: int = 4_000_000
+    driver_roots: int = 2_000_000
 
     def __post_init__(self):
         if not (self.eps > 0 and math.isfinite(self.eps)):

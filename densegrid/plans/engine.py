@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from densegrid.functions.geometry import safe_reach
 from densegrid.operators import relational
-from densegrid.operators.components import components
+from densegrid.operators.components import forest_roots
 from densegrid.operators.tiles import OUT, deal, label_tile, merge_tile, plan_tiles, run_tiles
 from densegrid.params import ClusterParams
 from densegrid.plans.lineage import cut
@@ -49,7 +49,7 @@ def cluster(points: Points, prm: ClusterParams) -> ClusterResult:
             return relational.cluster_buckets(points, prm)
     flagged = cut(run_tiles(dealt, label_tile, f"id long, coord array<{kind}>, core boolean", prm, d, exact))
     found = cut(run_tiles(deal(flagged, plan, d, prm.eps, halo), merge_tile, OUT, prm, d, exact))
-    roots = components(found.where("kind = 'link'").select("a", "b"))
+    roots = forest_roots(found.where("kind = 'link'").select("a", "b"), prm.driver_roots)
     names = found.where("kind = 'name'").select(F.col("a").alias("id"), F.col("b").alias("name"))
     core = names.join(roots, names["name"] == roots["node"], "left").select("id", F.coalesce("root", "name").alias("cluster_id"))
     touch = found.where("kind = 'touch'").join(roots, F.col("b") == F.col("node"), "left").select(F.col("a").alias("id"), F.coalesce("root", "b").alias("cluster_id"), F.col("v").alias("dist2"), F.col("b").alias("name"))
