@@ -175,12 +175,14 @@ def merge_test(tile: Tile, core: np.ndarray):
     return check
 
 
-def visiting(tile: Tile, index, core_cell: np.ndarray):
-    """Core cells near a cell, in the order asked for."""
+def visiting(tile: Tile, index, core_cell: np.ndarray, strict: bool = False):
+    """Core cells near a cell, in the order asked for; ``strict`` leaves out those that only rounding could bring near."""
     size = np.diff(tile.first)
 
     def partners(c: int) -> np.ndarray:
         near = index.neighbours(c)
+        if strict:
+            near = near[gaps2(tile.cells, c, near) < tile.d]
         near = tile.pruned(c, near[core_cell[near]])
         if tile.prm.order == "nearest_first":
             near = near[np.argsort(tile.box_gap2(c, near), kind="stable")]
