@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
 CHUNK = 1 << 20
@@ -13,7 +14,6 @@ _WHITE = np.zeros(256, bool)
 _WHITE[[9, 10, 11, 12, 13, 32]] = True
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _INVERSE = np.uint64(pow(int(_ODD), -1, 1 << 64))
-_POWERS: dict[str, np.ndarray] = {}
 
 
 def of_columns(df: DataFrame, **columns: str) -> DataFrame:
@@ -38,6 +38,20 @@ def slices(texts: list[bytes | None], most: int = CHUNK) -> Iterator[tuple[int,
         yield at, len(texts)
 
 
+def text_slices(batch: pa.RecordBatch, name: str, most: int = CHUNK) -> Iterator[tuple[int, list]]:
+    """First row and texts of ranges of about ``most`` bytes; only one range is held as Python objects."""
+    col = batch.column(batch.schema.get_field_index(name))
+    sizes = np.asarray(pc.fill_null(pc.binary_length(col), 0).to_numpy(zero_copy_only=False), np.int64)
+    at = held = 0
+    for i, n in enumerate(sizes.tolist()):
+        if held and held + n > most:
+            yield at, col.slice(at, i - at).to_pylist()
+            at, held = i, 0
+        held += n
+    if at < len(sizes):
+        yield at, col.slice(at).to_pylist()
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """A bijective scrambling of 64-bit values (the finaliser of a public generator)."""
     h = h ^ (h >> np.uint64(30))
@@ -47,13 +61,26 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if "p" not in _POWERS or len(_POWERS["p"]) < n:
-        for k, base in (("p", _ODD), ("q", _INVERSE)):
-            steps = np.full(max(n, CHUNK + 1), base, np.uint64)
-            steps[0] = 1
-            _POWERS[k] = np.multiply.accumulate(steps)
-    return _POWERS["p"], _POWERS["q"]
+class _Powers:
+    """Powers of the hash base and of its inverse, made where they are needed and never shipped."""
+
+    def __init__(self):
+        self.tables: list[np.ndarray] = []
+
+    def __getstate__(self) -> dict:
+        return {"tables": []}
+
+    def upto(self, n: int) -> list[np.ndarray]:
+        if not self.tables or len(self.tables[0]) < n:
+            self.tables = []
+            for base in (_ODD, _INVERSE):
+                steps = np.full(max(n, CHUNK // 2), base, np.uint64)
+                steps[0] = 1
+                self.tables.append(np.multiply.accumulate(steps))
+        return self.tables
+
+
+_POWERS = _Powers()
 
 
 def word_spans(buf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -73,7 +100,7 @@ def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
         low = int(starts[at])
         to = max(at + 1, int(np.searchsorted(ends, low + CHUNK, "right")))
         high = int(ends[to - 1])
-        p, q = _powers(high - low + 1)
+        p, q = _POWERS.upto(high - low + 1)
         sums = np.zeros(high - low + 1, np.uint64)
         np.cumsum((buf[low:high].astype(np.uint64) + np.uint64(1)) * p[: high - low], out=sums[1:])
         s, e = starts[at:to] - low, ends[at:to] - low

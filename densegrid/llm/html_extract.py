@@ -75,8 +75,8 @@ class Weights:
         self.word = max(0.25, odds[("word", "")])
         self.tags = {t: min(-0.05, o - self.word) for (kind, t), o in odds.items() if kind == "tag"}
         self.other = min(-0.5, sorted(self.tags.values())[len(self.tags) // 2])
-        #: A furniture element's tags, and the words in it, which don't score.
-        self.furniture = 8 * min(self.tags.values())
+        #: What passing a furniture element costs outside an article; the words in it don't score.
+        self.furniture = 2 * min(self.tags.values())
 
     def tag(self, name: str) -> float:
         return self.tags.get(name, self.other)

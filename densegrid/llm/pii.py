@@ -209,11 +209,14 @@ def _at_digit(text: str, at: int, low: int) -> tuple[int, int, str] | None:
     run = head.start() if head else at
     alone = run == at or not text[at - 1].isalnum()
     if alone:
-        at0 = at
-        while at0 > low and text[at0 - 1] in "+(" and at - at0 < 2:
-            at0 -= 1
         for kind, shape in (("ip", _IP), ("date", _DATE), ("ssn", _SSN), ("card", _CARD), ("phone", _PHONE)):
-            m = shape.match(text, at0 if kind == "phone" else at) or (shape.match(text, at) if kind == "phone" else None)
+            m = shape.match(text, at)
+            if kind == "phone":  # it may begin with a plus sign or a bracket
+                for before in (2, 1):
+                    if at - before >= low and not text[at - before : at].strip("+("):
+                        m = shape.match(text, at - before) or m
+                        if m and m.start() < at:
+                            break
             if not m:
                 continue
             d = _digits(m[0])
