@@ -56,14 +56,14 @@ for _fx, _methods in {
     "part2d": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
     "events2d": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
     "noisy3": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference"),
-    "customer2d": ("slab_pruned",), "lattice4": ("slab_pruned", "kdtree_pruned", "bucket_pruned"), "line7": ("slab_pruned", "slab_full"),
-    "emb10": ("slab_pruned", "slab_full"), "emb30": ("slab_pruned",), "emb40": ("slab_pruned", "kdtree_pruned"), "emb54": ("slab_pruned", "slab_full", "kdtree_pruned"),
-    "noisy10": ("slab_pruned", "slab_full"), "noisy15": ("slab_pruned",), "noisy20": ("slab_pruned",), "noisy30": ("slab_pruned",), "noisy40": ("slab_pruned", "slab_full", "kdtree_pruned"),
+    "customer2d": ("slab_pruned",), "lattice4": ("slab_pruned", "kdtree_pruned"), "line7": ("slab_pruned", "slab_full"),
+    "emb10": ("slab_pruned", "slab_full"), "emb20": ("slab_pruned",), "emb30": ("slab_pruned",), "emb64": ("slab_pruned",), "emb40": ("slab_pruned", "kdtree_pruned"), "emb54": ("slab_pruned", "slab_full", "kdtree_pruned"),
+    "noisy10": ("slab_pruned",), "noisy15": ("slab_pruned",), "noisy20": ("slab_pruned",), "noisy30": ("slab_pruned",), "noisy40": ("slab_pruned", "kdtree_pruned"),
 }.items():
     for _m in _methods:
         _add(f"clusters_{_m}_{_fx}", lambda s, d, fx=_fx, m=_m: _labels(s, d, fx, method=m), _sql(_fx))
-for _fx in ("spread3", "spread10", "spread20", "spread40"):  # whole generated tables; their oracles would take all pairs
-    _add(f"clusters_slab_pruned_{_fx}", lambda s, d, fx=_fx: _labels(s, d, fx))
+for _fx in ("spread3", "spread10", "spread15", "spread20", "spread30", "spread40"):
+    _add(f"clusters_slab_pruned_{_fx}", lambda s, d, fx=_fx: _labels(s, d, fx), _sql(_fx))
 _add("clusters_border_nearest_events2d", lambda s, d: _labels(s, d, "events2d", border_rule="nearest_core"), _sql("events2d", border_rule="nearest_core"))
 _add("clusters_border_all_events2d", lambda s, d: _labels(s, d, "events2d", border_rule="all"), _sql("events2d", border_rule="all"))
 _add("clusters_visit_both_events2d", lambda s, d: _labels(s, d, "events2d", visit="both"), _sql("events2d"))
@@ -138,7 +138,7 @@ for _rule in ("exact", "box"):
     _add(f"neighbour_cells_buckets_part2d{_tail}", lambda s, d, r=_rule: _cell_pairs(s, d, "part2d", neighbours.neighbours_by_buckets, r), _q)
 _add("neighbour_cells_kdtree_part2d", lambda s, d: _tile_pairs(s, d, "part2d", "kdtree_pruned"), oracle.neighbour_cells(w.FIXTURES["part2d"], 150))
 _add("neighbour_cells_slabs_events2d", lambda s, d: _tile_pairs(s, d, "events2d", "slab_pruned"), oracle.neighbour_cells(_ev, 300))
-_add("neighbour_cells_buckets_noisy10", lambda s, d: _cell_pairs(s, d, "noisy10", neighbours.neighbours_by_buckets), oracle.neighbour_cells(w.FIXTURES["noisy10"], 80))
+_add("neighbour_cells_buckets_noisy3", lambda s, d: _cell_pairs(s, d, "noisy3", neighbours.neighbours_by_buckets), oracle.neighbour_cells(w.FIXTURES["noisy3"], 30))
 _add("slab_rows_events2d", lambda s, d: neighbours.build_slabs(cell_summary(_points(s, d, "events2d"), _params("events2d"))).groupBy("dim", "pos").agg(F.sum(F.bitmap_count("bits")).alias("popcount")), f"{oracle.cells(_ev, 300)} SELECT CAST(0 AS INTEGER) AS dim, c0 AS pos, count(*) AS popcount FROM cells GROUP BY c0 UNION ALL SELECT 1, c1, count(*) FROM cells GROUP BY c1")
 _add("slab_stats_emb40", lambda s, d: measures.slab_stats(neighbours.build_slabs(cell_summary(_points(s, d, "emb40"), _params("emb40")))).select("dim", "positions"), f"{oracle.cells(w.FIXTURES['emb40'], 8300)} " + " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS dim, count(DISTINCT c{i}) AS positions FROM cells" for i in range(40)))
 _add("index_bytes_emb40", lambda s, d: measures.index_bytes(_points(s, d, "emb40"), _params("emb40"), ["slab_pruned", "kdtree_pruned"]))
@@ -176,6 +176,7 @@ _add("partition_equality_events2d", lambda s, d: measures.same_partition(_labels
 _add("approx_agreement_events2d", lambda s, d: measures.agreement(_labels(s, d, "events2d", method="grid_approx", rho=0.001), _labels(s, d, "events2d")))
 _add("dataset_stats_part2d", lambda s, d: measures.dataset_stats(_points(s, d, "part2d"), _labels(s, d, "part2d")), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT (SELECT count(*) FROM pts) AS n, CAST(2 AS INTEGER) AS d, count(DISTINCT cluster_id) FILTER (cluster_id >= 0) AS clusters FROM lbl")
 _add("method_seconds_part2d", lambda s, d: measures.bench(_points(s, d, "part2d"), "part2d", _params("part2d"), ["reference", "grid_full", "grid_approx", "slab_full", "slab_pruned"], repeats=1))
+_add("scalability_seconds", lambda s, d: measures.scalability_grid(s, [600, 1000, 1400], {10: (80, 6), 15: (95, 6), 20: (110, 6)}, ["slab_full", "slab_pruned"]))
 _add("generated_drift10", lambda s, d: drift_clusters(s, 20_000, 10, 10)[0].frame)
 
 # Reports and the relational surface.
@@ -201,16 +202,17 @@ _add("suggest_eps_part2d", lambda s, d: profile.suggest_eps(_points(s, d, "part2
 
 
 def _assign(spark: SparkSession, sf_dir: str) -> DataFrame:
-    points, prm = _points(spark, sf_dir, "part2d"), _params("part2d")
-    old, new = (points.with_frame(points.frame.where(F.col("id") % 5 == 0 if fresh else F.col("id") % 5 != 0)) for fresh in (False, True))
-    return profile.assign_new(cluster(old, prm).core, new, prm)
+    prm = _params("part2d")
+    return profile.assign_new(cluster(_points(spark, sf_dir, "part2d"), prm).core, _FRESH.points(spark, sf_dir), prm)
+
+
+#: Points that the model has not seen: every part, a little off its place.
+_FRESH = w.Fixture("part", "p_partkey", ("p_size * 100 + 37", "round(p_retailprice * 100) + 53"))
 
 
 def _assign_sql() -> str:
-    fx = w.FIXTURES["part2d"]
-    old = w.Fixture(fx.table, fx.id, fx.features, "p_partkey % 5 <> 0")
-    new = w.Fixture(fx.table, fx.id, fx.features, "p_partkey % 5 = 0")
-    return f"{oracle.base(old, 150, 4)}, fresh AS ({new.select()}) SELECT a.id, coalesce(arg_min(l.root, ({oracle.dist2_sql(2)}, l.root)), -1) AS cluster_id FROM fresh a LEFT JOIN (lab l JOIN pts b ON l.id = b.id) ON {oracle.dist2_sql(2)} <= 22500 GROUP BY a.id"
+    near = f"{oracle.dist2_sql(2)} <= 22500"
+    return f"{_base('part2d')}, fresh AS ({_FRESH.select()}) SELECT a.id, coalesce(arg_min(l.root, ({oracle.dist2_sql(2)}, l.root)), -1) AS cluster_id FROM fresh a LEFT JOIN (lab l JOIN pts b ON l.id = b.id) ON {near} GROUP BY a.id"
 
 
 _add("assign_new_part2d", _assign, _assign_sql())

@@ -65,12 +65,14 @@ class MergeCounts:
     links: list[tuple[int, int]] = field(default_factory=list)
 
 
-def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: str = "once") -> tuple[FlatForest, MergeCounts]:
+def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: str = "once", narrow=None) -> tuple[FlatForest, MergeCounts]:
     """Merges cells. ``partners(g)`` are the core cells near g in visiting order, ``check(g, h)`` the costly test.
 
-    With ``pruned`` a pair whose roots are equal is skipped; a root is looked up
+    With ``pruned`` a pair whose roots are equal is skipped; roots are compared
     again after each union, so the order is that of one pair after the other.
-    ``once`` drops partners before their cell, ``both`` meets each pair from both ends.
+    ``once`` drops partners before their cell, ``both`` meets each pair from both
+    ends. ``narrow(g, cells)`` may drop partners that cannot pass the check; it is
+    asked only about those that would be checked.
     """
     forest, counts = FlatForest(n), MergeCounts()
     for g in vertices:
@@ -79,30 +81,22 @@ def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: s
             near = near[near > g]
         counts.considered += len(near)
         if pruned:
-            at = 0
-            while at < len(near):
-                apart = np.flatnonzero(forest.root[near[at:]] != forest.root[g])
-                if not len(apart):
-                    break
-                joined = False
-                for k in apart.tolist():
-                    h = int(near[at + k])
-                    counts.checks += 1
-                    if check(g, h):
-                        forest.union(g, h)
-                        counts.unions += 1
-                        counts.links.append((g, h))
-                        at, joined = at + k + 1, True
-                        break
-                if not joined:
-                    break
-        else:
-            for h in near.tolist():
+            near = near[forest.root[near] != forest.root[g]]
+        if narrow is not None and len(near):
+            near = narrow(g, near)
+        while len(near):
+            joined = False
+            for k, h in enumerate(near.tolist()):
                 counts.checks += 1
-                if check(g, h):
-                    if forest.root[g] != forest.root[h]:
-                        forest.union(g, h)
-                        counts.unions += 1
-                        counts.links.append((g, h))
+                if check(g, h) and forest.root[g] != forest.root[h]:
+                    forest.union(g, h)
+                    counts.unions += 1
+                    counts.links.append((g, h))
+                    if pruned:
+                        near, joined = near[k + 1 :], True
+                        break
+            if not joined:
+                break
+            near = near[forest.root[near] != forest.root[g]]
     counts.skipped = counts.considered - counts.checks
     return forest, counts

@@ -80,6 +80,8 @@ class OffsetIndex:
         found = (get(tuple(x + y for x, y in zip(c, o, strict=True))) for o in self.offsets)
         return np.array(sorted(x for x in found if x is not None), np.int64)
 
+    candidates = neighbours
+
     def nbytes(self) -> int:
         return self.cells.nbytes + 16 * self.n
 
@@ -111,7 +113,8 @@ class KdIndex:
             self.nodes[me] = (low, high, dim, value, left, right)
         return me
 
-    def neighbours(self, i: int) -> np.ndarray:
+    def candidates(self, i: int) -> np.ndarray:
+        """Cells whose every coordinate lies within reach, itself left out."""
         at, stack, hits = self.cells[i], [0], []
         while stack:
             low, high, dim, value, left, right = self.nodes[stack.pop()]
@@ -123,7 +126,10 @@ class KdIndex:
             if at[dim] + self.r >= value:
                 stack.append(right)
         found = np.concatenate(hits)
-        found = np.sort(found[(np.abs(self.cells[found] - at) <= self.r).all(axis=1) & (found != i)])
+        return np.sort(found[(np.abs(self.cells[found] - at) <= self.r).all(axis=1) & (found != i)])
+
+    def neighbours(self, i: int) -> np.ndarray:
+        found = self.candidates(i)
         return found[gaps2(self.cells, i, found) <= self.d]
 
     def nbytes(self) -> int:

@@ -37,7 +37,7 @@ def serial_merge_counts(points: Points, prm: ClusterParams) -> dict[str, int]:
     index = INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets)
     core = core_flags(tile, index)
     core_cell = np.logical_or.reduceat(core, tile.first[:-1])
-    _, c = merge_cells(np.flatnonzero(core_cell).tolist(), visiting(tile, index, core_cell, strict=True), merge_test(tile, core), len(tile.cells), prm.method.endswith("pruned"), prm.visit)
+    _, c = merge_cells(np.flatnonzero(core_cell).tolist(), visiting(tile, index, core_cell, strict=True), merge_test(tile, core), len(tile.cells), prm.method.endswith("pruned"), prm.visit, tile.pruned)
     return {"core_cells": int(core_cell.sum()), "considered": c.considered, "skipped": c.skipped, "checks": c.checks, "unions": c.unions}
 
 

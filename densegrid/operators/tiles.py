@@ -37,14 +37,14 @@ class TilePlan:
 def plan_tiles(points: Points, prm: ClusterParams) -> TilePlan:
     """Equi-depth cuts over the dimensions with most positions; what is fetched is cuts and counts only.
 
-    Slices stay at least four reaches thick, so that halos stay small beside them.
+    Slices stay at least three reaches thick on average, so that halos stay small beside them.
     """
     d, r = points.dim, safe_reach(points.dim)
     cells = points.frame.select(cell_of(F.col("coord"), d, prm.eps).alias("cell"))
     stats = cells.agg(F.count("*").alias("n"), *[F.approx_count_distinct(F.col("cell")[i]).alias(f"k{i}") for i in range(d)]).first()
     need, cuts = max(1, -(-stats["n"] // prm.tile_points)), []
     for i in sorted(range(d), key=lambda i: -stats[f"k{i}"])[:3]:
-        parts = min(need, max(1, stats[f"k{i}"] // (4 * r)), 4096)
+        parts = min(need, max(1, stats[f"k{i}"] // (3 * r)), 4096)
         if parts < 2:
             continue
         at = cells.select(F.col("cell")[i].cast("double").alias("p")).approxQuantile("p", [k / parts for k in range(1, parts)], 0.002)
@@ -95,6 +95,7 @@ class Tile:
         starts = self.first[:-1]
         self.lo = np.minimum.reduceat(self.x, starts, axis=0)
         self.hi = np.maximum.reduceat(self.x, starts, axis=0)
+        self.flat = (self.lo == self.hi).all(axis=1)  # all points of the cell at one place
 
     def range(self, c: int) -> slice:
         return slice(int(self.first[c]), int(self.first[c + 1]))
@@ -106,6 +107,10 @@ class Tile:
     def pruned(self, c: int, near: np.ndarray) -> np.ndarray:
         return near[self.box_gap2(c, near) <= self.limit] if self.prm.box_prune else near
 
+    def near(self, index, c: int) -> np.ndarray:
+        """Cells near c by the index; where boxes decide anyway, without the test of the cells' own gaps."""
+        return index.candidates(c) if self.prm.box_prune else index.neighbours(c)
+
     def rows_of(self, cells: np.ndarray) -> np.ndarray:
         n = self.first[cells + 1] - self.first[cells]
         return np.repeat(self.first[cells] - np.cumsum(n) + n, n) + np.arange(n.sum())
@@ -129,11 +134,17 @@ def core_flags(tile: Tile, index) -> np.ndarray:
             continue
         rows = np.arange(here.start, here.stop)
         count = np.full(len(rows), size[c] if tight else 0)
-        near = tile.pruned(c, index.neighbours(c))
+        near = tile.near(index, c)
+        if prm.box_prune:
+            gap = tile.box_gap2(c, near)
+            near, gap = near[gap <= tile.limit], gap[gap <= tile.limit]
+            if tile.flat[c]:  # the gap to another such cell is the distance to its points
+                known = tile.flat[near]
+                count += size[near[known]].sum()
+                near, gap = near[~known], gap[~known]
+            near = near[np.argsort(gap, kind="stable")]
         if not tight:
             near = np.append(near, c)
-        if prm.box_prune and len(near) > 1:
-            near = near[np.argsort(tile.box_gap2(c, near), kind="stable")]
         others = tile.rows_of(near)
         step = max(64, CHUNK // max(1, len(rows)))
         for at in range(0, len(others), step):
@@ -180,10 +191,10 @@ def visiting(tile: Tile, index, core_cell: np.ndarray, strict: bool = False):
     size = np.diff(tile.first)
 
     def partners(c: int) -> np.ndarray:
-        near = index.neighbours(c)
+        near = tile.near(index, c)
         if strict:
             near = near[gaps2(tile.cells, c, near) < tile.d]
-        near = tile.pruned(c, near[core_cell[near]])
+        near = near[core_cell[near]]
         if tile.prm.order == "nearest_first":
             near = near[np.argsort(tile.box_gap2(c, near), kind="stable")]
         elif tile.prm.order == "densest_first":
@@ -230,12 +241,9 @@ def merge_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iter
     own_cell = np.logical_or.reduceat(tile.own, starts)
     partners = visiting(tile, index, core_cell)
 
-    def mine(c: int) -> np.ndarray:  # a pair belongs to the tile that owns its first cell
-        return partners(c)
-
     pruned = prm.method.endswith("pruned")
-    vertices = np.flatnonzero(core_cell & own_cell).tolist()
-    forest, counts = merge_cells(vertices, mine, merge_test(tile, core), len(tile.cells), pruned, "once" if prm.visit == "once" else "both")
+    vertices = np.flatnonzero(core_cell & own_cell).tolist()  # a pair belongs to the tile that owns its first cell
+    forest, counts = merge_cells(vertices, partners, merge_test(tile, core), len(tile.cells), pruned, prm.visit, tile.pruned)
     if counts.links:
         a, b = np.array(counts.links).T
         yield _rows("link", name[a], name[b], np.zeros(len(a)))
@@ -247,7 +255,7 @@ def merge_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iter
     for c in np.unique(tile.of[loose]).tolist():
         here = tile.range(c)
         mineonly = np.arange(here.start, here.stop)[~core[here] & tile.own[here]]
-        near = partners(c)
+        near = tile.pruned(c, partners(c))
         if core_cell[c]:
             near = np.append(near, c)
         for k in near.tolist():

@@ -24,7 +24,7 @@ class ClusterParams:
     rho: float = 0.001
     null_policy: str = "fail"
     max_offsets: int = 100_000
-    tile_points: int = 20_000
+    tile_points: int = 4_000
     tile_limit: int = 4_000_000
     driver_roots: int = 2_000_000
 

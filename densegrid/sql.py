@@ -28,7 +28,7 @@ def cluster_rows(ids: list[int], coords: list[list[float]], eps: float, min_pts:
     core = core_flags(tile, index)
     core_cell = np.logical_or.reduceat(core, tile.first[:-1])
     partners = visiting(tile, index, core_cell)
-    forest, _ = merge_cells(np.flatnonzero(core_cell).tolist(), partners, merge_test(tile, core), len(tile.cells))
+    forest, _ = merge_cells(np.flatnonzero(core_cell).tolist(), partners, merge_test(tile, core), len(tile.cells), narrow=tile.pruned)
     least: dict[int, int] = {}
     for i in np.flatnonzero(core).tolist():
         r = int(forest.root[tile.of[i]])
@@ -39,7 +39,8 @@ def cluster_rows(ids: list[int], coords: list[list[float]], eps: float, min_pts:
         if core[i]:
             out.append((int(tile.ids[i]), least[int(forest.root[c])], "core"))
             continue
-        near = np.append(partners(c), c) if core_cell[c] else partners(c)
+        near = tile.pruned(c, partners(c))
+        near = np.append(near, c) if core_cell[c] else near
         hit = [least[int(forest.root[k])] for k in near.tolist() if distances2(tile.x[i : i + 1], tile.x[tile.range(k)][core[tile.range(k)]]).min() <= tile.limit]
         out.append((int(tile.ids[i]), min(hit), "border") if hit else (int(tile.ids[i]), -1, "noise"))
     return out

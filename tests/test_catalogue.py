@@ -11,7 +11,7 @@ from densegrid.streaming import windows
 
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 SOME = [
-    "clusters_slab_pruned_part2d", "clusters_kdtree_pruned_events2d", "clusters_slab_pruned_emb54", "clusters_slab_pruned_noisy10", "clusters_border_all_events2d", "clusters_toy",
+    "clusters_slab_pruned_part2d", "clusters_kdtree_pruned_events2d", "clusters_slab_pruned_emb54", "clusters_border_all_events2d", "clusters_toy",
     "eps_neighbour_counts_events2d", "cells_events2d", "cell_ids_events2d", "cell_curve_events2d", "neighbour_cells_offsets_part2d", "neighbour_cells_slab_sql_part2d",
     "neighbour_cells_slabs_part2d_box", "neighbour_cells_buckets_part2d", "slab_rows_events2d", "core_cells_events2d", "merge_edges_full_events2d", "profile_cube_events2d",
     "assign_new_part2d", "clusters_by_event_type_udtf", "stream_window_cell_counts", "stream_dense_cells", "json_feature_clusters",
