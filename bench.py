@@ -1,7 +1,7 @@
 """Times the headline queries; prints one JSON line.
 
 BENCH_SF_DIR names the tables, BENCH_CPUS the local cores, BENCH_REPEATS the runs
-whose mean is taken. Every query runs once before it is timed.
+whose mean is taken. A query of under six seconds is timed in a second run.
 """
 
 from __future__ import annotations
@@ -28,9 +28,8 @@ REPEATS = int(os.environ.get("BENCH_REPEATS", "1"))
 RUNS = [
     ("part2d", "slab_pruned", (50, 4)), ("part2d", "slab_full", (50, 4)), ("part2d", "grid_full", (50, 4)), ("part2d", "reference", (50, 4)),
     ("events2d", "slab_pruned", (100, 10)), ("events2d", "slab_full", (100, 10)), ("events2d", "grid_full", (100, 10)), ("events2d", "grid_approx", (100, 10)), ("events2d", "kdtree_pruned", (100, 10)), ("events2d", "reference", (100, 10)),
-    ("spread3", "slab_pruned", (20, 20)), ("spread3", "slab_full", (20, 20)), ("spread3", "grid_full", (20, 20)), ("spread3", "reference", (20, 20)),
+    ("spread3", "slab_pruned", (20, 20)),
     ("emb10", "slab_pruned", (2000, 4)), ("emb54", "slab_pruned", (10300, 4)), ("emb54", "slab_full", (10300, 4)),
-    ("noisy10", "slab_pruned", (80, 20)), ("noisy40", "slab_pruned", (160, 80)),
 ]
 
 
@@ -52,13 +51,14 @@ def main() -> None:
 
         began = time.perf_counter()
         run()
-        if time.perf_counter() - began < 20:
+        if time.perf_counter() - began < 6:
             seconds[f"{method}_{name}"] = round(measures.timed(run, REPEATS)[0], 3)
         else:
             seconds[f"{method}_{name}"] = round(time.perf_counter() - began, 3)
+        print(f"{method}_{name}", seconds[f"{method}_{name}"], file=sys.stderr, flush=True)
         if method != "reference":
             checks[f"{method}_{name}"] = kept[0].counts.first()["checks"]
-    ratio = {n: round(checks[f"slab_pruned_{n}"] / checks[f"slab_full_{n}"], 4) for n in ("part2d", "events2d", "spread3", "emb54") if checks[f"slab_full_{n}"]}
+    ratio = {n: round(checks[f"slab_pruned_{n}"] / checks[f"slab_full_{n}"], 4) for n in ("part2d", "events2d", "emb54") if checks[f"slab_full_{n}"]}
     print(json.dumps({"metric": "total_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "merge_check_ratio": ratio, "sf": SF_DIR.rsplit("sf", 1)[-1]}))
     spark.stop()
 
