@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's ``spark.checkpoint.dir``; a local folder only where it is unset."""
+    """The cluster's ``spark.checkpoint.dir``; a local folder only where it is unset and the master local."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = spark.sparkContext.getCheckpointDir() or "file://" + tempfile.mkdtemp(prefix="densegrid-")
         spark.conf.set("spark.densegrid.shared.dir", spark.conf.get("spark.densegrid.shared.dir", found))
         found = spark.conf.get("spark.densegrid.shared.dir")
