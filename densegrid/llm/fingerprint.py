@@ -16,8 +16,8 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from densegrid.plans.lineage import cut
 
-#: Ids that a semi-join may broadcast (16 bytes each); more are joined by a shuffle.
-BROADCAST_IDS = 1_000_000
+#: Ids and digests that a semi-join may broadcast (some 20 MB each); more are joined by a shuffle.
+BROADCAST_IDS, BROADCAST_DIGESTS = 1_000_000, 200_000
 
 
 def _compose(c: Column) -> Column:
@@ -59,8 +59,9 @@ def collision_ranks(texts: DataFrame, prints: DataFrame) -> DataFrame:
     ``texts``: doc_id, text. ``prints``: doc_id, digest. Only documents of digests
     that occur twice are read; copies fold in the partial aggregate.
     """
-    twice = prints.groupBy("digest").agg(F.count("*").alias("_n")).where("_n > 1").select("digest")
-    ids = cut(prints.join(twice, "digest", "left_semi").select("doc_id").distinct())
+    twice = cut(prints.groupBy("digest").agg(F.count("*").alias("_n")).where("_n > 1").select("digest"))
+    few = twice.count() <= BROADCAST_DIGESTS  # then the rows of a huge group needn't meet in one partition
+    ids = cut(prints.join(F.broadcast(twice) if few else twice, "digest", "left_semi").select("doc_id").distinct())
     small = ids.count() <= BROADCAST_IDS
     some = texts.join(F.broadcast(ids) if small else ids, texts["doc_id"].eqNullSafe(ids["doc_id"]), "left_semi")
     groups = some.select(canonical(F.col("text")).alias("canon")).withColumn("digest", digest(F.col("canon"))).groupBy("digest", "canon").agg(F.count("*").alias("_n"))

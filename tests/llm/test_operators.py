@@ -101,8 +101,11 @@ def test_fingerprint_contract(spark, hard, empty, sf):
     assert one["edited_sha256"] == hashlib.sha256(b"abab").hexdigest() and one["near_next"] == 1.0
 
 
-def test_colliding_digests_are_told_apart(spark, monkeypatch):
+@pytest.mark.parametrize("most", [0, 1000])
+def test_colliding_digests_are_told_apart(spark, monkeypatch, most):
     monkeypatch.setattr(fingerprint, "digest", lambda c: F.lit("0" * 32))
+    monkeypatch.setattr(fingerprint, "BROADCAST_IDS", most)
+    monkeypatch.setattr(fingerprint, "BROADCAST_DIGESTS", most)
     df = spark.createDataFrame([(1, "b"), (2, "a"), (3, "B"), (4, "c")], "doc_id bigint, text string")
     for rows in (fingerprint.fingerprints(df), fingerprint.fingerprint_report(df)):
         marks = {r["doc_id"]: r["fingerprint"] for r in rows.collect()}
