@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from densegrid.llm import decontaminate, langid, line_dedup, sentencepiece_codec, simhash
+from densegrid.llm import decontaminate, langid, line_dedup, near_copies, sentencepiece_codec
 from densegrid.plans.lineage import cut
 
 
@@ -26,8 +26,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each near-duplicate group stays."""
-    return _same_columns(simhash.drop_near_duplicates(docs), docs)
+    """The smallest doc_id of each group of texts whose five-word shingles are alike by 0.8 stays."""
+    return _same_columns(near_copies.drop_near_copies(docs), docs)
 
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
