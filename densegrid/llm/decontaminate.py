@@ -19,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from densegrid.llm._text import column, of_columns
+from densegrid.plans.lineage import cut
 from densegrid.plans.shipping import ship
 
 K1, B = 1.2, 0.75
@@ -51,28 +52,37 @@ def question_answer(text: bytes | None) -> tuple[list[bytes], list[bytes]]:
     return q, a
 
 
+def segments(text: bytes | None) -> list[list[bytes]]:
+    """An item's words in even pieces of at most SEGMENT; none of a wordless item."""
+    ws = words(text)
+    parts = max(1, -(-len(ws) // SEGMENT))
+    return [piece for p in range(parts) if (piece := ws[len(ws) * p // parts : len(ws) * (p + 1) // parts])]
+
+
 class ItemIndex:
-    """BM25 over item segments; impacts are shares of the segment's score against itself."""
+    """BM25 over item segments; impacts are shares of the segment's score against itself.
+
+    ``whole`` has the number of segments, their mean length and the segments that
+    each word is in, of the benchmark of which the items are a part.
+    """
 
-    def __init__(self, items: list[tuple[int, bytes]]):
+    def __init__(self, items: list[tuple[int, bytes]], whole: tuple[int, float, dict[bytes, int]] | None = None):
         self.items = [(i, *question_answer(t)) for i, t in items]
         bags, self.owner = [], []
         for k, (_, t) in enumerate(items):
-            ws = words(t)
-            parts = max(1, -(-len(ws) // SEGMENT))
-            for p in range(parts):
-                if piece := ws[len(ws) * p // parts : len(ws) * (p + 1) // parts]:
-                    bags.append(piece)
-                    self.owner.append(k)
-        n, mean = len(bags), sum(map(len, bags)) / max(1, len(bags))
+            for piece in segments(t):
+                bags.append(piece)
+                self.owner.append(k)
+        n = len(bags)
         tf: dict[bytes, dict[int, int]] = defaultdict(dict)
         for s, bag in enumerate(bags):
             for w in bag:
                 tf[w][s] = tf[w].get(s, 0) + 1
+        every, mean, df = whole or (n, sum(map(len, bags)) / max(1, n), {w: len(found) for w, found in tf.items()})
         self.terms = {w: t for t, w in enumerate(sorted(tf))}
         raw = []
         for w in self.terms:
-            idf = np.log(1 + (n - len(tf[w]) + 0.5) / (len(tf[w]) + 0.5))
+            idf = np.log(1 + (every - df[w] + 0.5) / (df[w] + 0.5))
             raw.append([(s, idf * c * (K1 + 1) / (c + K1 * (1 - B + B * len(bags[s]) / mean))) for s, c in sorted(tf[w].items())])
         own = np.zeros(n)
         for post in raw:
@@ -214,12 +224,34 @@ def leaks(text: bytes | None, index: ItemIndex) -> list[tuple[int, float, float,
     return out
 
 
+class Whole:
+    """What all items of a benchmark have in common, counted by aggregates; a part asks for its own words only."""
+
+    def __init__(self, benchmark: DataFrame):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                seen = [(w, n) for t in column(batch, "text") for piece in segments(t) for w, n in [(None, len(piece)), *((w, 0) for w in {*piece})]]
+                yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in seen], pa.binary()), pa.array([n for _, n in seen], pa.int64())], ["w", "n"])
+
+        self.counts = cut(of_columns(benchmark, text="binary").mapInArrow(run, "w binary, n long").groupBy("w").agg(F.count("*").alias("df"), F.sum("n").alias("n")))
+        total = self.counts.where("w IS NULL").first()
+        self.segments, length = (total["df"], total["n"]) if total else (0, 0)
+        self.mean = length / max(1, self.segments)
+
+    def of(self, items: list[tuple[int, bytes]]) -> tuple[int, float, dict[bytes, int]]:
+        own = sorted({w for _, t in items for w in words(t)})
+        asked = self.counts.sparkSession.createDataFrame(pa.table({"w": pa.array(own, pa.binary())}))
+        found = self.counts.join(asked, "w", "left_semi").toLocalIterator()
+        return self.segments, self.mean, {bytes(r["w"]): r["df"] for r in found}
+
+
 def find_leaks(docs: DataFrame, benchmark: DataFrame, items_per_index: int = ITEMS) -> DataFrame:
     """(doc_id, item_id, score, question_overlap, answer_overlap) for every verified pair.
 
     Every passage of every document is searched against every item. The index is
     shipped to the executors only in parts of ``items_per_index`` items; a larger
-    benchmark is searched part by part. Null or wordless texts and items match
+    benchmark is searched part by part, with the word frequencies and lengths of the
+    whole, so that scores don't depend on the parts. Null or wordless texts and items match
     nothing; a null doc_id or item_id is carried along; repeated rows repeat their
     pairs. Items are read to the driver part by part, documents never.
     """
@@ -227,8 +259,13 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, items_per_index: int = ITE
     schema = "doc_id long, item_id long, score double, question_overlap double, answer_overlap double"
     some, out, part = of_columns(docs, doc_id="long", text="binary"), None, []
 
-    def searched(items: list[tuple[int, bytes]]) -> DataFrame:
-        shipped = ship(spark, ItemIndex(items))
+    whole = None
+
+    def searched(items: list[tuple[int, bytes]], last: bool) -> DataFrame:
+        nonlocal whole
+        if whole is None and not (last and out is None):  # a single part is the whole
+            whole = Whole(benchmark)
+        shipped = ship(spark, ItemIndex(items, whole.of(items) if whole else None))
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             index = shipped()
@@ -243,13 +280,13 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, items_per_index: int = ITE
         return some.mapInArrow(run, schema)
 
     for row in of_columns(benchmark, item_id="long", text="binary").toLocalIterator():
-        part.append((row["item_id"], bytes(row["text"] or b"")))
         if len(part) == items_per_index:
-            out = searched(part) if out is None else out.union(searched(part))
+            found = searched(part, last=False)
+            out = found if out is None else out.union(found)
             part = []
-    if part or out is None:
-        out = searched(part) if out is None else out.union(searched(part))
-    return out
+        part.append((row["item_id"], bytes(row["text"] or b"")))
+    found = searched(part, last=True)
+    return found if out is None else out.union(found)
 
 
 def drop_leaking(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
