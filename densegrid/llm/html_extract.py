@@ -20,9 +20,9 @@ from pyspark.sql import DataFrame
 from densegrid.llm._text import column, of_columns
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)|[^<]+|<", re.S)
-_HINT = re.compile(r"(?:\b(?:class|id|role)\s*=\s*)(\"[^\"]*\"|'[^']*'|[^\s>]+)", re.I)
-_HIDDEN = re.compile(r"\bhidden\b(?!\s*=\s*[\"']?until)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.I)
-_SPLIT = re.compile(r"[^a-z]+|(?<=[a-z])(?=[A-Z])")
+_ATTRIBUTE = re.compile(r"([^\s=\"'/>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
+_NO_DISPLAY = re.compile(r"(?:^|;)\s*display\s*:\s*none\b")
+_SPLIT = re.compile(r"[^a-z]+")
 
 # HTML element names by their role in the public standard.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -91,9 +91,19 @@ def _furniture(name: str, attributes: str, inside: list[str]) -> bool:
         return True
     if name in ("html", "body", "article", "main") or not attributes:
         return False
-    if _HIDDEN.search(attributes):
-        return True
-    return any(w in FURNITURE for value in _HINT.findall(attributes) for w in _SPLIT.split(value.lower()))
+    for m in _ATTRIBUTE.finditer(attributes):
+        key, value = m[1].lower(), (m[2] or m[3] or m[4] or "").lower()
+        if key == "hidden" and value != "until-found" or key == "aria-hidden" and value.strip() == "true" or key == "style" and _NO_DISPLAY.search(value):
+            return True
+        if key in ("class", "id", "role") and any(_whole_name(x) for x in value.split()):
+            return True
+    return False
+
+
+def _whole_name(name: str) -> bool:
+    """Whether all parts of a name are furniture: ``cookie-notice`` is, ``has-sidebar`` says something of its page."""
+    parts = [w for w in _SPLIT.split(name) if w]
+    return bool(parts) and all(w in FURNITURE for w in parts)
 
 
 def main_text(page: str | None, weights: Weights) -> str:
