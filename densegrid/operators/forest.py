@@ -56,10 +56,11 @@ class FlatForest:
 
 @dataclass
 class MergeCounts:
-    """Pairs met, pairs skipped since their roots were equal, checks run, unions made."""
+    """Pairs met; of these, skipped since their roots were equal, ruled out by boxes, checked; and unions made."""
 
     considered: int = 0
     skipped: int = 0
+    boxed: int = 0
     checks: int = 0
     unions: int = 0
     links: list[tuple[int, int]] = field(default_factory=list)
@@ -72,7 +73,8 @@ def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: s
     again after each union, so the order is that of one pair after the other.
     ``once`` drops partners before their cell, ``both`` meets each pair from both
     ends. ``narrow(g, cells)`` may drop partners that cannot pass the check; it is
-    asked only about those that would be checked.
+    asked only about those that would be checked. Every pair considered is counted
+    once: as skipped, boxed or checked.
     """
     forest, counts = FlatForest(n), MergeCounts()
     for g in vertices:
@@ -81,11 +83,15 @@ def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: s
             near = near[near > g]
         counts.considered += len(near)
         if pruned:
-            near = near[forest.root[near] != forest.root[g]]
+            apart = near[forest.root[near] != forest.root[g]]
+            counts.skipped += len(near) - len(apart)
+            near = apart
         if narrow is not None and len(near):
-            near = narrow(g, near)
+            left = narrow(g, near)
+            counts.boxed += len(near) - len(left)
+            near = left
         while len(near):
-            joined = False
+            rest = near[:0]
             for k, h in enumerate(near.tolist()):
                 counts.checks += 1
                 if check(g, h) and forest.root[g] != forest.root[h]:
@@ -93,10 +99,8 @@ def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: s
                     counts.unions += 1
                     counts.links.append((g, h))
                     if pruned:
-                        near, joined = near[k + 1 :], True
+                        rest = near[k + 1 :]
                         break
-            if not joined:
-                break
-            near = near[forest.root[near] != forest.root[g]]
-    counts.skipped = counts.considered - counts.checks
+            near = rest[forest.root[rest] != forest.root[g]]
+            counts.skipped += len(rest) - len(near)
     return forest, counts

@@ -18,72 +18,123 @@ def gaps2(cells: np.ndarray, i: int, others: np.ndarray) -> np.ndarray:
     return (g * g).sum(axis=1)
 
 
+def bit_table(column: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The occupied positions of one dimension, each cell's row, and a row of bits, one for each cell, by position."""
+    n = len(column)
+    pos, row = np.unique(column, return_inverse=True)
+    bits = np.zeros((len(pos), (n + 63) // 64 * 8), np.uint8)
+    np.bitwise_or.at(bits, (row, np.arange(n) // 8), (1 << (np.arange(n) % 8)).astype(np.uint8))
+    return pos, row, bits.view(np.uint64)
+
+
 class SlabIndex:
     """One bit table per dimension: a row for each occupied position, a column for each cell.
 
     A query ORs the rows within reach in every dimension and ANDs the results.
-    The OR of a window depends on the position alone, so each is made once.
+    The OR of a window depends on the position alone, so each is made once and the
+    rows themselves are let go. Dimensions whose windows are narrowest come first;
+    those whose tables don't fit into ``budget`` bytes are posting lists: the cells
+    by position, of which a window is a slice.
     """
 
     name = "slab"
 
-    def __init__(self, cells: np.ndarray, **_):
+    def __init__(self, cells: np.ndarray, budget: int = 256 << 20, **_):
         self.cells, (self.n, self.d) = cells, cells.shape
         self.r = safe_reach(self.d)
-        self.words = (self.n + 63) // 64
-        self.positions, self.row, self.tables, self.windows = [], [], [], []
+        wide = []
         for i in range(self.d):
-            pos, row = np.unique(cells[:, i], return_inverse=True)
-            bits = np.zeros((len(pos), self.words * 8), np.uint8)
-            np.bitwise_or.at(bits, (row, np.arange(self.n) // 8), (1 << (np.arange(self.n) % 8)).astype(np.uint8))
-            table = bits.view(np.uint64)
+            pos, n = np.unique(cells[:, i], return_counts=True)
+            before = np.concatenate([[0], np.cumsum(n)])
+            held = before[np.searchsorted(pos, pos + self.r, "right")] - before[np.searchsorted(pos, pos - self.r)]
+            wide.append((int((held * n).sum()), i, len(pos)))
+        self.dims, self.rest, self.row, self.windows = [], [], {}, {}
+        for _, i, positions in sorted(wide):
+            size = positions * ((self.n + 63) // 64) * 8
+            if size > budget:
+                self.rest.append(i)
+                continue
+            budget -= size
+            pos, self.row[i], table = bit_table(cells[:, i])
             low, high = np.searchsorted(pos, pos - self.r), np.searchsorted(pos, pos + self.r, "right")
-            self.positions.append(pos)
-            self.row.append(row)
-            self.tables.append(table)
-            self.windows.append(np.stack([np.bitwise_or.reduce(table[a:b], axis=0) for a, b in zip(low, high, strict=True)]))
-        # the dimension whose windows hold the fewest cells comes first
-        self.order = np.argsort([np.bitwise_count(w).sum() / len(w) for w in self.windows])
+            self.windows[i] = np.stack([np.bitwise_or.reduce(table[a:b], axis=0) for a, b in zip(low, high, strict=True)])
+            self.dims.append(i)
+        if not self.dims:
+            self.posting = np.argsort(cells[:, self.rest[0]], kind="stable")
+            self.posted = cells[self.posting, self.rest[0]]
+
+    def bits(self, i) -> np.ndarray:
+        """The cells within reach of cell ``i`` (or of each of several) by the bit tables, as words."""
+        first, *others = self.dims
+        out = self.windows[first][self.row[first][i]].copy()
+        for k in others:
+            out &= self.windows[k][self.row[k][i]]
+        return out
+
+    def _decode(self, bits: np.ndarray) -> np.ndarray:
+        return np.flatnonzero(np.unpackbits(bits.view(np.uint8), count=self.n, bitorder="little"))
+
+    def _slice(self, low: int, high: int) -> np.ndarray:
+        return np.sort(self.posting[np.searchsorted(self.posted, low - self.r) : np.searchsorted(self.posted, high + self.r, "right")])
 
     def candidates(self, i: int) -> np.ndarray:
         """Cells whose every coordinate lies within reach (the box rule), itself left out."""
-        bits = self.windows[self.order[0]][self.row[self.order[0]][i]].copy()
-        for k in self.order[1:]:
-            bits &= self.windows[k][self.row[k][i]]
-        found = np.flatnonzero(np.unpackbits(bits.view(np.uint8), count=self.n, bitorder="little"))
+        found = self._decode(self.bits(i)) if self.dims else self._slice(self.cells[i, self.rest[0]], self.cells[i, self.rest[0]])
+        for k in self.rest:
+            found = found[np.abs(self.cells[found, k] - self.cells[i, k]) <= self.r]
         return found[found != i]
 
+    def union(self, several: np.ndarray) -> np.ndarray:
+        """At least the cells within reach of any of several cells, those included."""
+        if self.dims:
+            return self._decode(np.bitwise_or.reduce(self.bits(several), axis=0))
+        at = self.cells[several, self.rest[0]]
+        return self._slice(at.min(), at.max())
+
     def neighbours(self, i: int) -> np.ndarray:
         found = self.candidates(i)
         return found[gaps2(self.cells, i, found) <= self.d]
 
     def nbytes(self) -> int:
-        """Of the bit tables alone, as they are described."""
-        return sum(t.nbytes for t in self.tables)
+        """Of all that queries read but the cells' addresses: windows, rows, posting lists."""
+        return sum(x.nbytes for t in (self.windows, self.row) for x in t.values()) + (0 if self.dims else self.posting.nbytes + self.posted.nbytes)
+
+
+def _union(index, several: np.ndarray) -> np.ndarray:
+    return np.unique(np.concatenate([several, *(index.candidates(int(i)) for i in several)]))
 
 
 class OffsetIndex:
-    """A hash of occupied cells, probed at every reachable offset: exponential in the dimension."""
+    """A hash of occupied cells, probed at every reachable offset: exponential in the dimension.
+
+    Where the offsets outnumber ``max_offsets`` every query goes over all occupied
+    cells instead, which finds the same ones.
+    """
 
     name = "offsets"
 
     def __init__(self, cells: np.ndarray, max_offsets: int = 100_000, **_):
         self.cells, (self.n, self.d) = cells, cells.shape
-        if reachable_offset_count(self.d) > max_offsets:
-            raise ValueError(f"{reachable_offset_count(self.d)} neighbour cells in {self.d} dimensions exceed max_offsets={max_offsets}")
-        self.place = {c: i for i, c in enumerate(map(tuple, cells.tolist()))}
-        span = range(-safe_reach(self.d), safe_reach(self.d) + 1)
-        self.offsets = [o for o in product(span, repeat=self.d) if any(o) and sum(max(abs(x) - 1, 0) ** 2 for x in o) <= self.d]
+        self.place, self.offsets = {}, None
+        if reachable_offset_count(self.d) <= max_offsets:
+            self.place = {c: i for i, c in enumerate(map(tuple, cells.tolist()))}
+            span = range(-safe_reach(self.d), safe_reach(self.d) + 1)
+            self.offsets = [o for o in product(span, repeat=self.d) if any(o) and sum(max(abs(x) - 1, 0) ** 2 for x in o) <= self.d]
 
     def neighbours(self, i: int) -> np.ndarray:
+        if self.offsets is None:
+            found = np.flatnonzero(gaps2(self.cells, i, slice(None)) <= self.d)
+            return found[found != i]
         c, get = self.cells[i].tolist(), self.place.get
         found = (get(tuple(x + y for x, y in zip(c, o, strict=True))) for o in self.offsets)
         return np.array(sorted(x for x in found if x is not None), np.int64)
 
     candidates = neighbours
+    union = _union
 
     def nbytes(self) -> int:
-        return self.cells.nbytes + 16 * self.n
+        """Of the hash table, its keys and the offsets; of nothing where the cells are scanned."""
+        return 0 if self.offsets is None else (self.n + len(self.offsets)) * 8 * self.d + 16 * self.n
 
 
 class KdIndex:
@@ -95,13 +146,13 @@ class KdIndex:
     def __init__(self, cells: np.ndarray, **_):
         self.cells, (self.n, self.d) = cells, cells.shape
         self.r = safe_reach(self.d)
-        self.index, self.nodes = np.arange(self.n), []
-        self._build(0, self.n, 0)
-        self.split = np.array([(a, b, c, d, e, f) for a, b, c, d, e, f in self.nodes], np.int64).reshape(-1, 6)
+        self.index, nodes = np.arange(self.n), []
+        self._build(nodes, 0, self.n)
+        self.low, self.high, self.dim, self.value, self.left, self.right = np.array(nodes, np.int64).reshape(-1, 6).T.copy()
 
-    def _build(self, low: int, high: int, depth: int) -> int:
-        me = len(self.nodes)
-        self.nodes.append((low, high, -1, 0, -1, -1))
+    def _build(self, nodes: list, low: int, high: int) -> int:
+        me = len(nodes)
+        nodes.append((low, high, -1, 0, -1, -1))
         if high - low > self.LEAF:
             part = self.cells[self.index[low:high]]
             dim = int((part.max(axis=0) - part.min(axis=0)).argmax())
@@ -109,31 +160,32 @@ class KdIndex:
             self.index[low:high] = self.index[low:high][order]
             mid = (low + high) // 2
             value = int(self.cells[self.index[mid], dim])
-            left, right = self._build(low, mid, depth + 1), self._build(mid, high, depth + 1)
-            self.nodes[me] = (low, high, dim, value, left, right)
+            left = self._build(nodes, low, mid)
+            nodes[me] = (low, high, dim, value, left, self._build(nodes, mid, high))
         return me
 
     def candidates(self, i: int) -> np.ndarray:
-        """Cells whose every coordinate lies within reach, itself left out."""
-        at, stack, hits = self.cells[i], [0], []
-        while stack:
-            low, high, dim, value, left, right = self.nodes[stack.pop()]
-            if dim < 0:
-                hits.append(self.index[low:high])
-                continue
-            if at[dim] - self.r <= value:
-                stack.append(left)
-            if at[dim] + self.r >= value:
-                stack.append(right)
+        """Cells whose every coordinate lies within reach, itself left out; the tree is walked level by level."""
+        at, open_, hits = self.cells[i], np.zeros(1, np.int64), []
+        while len(open_):
+            dim = self.dim[open_]
+            for leaf in open_[dim < 0].tolist():
+                hits.append(self.index[self.low[leaf] : self.high[leaf]])
+            open_, dim = open_[dim >= 0], dim[dim >= 0]
+            value = self.value[open_]
+            open_ = np.concatenate([self.left[open_[at[dim] - self.r <= value]], self.right[open_[at[dim] + self.r >= value]]])
         found = np.concatenate(hits)
         return np.sort(found[(np.abs(self.cells[found] - at) <= self.r).all(axis=1) & (found != i)])
 
+    union = _union
+
     def neighbours(self, i: int) -> np.ndarray:
         found = self.candidates(i)
         return found[gaps2(self.cells, i, found) <= self.d]
 
     def nbytes(self) -> int:
-        return self.split.nbytes + self.index.nbytes + self.cells.nbytes
+        """Of all that queries read but the cells' addresses: nodes and the cells' order."""
+        return self.index.nbytes + sum(x.nbytes for x in (self.low, self.high, self.dim, self.value, self.left, self.right))
 
 
 class RectangleTree:

@@ -10,8 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from densegrid.functions.geometry import box_offset_count, reach, reachable_offset_count, safe_reach
 from densegrid.operators.forest import merge_cells
-from densegrid.operators.indexes import INDEXES
-from densegrid.operators.tiles import OUT, Tile, core_flags, deal, merge_test, neighbour_tile, plan_tiles, run_tiles, visiting
+from densegrid.operators.tiles import OUT, Tile, core_flags, deal, make_index, merge_test, neighbour_tile, plan_tiles, run_tiles, visiting
 from densegrid.params import ClusterParams
 from densegrid.sources.points import Points
 
@@ -34,17 +33,17 @@ def serial_merge_counts(points: Points, prm: ClusterParams) -> dict[str, int]:
     if table.num_rows > SERIAL_LIMIT:
         raise ValueError("too many points for the serial schedule")
     tile = Tile(table, prm, points.dim, points.exact)
-    index = INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets)
+    index = make_index(tile, prm)
     core = core_flags(tile, index)
     core_cell = np.logical_or.reduceat(core, tile.first[:-1])
     _, c = merge_cells(np.flatnonzero(core_cell).tolist(), visiting(tile, index, core_cell, strict=True), merge_test(tile, core), len(tile.cells), prm.method.endswith("pruned"), prm.visit, tile.pruned)
-    return {"core_cells": int(core_cell.sum()), "considered": c.considered, "skipped": c.skipped, "checks": c.checks, "unions": c.unions}
+    return {"core_cells": int(core_cell.sum()), "considered": c.considered, "skipped": c.skipped, "boxed": c.boxed, "checks": c.checks, "unions": c.unions}
 
 
 def merge_counts(points: Points, prm: ClusterParams, methods: list[str]) -> DataFrame:
     """A row of serial merge counts for each method."""
     rows = [(m, *serial_merge_counts(points, prm.with_(method=m)).values()) for m in methods]
-    return points.frame.sparkSession.createDataFrame(rows, "variant string, core_cells bigint, considered bigint, skipped bigint, checks bigint, unions bigint")
+    return points.frame.sparkSession.createDataFrame(rows, "variant string, core_cells bigint, considered bigint, skipped bigint, boxed bigint, checks bigint, unions bigint")
 
 
 def merge_ratio(counts: DataFrame, base: str) -> DataFrame:

@@ -101,8 +101,10 @@ def _result(points: Points, core: DataFrame, links: DataFrame, touch: DataFrame,
     return ClusterResult(labels, named.join(points.frame, "id"), counts)
 
 
-def _four(spark: SparkSession, *n: int) -> DataFrame:
-    return spark.createDataFrame([tuple(int(x) for x in n)], "considered bigint, skipped bigint, checks bigint, unions bigint")
+def _counts_row(spark: SparkSession, *n: int) -> DataFrame:
+    from densegrid.plans.engine import COUNTS
+
+    return spark.createDataFrame([tuple(int(x) for x in n)], ", ".join(f"{c} bigint" for c in COUNTS))
 
 
 def cluster_brute(points: Points, prm: ClusterParams):
@@ -114,7 +116,7 @@ def cluster_brute(points: Points, prm: ClusterParams):
     held = pairs.join(core.select(F.col("id").alias("nbr_id")), "nbr_id", "left_semi")
     links = held.join(core, "id", "left_semi").select(F.col("id").alias("a"), F.col("nbr_id").alias("b"))
     touch = held.join(core, "id", "left_anti").select("id", F.col("nbr_id").alias("core_id"), "dist2")
-    return _result(points, core, links, touch, prm, _four(points.frame.sparkSession, 0, 0, 0, 0))
+    return _result(points, core, links, touch, prm, _counts_row(points.frame.sparkSession, 0, 0, 0, 0, 0, 0))
 
 
 def cluster_buckets(points: Points, prm: ClusterParams, rounds: int = 40):
@@ -176,4 +178,4 @@ def cluster_buckets(points: Points, prm: ClusterParams, rounds: int = 40):
     loose = members.join(core.select("id"), "id", "left_anti").select("id", "coord", "gid")
     touch = loose.join(reach_, "gid").join(core.select(F.col("gid").alias("gid_b"), F.col("id").alias("core_id"), F.col("coord").alias("nbr_coord")), "gid_b")
     touch = touch.withColumn("dist2", dist2(F.col("coord"), F.col("nbr_coord"), points.exact)).where(F.col("dist2") <= limit).select("id", "core_id", "dist2")
-    return _result(points, core.select("id"), links, touch, prm, _four(spark, considered, considered - checks, checks, unions))
+    return _result(points, core.select("id"), links, touch, prm, _counts_row(spark, considered, considered - checks, 0, checks, unions, core_cells.count()))

@@ -9,11 +9,14 @@ every tile that sees it, so the tiles' trees join up as components of their link
 
 from __future__ import annotations
 
+import math
+import time
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
 from densegrid.functions.geometry import cell_of, cell_scale, eps2, safe_reach
@@ -22,7 +25,8 @@ from densegrid.operators.indexes import INDEXES, RectangleTree, gaps2
 from densegrid.params import ClusterParams
 from densegrid.sources.points import Points
 
-CHUNK = 1024
+#: Points of one side, and of the other, whose distances are taken at once.
+BLOCK, CHUNK = 256, 1024
 
 
 @dataclass(frozen=True)
@@ -88,6 +92,7 @@ class Tile:
         self.order = order
         self.x, self.ids, cell = x[order], ids[order], cell[order]
         self.own = table.column("own").to_numpy(zero_copy_only=False).astype(bool)[order]
+        self.weight = np.ones(len(ids), np.int64)
         new = np.concatenate([[True], (cell[1:] != cell[:-1]).any(axis=1)]) if len(cell) else np.zeros(0, bool)
         self.first = np.append(np.flatnonzero(new), len(cell))
         self.cells, self.of = cell[self.first[:-1]], np.cumsum(new) - 1
@@ -95,7 +100,13 @@ class Tile:
         starts = self.first[:-1]
         self.lo = np.minimum.reduceat(self.x, starts, axis=0)
         self.hi = np.maximum.reduceat(self.x, starts, axis=0)
-        self.flat = (self.lo == self.hi).all(axis=1)  # all points of the cell at one place
+        # Distances by products of coordinates around a middle: for whole numbers without any rounding, or not at all.
+        span = (float(self.x.max()) - float(self.x.min())) if self.x.size else 0.0
+        self.products = 4 * d * (span + 1) ** 2 < 2**52
+        if self.products:
+            self.y = self.x.astype(np.float64) - (np.floor(float(self.x.min()) + span / 2) if self.x.size else 0.0)
+            self.norm = (self.y * self.y).sum(axis=1)
+        self.doubt = 0.0 if exact else 1e-9 * (d * (span + 1) ** 2)
 
     def range(self, c: int) -> slice:
         return slice(int(self.first[c]), int(self.first[c + 1]))
@@ -121,71 +132,139 @@ def distances2(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return (diff * diff).sum(axis=2)
 
 
+def within(tile: Tile, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """For rows ``a`` against rows ``b`` whether they lie within eps; what rounding could decide is taken again by differences."""
+    if not tile.products:
+        step = max(1, CHUNK * 64 // max(1, len(b) * tile.d))
+        return np.concatenate([distances2(tile.x[a[k : k + step]], tile.x[b]) <= tile.limit for k in range(0, len(a), step)] or [np.zeros((0, len(b)), bool)])
+    over = tile.y[a] @ tile.y[b].T
+    over *= -2
+    over += tile.norm[a][:, None]
+    over += tile.norm[b][None, :]
+    over -= tile.limit
+    hit = over <= 0
+    if tile.doubt:
+        i, j = np.nonzero(np.abs(over) <= tile.doubt)
+        diff = tile.x[a[i]] - tile.x[b[j]]
+        hit[i, j] = (diff * diff).sum(axis=1) <= tile.limit
+    return hit
+
+
+def counted(tile: Tile, rows: np.ndarray, others: np.ndarray, count: np.ndarray) -> None:
+    """Adds to ``count`` the weight of ``others`` within eps of each of ``rows``; a row that has min_pts is left as it is."""
+    for at in range(0, len(others), CHUNK):
+        open_ = np.flatnonzero(count < tile.prm.min_pts)
+        if not len(open_):
+            return
+        part = others[at : at + CHUNK]
+        count[open_] += within(tile, rows[open_], part) @ tile.weight[part]
+
+
 def core_flags(tile: Tile, index) -> np.ndarray:
-    """For the tile's own points whether they are core; counting stops at min_pts."""
+    """For the tile's own points whether they are core; counting stops at min_pts.
+
+    Dense cells need no distances. The other points go in blocks against all cells
+    that the index finds near any of the block's, the nearest in the sort order first.
+    """
     prm, core = tile.prm, np.zeros(len(tile.ids), bool)
-    size = np.diff(tile.first)
-    diag = ((tile.hi - tile.lo) ** 2).sum(axis=1)
-    for c in np.flatnonzero(np.add.reduceat(tile.own, tile.first[:-1])).tolist():
-        here = tile.range(c)
-        tight = diag[c] <= tile.limit  # all of the cell's points lie within eps of one another
-        if tight and size[c] >= prm.min_pts:
-            core[here] = True
-            continue
-        rows = np.arange(here.start, here.stop)
-        count = np.full(len(rows), size[c] if tight else 0)
-        near = tile.near(index, c)
-        if prm.box_prune:
-            gap = tile.box_gap2(c, near)
-            near, gap = near[gap <= tile.limit], gap[gap <= tile.limit]
-            if tile.flat[c]:  # the gap to another such cell is the distance to its points
-                known = tile.flat[near]
-                count += size[near[known]].sum()
-                near, gap = near[~known], gap[~known]
-            near = near[np.argsort(gap, kind="stable")]
-        if not tight:
-            near = np.append(near, c)
-        others = tile.rows_of(near)
-        step = max(64, CHUNK // max(1, len(rows)))
-        for at in range(0, len(others), step):
-            open_ = np.flatnonzero(count < prm.min_pts)
-            if not len(open_):
-                break
-            count[open_] += (distances2(tile.x[rows[open_]], tile.x[others[at : at + step]]) <= tile.limit).sum(axis=1)
+    size = np.add.reduceat(tile.weight, tile.first[:-1])
+    tight = ((tile.hi - tile.lo) ** 2).sum(axis=1) <= tile.limit  # all of the cell's points lie within eps of one another
+    dense = tight & (size >= prm.min_pts)
+    core[dense[tile.of]] = True
+    open_ = np.flatnonzero(tile.own & ~core)
+    for at in range(0, len(open_), BLOCK):
+        rows = open_[at : at + BLOCK]
+        cells = np.unique(tile.of[rows])
+        others = tile.rows_of(np.union1d(index.union(cells), cells))
+        middle = np.searchsorted(others, rows[len(rows) // 2])
+        others = np.roll(others, CHUNK // 2 - middle)  # the block's own surroundings first
+        count = np.zeros(len(rows), np.int64)
+        counted(tile, rows, others, count)
         core[rows] = count >= prm.min_pts
     return core
 
 
+class SubCells:
+    """The core points of one cell, parted by halving the cell's side level by level: boxes and counts.
+
+    ``level`` halvings leave parts of diagonal eps * rho at most. A part outside the
+    ball of radius eps counts nothing, one inside that of eps * (1 + rho) counts
+    whole, others are looked into; so a count lies between those of the two balls.
+    """
+
+    def __init__(self, p: np.ndarray, eps: float, rho: float):
+        d = p.shape[1]
+        self.wide, self.levels = (eps * (1 + rho)) ** 2, []
+        part, fine = np.zeros(len(p), np.int64), p.astype(np.float64) * (math.sqrt(d) / eps)
+        for level in range(max(0, math.ceil(math.log2(1 / rho))) + 1):
+            if level:
+                address = np.floor(fine * 2.0**level).astype(np.int64)
+                _, first, part = np.unique(np.column_stack([above, address]), axis=0, return_index=True, return_inverse=True)
+                part = part.ravel()
+                parent = above[first]
+            else:
+                parent = np.zeros(1, np.int64)
+            order = np.argsort(part, kind="stable")
+            n = np.bincount(part)
+            starts = np.cumsum(n) - n
+            self.levels.append((np.minimum.reduceat(p[order], starts), np.maximum.reduceat(p[order], starts), n, parent))
+            above = part
+            if len(n) == len(p):
+                break
+
+    def count(self, q: np.ndarray, limit) -> np.ndarray:
+        """For each point of ``q`` an approximate count of points around it."""
+        out = np.zeros(len(q), np.int64)
+        who, part = np.arange(len(q)), np.zeros(len(q), np.int64)
+        for depth, (lo, hi, n, parent) in enumerate(self.levels):
+            if depth:  # on to the parts of what is open
+                first = np.searchsorted(parent, np.arange(len(self.levels[depth - 1][2])))
+                last = np.searchsorted(parent, np.arange(len(self.levels[depth - 1][2])), "right")
+                many = last[part] - first[part]
+                who, part = np.repeat(who, many), np.repeat(first[part] - np.cumsum(many) + many, many) + np.arange(many.sum())
+            gap = np.maximum(np.maximum(lo[part] - q[who], q[who] - hi[part]), 0)
+            far = np.maximum(np.abs(q[who] - lo[part]), np.abs(hi[part] - q[who]))
+            near = (gap * gap).sum(axis=1) <= limit
+            whole = near & ((far * far).sum(axis=1) <= self.wide) if depth + 1 < len(self.levels) else near
+            np.add.at(out, who[whole], n[part[whole]])
+            who, part = who[near & ~whole], part[near & ~whole]
+        return out
+
+
 def merge_test(tile: Tile, core: np.ndarray):
-    """The check whether two cells hold core points within eps; for the approximate method, of representatives."""
-    prm, reps = tile.prm, {}
-    approx = prm.method == "grid_approx"
-    limit = (prm.eps * (1 + prm.rho)) ** 2 if approx else tile.limit
-
-    def points(c: int) -> np.ndarray:
-        if c not in reps:
-            r = tile.range(c)
-            p = tile.x[r][core[r]]
-            if approx and len(p) > 1:  # one core point for each sub-cell of diagonal eps * rho
-                sub = np.floor(p / (prm.eps * prm.rho / np.sqrt(tile.d))).astype(np.int64)
-                p = p[np.unique(sub, axis=0, return_index=True)[1]]
-            reps[c] = p
-        return reps[c]
+    """The check whether two cells hold core points within eps; for the approximate method, by approximate counts."""
+    prm, x, limit = tile.prm, tile.x, tile.limit
+    rows = np.flatnonzero(core)
+    ends = np.concatenate([[0], np.cumsum(np.add.reduceat(core, tile.first[:-1], dtype=np.int64))]).tolist()
+    halved: dict[int, SubCells] = {}
 
     def near(p: np.ndarray, c: int) -> np.ndarray:
-        g = np.maximum(np.maximum(tile.lo[c] - p, p - tile.hi[c]), 0)
+        g = np.maximum(np.maximum(tile.lo[c] - x[p], x[p] - tile.hi[c]), 0)
         return p[(g * g).sum(axis=1) <= limit]
 
     def check(a: int, b: int) -> bool:
-        p, q = near(points(a), b), near(points(b), a)  # only points near the other's box can do
+        p, q = rows[ends[a] : ends[a + 1]], rows[ends[b] : ends[b + 1]]
+        if len(p) == 1 == len(q):
+            diff = x[p[0]] - x[q[0]]
+            return bool((diff * diff).sum() <= limit)
+        p = near(p, b)  # only points near the other's box can do
+        if prm.method == "grid_approx":
+            if b not in halved:
+                halved[b] = SubCells(x[q], prm.eps, prm.rho)
+            return bool(halved[b].count(x[p], limit).any())
+        q = near(q, a)
         if not len(p) or not len(q):
             return False
-        step = max(1, CHUNK // len(q) + 1)
-        return any((distances2(p[at : at + step], q) <= limit).any() for at in range(0, len(p), step))
+        step = max(1, CHUNK * 64 // len(q))
+        return any(within(tile, p[at : at + step], q[k : k + CHUNK * 64]).any() for at in range(0, len(p), step) for k in range(0, len(q), CHUNK * 64))
 
     return check
 
 
+def make_index(tile: Tile, prm: ClusterParams):
+    return INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets, budget=prm.index_bytes)
+
+
 def visiting(tile: Tile, index, core_cell: np.ndarray, strict: bool = False):
     """Core cells near a cell, in the order asked for; ``strict`` leaves out those that only rounding could bring near."""
     size = np.diff(tile.first)
@@ -220,7 +299,7 @@ def label_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iter
         for i in np.flatnonzero(tile.own).tolist():
             core[i] = len(tree.within(tile.x[i], tile.limit)[0]) >= prm.min_pts
     else:
-        core = core_flags(tile, INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets))
+        core = core_flags(tile, make_index(tile, prm))
     own = np.flatnonzero(tile.own)
     back = table.take(pa.array(tile.order[own]))
     yield pa.RecordBatch.from_arrays([back.column("id").combine_chunks(), back.column("coord").combine_chunks(), pa.array(core[own])], ["id", "coord", "core"])
@@ -234,46 +313,67 @@ def merge_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iter
     if prm.method == "reference":
         yield from _merge_points(tile, core)
         return
-    index = INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets)
+    steps, began = [], time.perf_counter()
+    index = make_index(tile, prm)
     starts = tile.first[:-1]
     core_cell = np.logical_or.reduceat(core, starts)
     name = np.minimum.reduceat(np.where(core, tile.ids, np.iinfo(np.int64).max), starts)
     own_cell = np.logical_or.reduceat(tile.own, starts)
-    partners = visiting(tile, index, core_cell)
+    partners = visiting(tile, index, core_cell, strict=prm.strict)
 
     pruned = prm.method.endswith("pruned")
     vertices = np.flatnonzero(core_cell & own_cell).tolist()  # a pair belongs to the tile that owns its first cell
+    began = _step(steps, began)
     forest, counts = merge_cells(vertices, partners, merge_test(tile, core), len(tile.cells), pruned, prm.visit, tile.pruned)
     if counts.links:
         a, b = np.array(counts.links).T
         yield _rows("link", name[a], name[b], np.zeros(len(a)))
     own_core = np.flatnonzero(core & tile.own)
     yield _rows("name", tile.ids[own_core], name[tile.of[own_core]], np.zeros(len(own_core)))
-    yield _rows("counts", [0, 1, 2, 3], [counts.considered, counts.skipped, counts.checks, counts.unions], np.zeros(4))
-    rows = [[], [], []]
+    yield _rows("counts", range(5), [counts.considered, counts.skipped, counts.boxed, counts.checks, counts.unions], np.zeros(5))
+    yield _rows("counts", [5], [np.count_nonzero(core_cell & own_cell)], [0.0])
+    began = _step(steps, began)
+    for batch in touches(tile, index, core, core_cell):
+        a, at, v = batch
+        yield _rows("touch", tile.ids[a], name[at], v)
+    _step(steps, began)
+    yield _rows("seconds", range(3), np.zeros(3), steps)
+
+
+def _step(steps: list[float], began: float) -> float:
+    now = time.perf_counter()
+    steps.append(now - began)
+    return now
+
+
+def touches(tile: Tile, index, core: np.ndarray, core_cell: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Own points that are not core, core cells that they touch, and the least squared distance to each."""
     loose = np.flatnonzero(~core & tile.own)
-    for c in np.unique(tile.of[loose]).tolist():
-        here = tile.range(c)
-        mineonly = np.arange(here.start, here.stop)[~core[here] & tile.own[here]]
-        near = tile.pruned(c, partners(c))
-        if core_cell[c]:
-            near = np.append(near, c)
-        for k in near.tolist():
-            r = tile.range(k)
-            dd = distances2(tile.x[mineonly], tile.x[r][core[r]]).min(axis=1)
-            hit = np.flatnonzero(dd <= tile.limit)
-            rows[0] += tile.ids[mineonly[hit]].tolist()
-            rows[1] += [int(name[k])] * len(hit)
-            rows[2] += dd[hit].tolist()
-    if rows[0]:
-        yield _rows("touch", *rows)
+    for at in range(0, len(loose), BLOCK):
+        mine = loose[at : at + BLOCK]
+        cells = np.unique(tile.of[mine])
+        near = np.union1d(index.union(cells), cells)
+        rows = tile.rows_of(near[core_cell[near]])
+        rows = rows[core[rows]]
+        found = []
+        for k in range(0, len(rows), CHUNK):
+            i, j = np.nonzero(within(tile, mine, rows[k : k + CHUNK]))
+            diff = tile.x[mine[i]] - tile.x[rows[k + j]]
+            found.append((i, tile.of[rows[k + j]], (diff * diff).sum(axis=1)))
+        if not found:
+            continue
+        i, c, v = (np.concatenate(z) for z in zip(*found, strict=True))
+        order = np.lexsort((v, c, i))
+        i, c, v = i[order], c[order], v[order]
+        first = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (c[1:] != c[:-1])])) if len(i) else i
+        yield mine[i[first]], c[first], v[first]
 
 
 def _merge_points(tile: Tile, core: np.ndarray) -> Iterator[pa.RecordBatch]:
     """The per-point method: a range query for every own point; core points link to what they reach."""
     at = np.flatnonzero(core)
     if not len(at):
-        yield _rows("counts", [0, 1, 2, 3], [0, 0, 0, 0], np.zeros(4))
+        yield _rows("counts", range(6), np.zeros(6), np.zeros(6))
         return
     tree, place = RectangleTree(tile.x[at]), {}
     parent = list(range(len(at)))
@@ -302,15 +402,16 @@ def _merge_points(tile: Tile, core: np.ndarray) -> Iterator[pa.RecordBatch]:
         yield _rows("link", *zip(*links, strict=True), np.zeros(len(links)))
     own_core = tile.ids[core & tile.own]
     yield _rows("name", own_core, own_core, np.zeros(len(own_core)))
-    yield _rows("counts", [0, 1, 2, 3], [met, 0, met, len(links)], np.zeros(4))
+    yield _rows("counts", range(6), [met, 0, 0, met, len(links), len(own_core)], np.zeros(6))
     if touch:
         yield _rows("touch", *zip(*touch, strict=True))
 
 
 def neighbour_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iterator[pa.RecordBatch]:
-    """Rows: pair (the smallest ids of two neighbouring cells, both ways), bytes (index size)."""
+    """Rows: pair (the smallest ids of two neighbouring cells, both ways), bytes (index size; seconds of build and queries)."""
     tile = Tile(table, prm, d, exact)
-    index = INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets)
+    began = time.perf_counter()
+    index = make_index(tile, prm)
     name, own = tile.ids[tile.first[:-1]], np.logical_or.reduceat(tile.own, tile.first[:-1])
     box = prm.corner_rule == "box"
     a, b = [], []
@@ -324,14 +425,14 @@ def neighbour_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) ->
         b += name[near].tolist()
     if a:
         yield _rows("pair", a, b, np.zeros(len(a)))
-    yield _rows("bytes", [0], [index.nbytes()], [0.0])
+    yield _rows("bytes", [0], [index.nbytes()], [time.perf_counter() - began])
 
 
 def run_tiles(dealt: DataFrame, kernel, schema: str, prm: ClusterParams, d: int, exact: bool) -> DataFrame:
     """``kernel`` over every tile that owns a point."""
 
     def run(table: pa.Table) -> pa.Table:
-        batches = list(kernel(table, prm, d, exact)) if table.num_rows and any(table.column("own").to_pylist()) else []
+        batches = list(kernel(table, prm, d, exact)) if table.num_rows and pc.any(table.column("own")).as_py() else []
         return pa.Table.from_batches(batches, batches[0].schema) if batches else empty
 
     from pyspark.sql.pandas.types import to_arrow_schema

@@ -11,7 +11,13 @@ BORDER_RULES = ("min_cluster", "nearest_core", "all")
 
 @dataclass(frozen=True)
 class ClusterParams:
-    """eps: radius of the closed ball; min_pts: its least population, the point itself included."""
+    """eps: radius of the closed ball; min_pts: its least population, the point itself included.
+
+    strict: pairs of cells that only rounding could bring within eps are not met, so
+    that pairs count as the definition says. index_bytes: memory for bit tables in a
+    tile. tile_points: how many own points a tile should have; tile_limit: beyond how
+    many, halo included, it is dealt to several tasks.
+    """
 
     eps: float
     min_pts: int
@@ -24,6 +30,8 @@ class ClusterParams:
     rho: float = 0.001
     null_policy: str = "fail"
     max_offsets: int = 100_000
+    strict: bool = False
+    index_bytes: int = 256 << 20
     tile_points: int = 4_000
     tile_limit: int = 4_000_000
     driver_roots: int = 2_000_000

@@ -73,6 +73,9 @@ def _labels(df: DataFrame) -> DataFrame:
     return df.select(F.col("id").cast("long").alias("id"), F.col("cluster_id").cast("long").alias("cluster_id"), "role")
 
 
+COUNTS = ("considered", "skipped", "boxed", "checks", "unions", "core_cells")
+
+
 def _counts(found: DataFrame) -> DataFrame:
-    n = lambda k: F.coalesce(F.sum(F.when(F.col("a") == k, F.col("b"))), F.lit(0)).alias(("considered", "skipped", "checks", "unions")[k])
-    return found.where("kind = 'counts'").agg(*[n(k) for k in range(4)])
+    n = [F.coalesce(F.sum(F.when(F.col("a") == k, F.col("b"))), F.lit(0)).alias(c) for k, c in enumerate(COUNTS)]
+    return found.where("kind = 'counts'").agg(*n)

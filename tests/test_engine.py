@@ -143,6 +143,65 @@ def test_approximate_is_between(spark, rho):
         assert approx == low
 
 
+def test_approximate_cells_with_near_points_merge(spark):
+    """Representatives on both sides would be up to eps * rho off each, and these would stay apart."""
+    p = Points(spark.createDataFrame([(i, [x]) for i, x in enumerate((6.0, 8.9, 19.9, 18.1))], "id bigint, coord array<double>"), 1, False)
+    for method in ("slab_pruned", "grid_approx"):
+        assert found(cluster(p, ClusterParams(10, 2, method=method, rho=0.3))) == [(i, 0, "core") for i in range(4)]
+
+
+def sandwiched(x, eps, min_pts, rho, labels):
+    d2 = ((x[:, None] - x[None]) ** 2).sum(axis=2)
+    core = (d2 <= eps * eps).sum(axis=1) >= min_pts
+    got = {i: c for i, c, r in labels if r == "core"}
+    assert got.keys() == {*np.flatnonzero(core).tolist()}
+    wide = np.arange(len(x))
+    for _ in range(len(x)):
+        wide = np.array([wide[(d2[i] <= (eps * (1 + rho)) ** 2) & core].min() if core[i] else -1 for i in range(len(x))])
+    for i in got:
+        for j in got:
+            assert d2[i, j] > eps * eps or got[i] == got[j]
+            assert got[i] != got[j] or wide[i] == wide[j]
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_approximate_random_layouts(seed):
+    """Both bounds for many small layouts, by the kernels in one process."""
+    import pyarrow as pa
+
+    from densegrid.operators.tiles import label_tile, merge_tile
+
+    rng = np.random.default_rng(seed)
+    for _ in range(60):
+        d, n, rho = int(rng.integers(1, 4)), int(rng.integers(4, 30)), float(rng.uniform(0.05, 0.5))
+        x = rng.uniform(0, 12 * d**0.5, (n, d)).round(1)
+        prm = ClusterParams(5.0, int(rng.integers(1, 4)), method="grid_approx", rho=rho)
+        rows = pa.table({"id": pa.array(range(n), pa.int64()), "coord": pa.array(x.tolist(), pa.list_(pa.float64())), "own": pa.array([True] * n)})
+        flagged = pa.Table.from_batches(list(label_tile(rows, prm, d, False))).append_column("own", pa.array([True] * n))
+        out = pa.Table.from_batches([b for b in merge_tile(flagged, prm, d, False)]).to_pylist()
+        label = {r["a"]: r["b"] for r in out if r["kind"] == "name"}
+        for _ in range(n):
+            for r in out:
+                if r["kind"] == "link":
+                    low = min(label[i] for i in label if label[i] in (label[r["a"]], label[r["b"]]))
+                    old = {label[r["a"]], label[r["b"]]}
+                    label = {i: low if c in old else c for i, c in label.items()}
+        sandwiched(x, 5.0, prm.min_pts, rho, [(i, c, "core") for i, c in label.items()])
+
+
+def test_approximate_counts_lie_between():
+    from densegrid.operators.tiles import SubCells
+
+    rng = np.random.default_rng(6)
+    for d in (1, 2, 3, 5):
+        for rho in (0.01, 0.2, 0.5):
+            p = rng.uniform(0, 10 / d**0.5, (60, d))
+            q = rng.uniform(-15, 15, (200, d))
+            got = SubCells(p, 10.0, rho).count(q, 100.0)
+            d2 = ((q[:, None] - p[None]) ** 2).sum(axis=2)
+            assert ((d2 <= 100).sum(axis=1) <= got).all() and (got <= (d2 <= (10 * (1 + rho)) ** 2 + 1e-9).sum(axis=1)).all()
+
+
 def test_components(spark):
     edges = [(1, 2), (2, 3), (10, 11), (7, 7), (3, 30), (None, 4)] + [(100 + i, 101 + i) for i in range(40)]
     df = spark.createDataFrame(edges, "a bigint, b bigint")

@@ -2,7 +2,7 @@ import numpy as np
 import pytest
 
 from densegrid.operators.forest import Forest, merge_cells
-from densegrid.operators.indexes import KdIndex, OffsetIndex, RectangleTree, SlabIndex, gaps2
+from densegrid.operators.indexes import KdIndex, OffsetIndex, RectangleTree, SlabIndex, bit_table, gaps2
 from densegrid.workloads import CELLS9, FOREST6
 
 
@@ -33,8 +33,8 @@ def test_high_dimensions(d):
 
 def test_bit_tables():
     c = cells(3, 300, 9)
-    slab = SlabIndex(c)
-    for i, t in enumerate(slab.tables):
+    for i in range(3):
+        _, _, t = bit_table(c[:, i])
         assert len(t) == len(np.unique(c[:, i]))
         assert np.bitwise_count(t).sum() == len(c)  # every cell sets one bit in each dimension
 
@@ -45,7 +45,7 @@ def test_worked_layout():
     slab = SlabIndex(c)
     box = {n: {names[j] for j in slab.candidates(i) if (np.abs(c[j] - c[i]) <= 2).all()} for i, n in enumerate(names)}
     exact = {n: {names[j] for j in range(9) if j != i and gaps2(c, i, np.array([j]))[0] < 2} for i, n in enumerate(names)}
-    assert [len(t) for t in slab.tables] == [6, 3]
+    assert [len(bit_table(c[:, i])[0]) for i in range(2)] == [6, 3]
     assert box["a"] == set("bcd") and box["d"] == set("abcefgi") and box["f"] == set("cdeghi") and box["g"] == set("cdefhi")
     assert exact["a"] == set("bcd") and exact["d"] == set("abcefgi") and exact["f"] == set("cdeghi") and exact["g"] == set("defi")
 
@@ -57,9 +57,34 @@ def test_gaps_between_positions():
     assert slab.neighbours(5).tolist() == []
 
 
-def test_offsets_refuse_high_dimensions():
-    with pytest.raises(ValueError, match="max_offsets"):
-        OffsetIndex(cells(7, 10, 1))
+@pytest.mark.parametrize("budget", [0, 2000, 1 << 20])
+def test_byte_budget_changes_nothing(budget):
+    c = cells(5, 300, 4, spread=9)
+    slab, tree = SlabIndex(c, budget=budget), KdIndex(c)
+    assert (len(slab.dims) == 0) == (budget == 0) and (len(slab.dims) == 5) == (budget == 1 << 20)
+    assert sum(w.nbytes for w in slab.windows.values()) <= budget
+    for i in range(len(c)):
+        assert slab.candidates(i).tolist() == tree.candidates(i).tolist()
+    some = np.arange(3, 40, 5)
+    assert {*np.concatenate([tree.candidates(int(i)) for i in some]).tolist(), *some.tolist()} <= {*slab.union(some).tolist()}
+
+
+def test_index_bytes_count_what_queries_read():
+    c = cells(3, 300, 9)
+    slab, tree = SlabIndex(c), KdIndex(c)
+    assert slab.nbytes() == sum(x.nbytes for t in (slab.windows, slab.row) for x in t.values())
+    tree.left[:] = tree.right[:] = 0  # the arrays that are counted are those that are searched
+    tree.dim[:] = -1
+    tree.high[0] = 5
+    assert len(tree.candidates(int(tree.index[0]))) <= 4
+
+
+def test_offsets_beyond_the_bound_scan_the_cells():
+    c = cells(7, 150, 1, spread=4)
+    scan, tree = OffsetIndex(c), KdIndex(c)
+    assert scan.offsets is None
+    for i in range(len(c)):
+        assert scan.neighbours(i).tolist() == tree.neighbours(i).tolist()
 
 
 def test_rectangle_tree():
@@ -107,6 +132,7 @@ def test_checks_are_counted():
     assert c_once.checks <= c_both.checks <= c_full.checks
     assert c_full.unions == c_both.unions == c_once.unions == n - len(set(full.root.tolist()))
     for c in (c_full, c_both, c_once):
-        assert c.considered == c.skipped + c.checks and c.checks >= c.unions
+        assert c.considered == c.skipped + c.boxed + c.checks and c.checks >= c.unions
+    assert c_full.skipped == c_full.boxed == 0
     same = lambda r: [r.tolist().index(x) for x in r.tolist()]
     assert same(full.root) == same(both.root) == same(once.root)
