@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
@@ -56,9 +57,10 @@ for _fx, _methods in {
     "part2d": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
     "events2d": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
     "noisy3": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference"),
-    "customer2d": ("slab_pruned",), "lattice4": ("slab_pruned", "kdtree_pruned"), "line7": ("slab_pruned", "slab_full"),
-    "emb10": ("slab_pruned", "slab_full"), "emb20": ("slab_pruned",), "emb30": ("slab_pruned",), "emb64": ("slab_pruned",), "emb40": ("slab_pruned", "kdtree_pruned"), "emb54": ("slab_pruned", "slab_full", "kdtree_pruned"),
+    "customer2d": ("slab_pruned",), "lattice4": ("slab_pruned", "kdtree_pruned"), "line7": ("slab_pruned", "slab_full", "grid_full"), "events2d_fine": ("slab_pruned",), "doc16": ("slab_pruned", "grid_full"),
+    "emb10": ("slab_pruned", "slab_full"), "emb20": ("slab_pruned",), "emb30": ("slab_pruned", "grid_full"), "emb64": ("slab_pruned",), "emb40": ("slab_pruned", "kdtree_pruned"), "emb54": ("slab_pruned", "slab_full", "grid_full", "kdtree_pruned", "reference", "bucket_pruned"),
     "noisy10": ("slab_pruned",), "noisy15": ("slab_pruned",), "noisy20": ("slab_pruned",), "noisy30": ("slab_pruned",), "noisy40": ("slab_pruned", "kdtree_pruned"),
+    "customer10": ("grid_full", "bucket_pruned"), "customer40": ("slab_full", "grid_full"), "customer54": ("slab_pruned", "slab_full", "grid_full", "reference"),
 }.items():
     for _m in _methods:
         _add(f"clusters_{_m}_{_fx}", lambda s, d, fx=_fx, m=_m: _labels(s, d, fx, method=m), _sql(_fx))
@@ -71,6 +73,37 @@ _add("clusters_nearest_first_events2d", lambda s, d: _labels(s, d, "events2d", o
 _add("clusters_densest_first_events2d", lambda s, d: _labels(s, d, "events2d", order="densest_first"), _sql("events2d"))
 _add("clusters_many_tiles_events2d", lambda s, d: _labels(s, d, "events2d", tile_points=1500), _sql("events2d"))
 _add("clusters_approx_events2d", lambda s, d: _labels(s, d, "events2d", method="grid_approx", rho=0.1))
+
+
+def _sandwich(spark: SparkSession, sf_dir: str, fx: str, rho: float) -> DataFrame:
+    """For each cluster at eps (low) and each at eps * (1 + rho) (high) of core points: its core points, and how many an approximate cluster leaves outside."""
+    points, prm = _points(spark, sf_dir, fx), _params(fx)
+    core = lambda **k: cluster(points, prm.with_(**k)).labels.where("role = 'core'").select("id", "cluster_id")
+    low, mid = core(), core(method="grid_approx", rho=rho).withColumnRenamed("cluster_id", "mid")
+    held = points.with_frame(points.frame.join(low.select("id"), "id", "left_semi"))
+    high = cluster(held, prm.with_(eps=prm.eps * (1 + rho), min_pts=1)).labels.select("id", "cluster_id")
+    split = low.join(mid, "id").groupBy("cluster_id").agg(F.count("*").alias("points"), (F.count_distinct("mid") - 1).alias("violations"))
+    ends = Window.partitionBy("mid")
+    wide = high.join(mid, "id").withColumn("stray", F.min("cluster_id").over(ends) < F.max("cluster_id").over(ends)).groupBy("cluster_id").agg(F.count("*").alias("points"), F.count_if("stray").alias("violations"))
+    return split.select(F.lit("low").alias("side"), "*").union(wide.select(F.lit("high").alias("side"), "*"))
+
+
+def _sandwich_sql(fx: str, rho: float) -> str:
+    """The same from the definitions: core points by eps, their components at both radii, no violations."""
+    f, (eps, min_pts) = w.FIXTURES[fx], w.SETTINGS[fx]
+    wide = oracle.dist2_sql(len(f.features))
+    far = oracle.base(f, eps, min_pts).replace("lab(id, root) USING KEY (id)", f"""e2 AS MATERIALIZED (SELECT a.id, b.id AS nid FROM pts a JOIN pts b ON {wide} <= {int(eps * eps * (1 + rho) ** 2 + 1e-9)} WHERE a.id IN (SELECT id FROM core) AND b.id IN (SELECT id FROM core)),
+hi(id, root) USING KEY (id) AS (
+    SELECT id, id FROM core
+    UNION
+    SELECT e.nid, min(l.root) FROM hi l JOIN e2 e ON l.id = e.id JOIN recurring.hi r ON r.id = e.nid
+    WHERE l.root < r.root GROUP BY e.nid),
+lab(id, root) USING KEY (id)""")
+    return f"{far} SELECT 'low' AS side, root AS cluster_id, count(*) AS points, count(*) - count(id) AS violations FROM lab GROUP BY root UNION ALL SELECT 'high', root, count(*), count(*) - count(id) FROM hi GROUP BY root"
+
+
+for _fx, _rho in (("events2d", 0.1), ("part2d", 0.3), ("noisy3", 0.2), ("emb54", 0.01)):
+    _add(f"approx_between_{_fx}", lambda s, d, fx=_fx, rho=_rho: _sandwich(s, d, fx, rho), _sandwich_sql(_fx, _rho))
 _add("clusters_brute_part2d", lambda s, d: _labels(s, d, "part2d", method="brute"), _sql("part2d"))
 _add("noise_events2d", lambda s, d: relational.noise_points(_labels(s, d, "events2d")), f"{oracle.labels(w.FIXTURES['events2d'], *w.SETTINGS['events2d'])} SELECT id FROM lbl WHERE cluster_id = -1")
 _add("clusters_toy", lambda s, d: cluster(w.toy(s), ClusterParams(10, 4, border_rule="all")).labels, "SELECT * FROM (VALUES " + ", ".join(f"(CAST({i} AS BIGINT), CAST({c} AS BIGINT), '{r}')" for i, c, r in [*((i, 1, "core") for i in (1, 2, 3, 4)), *((i, 7, "core") for i in (7, 8, 9, 10)), (5, 1, "border"), (6, 1, "border"), (6, 7, "border"), (11, -1, "noise")]) + ") t(id, cluster_id, role)")
@@ -81,11 +114,22 @@ def _base(name: str) -> str:
     return oracle.base(w.FIXTURES[name], *w.SETTINGS[name])
 
 
+def _connected(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, prm = _points(spark, sf_dir, "part2d"), _params("part2d")
+    ends, core = (df.agg(F.min("id"), F.max("id")).first() for df in (points.frame, relational.core_points(points, prm)))
+    pairs = spark.createDataFrame(sorted({(a, b) for a in (*ends, core[0]) for b in core}), "a bigint, b bigint")
+    return relational.density_connected(points, prm, pairs)
+
+
 _add("eps_neighbour_counts_events2d", lambda s, d: relational.eps_neighbours(_points(s, d, "events2d"), _params("events2d")).groupBy("id").agg(F.count("*").alias("n")), f"{_base('events2d')} SELECT id, count(*) AS n FROM nb GROUP BY id")
 _add("core_points_part2d", lambda s, d: relational.core_points(_points(s, d, "part2d"), _params("part2d")), f"{_base('part2d')} SELECT id FROM core")
 _add("direct_reach_part2d", lambda s, d: relational.direct_reach(_points(s, d, "part2d"), _params("part2d")), f"{_base('part2d')} SELECT c.id AS core_id, n.nid AS id FROM core c JOIN nb n ON c.id = n.id")
 _add("density_reachable_part2d", lambda s, d: relational.reachable_from(p := _points(s, d, "part2d"), _params("part2d"), relational.core_points(p, _params("part2d")).agg(F.min("id")).first()[0]), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'], border_rule='all')} SELECT id FROM lbl WHERE cluster_id = (SELECT min(id) FROM core)")
-_add("axiom_violations_part2d", lambda s, d: relational.check_axioms(_points(s, d, "part2d"), _labels(s, d, "part2d", border_rule="all"), _params("part2d")), "SELECT CAST('' AS VARCHAR) AS axiom, CAST(0 AS BIGINT) AS id WHERE 1 = 0")
+_add("axiom_report_part2d", lambda s, d: relational.axiom_report(_points(s, d, "part2d"), _labels(s, d, "part2d", border_rule="all"), _params("part2d")), f"""{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'], border_rule='all')},
+    due AS (SELECT l.root AS cluster_id, n.nid AS id, count(*) AS pairs FROM lab l JOIN nb n ON l.id = n.id GROUP BY 1, 2),
+    met AS (SELECT due.cluster_id, sum(pairs) AS due, sum(CASE WHEN lbl.id IS NOT NULL THEN pairs ELSE 0 END) AS held FROM due LEFT JOIN lbl ON lbl.id = due.id AND lbl.cluster_id = due.cluster_id GROUP BY 1)
+    SELECT cluster_id, CAST(due AS BIGINT) AS due, CAST(held AS BIGINT) AS held, (SELECT count(DISTINCT k.root) FROM lab k JOIN lbl ON lbl.id = k.id AND lbl.cluster_id = met.cluster_id AND lbl.role = 'core') AS components FROM met""")
+_add("density_connected_part2d", _connected, f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'], border_rule='all')} SELECT a.id AS a, b.id AS b, EXISTS (SELECT 1 FROM lbl x JOIN lbl y ON x.cluster_id = y.cluster_id WHERE x.id = a.id AND y.id = b.id AND x.cluster_id >= 0) AS connected FROM (SELECT min(id) AS id FROM pts UNION SELECT max(id) FROM pts UNION SELECT min(id) FROM core) a, (SELECT min(id) AS id FROM core UNION SELECT max(id) FROM core) b")
 _add("contrast_kmeans_part2d", lambda s, d: relational.contrast_kmeans(_points(s, d, "part2d"), 10))
 
 # Cells.
@@ -103,7 +147,18 @@ _add("cell_diameter_events2d", lambda s, d: _flat_cells(verify_cell_diameter(cel
 _add("fold_duplicates_lattice4", lambda s, d: fold_duplicates(_points(s, d, "lattice4")).select(*[F.col("coord")[i].alias(f"x{i}") for i in range(4)], "weight", "id"), f"WITH pts AS ({w.FIXTURES['lattice4'].select()}) SELECT x0, x1, x2, x3, count(*) AS weight, min(id) AS id FROM pts GROUP BY x0, x1, x2, x3")
 _add("cell_stats_spread3", lambda s, d: cell_summary(_points(s, d, "spread3"), _params("spread3")).agg(F.count("*").alias("cells"), *[F.count_distinct(F.col("cell")[i]).alias(f"k{i}") for i in range(3)]), f"{oracle.cells(w.FIXTURES['spread3'], 30)} SELECT count(*) AS cells, count(DISTINCT c0) AS k0, count(DISTINCT c1) AS k1, count(DISTINCT c2) AS k2 FROM cells")
 _add("cell_curve_events2d", lambda s, d: cell_curve(_points(s, d, "events2d"), [75, 150, 300, 600, 1200]), " UNION ALL ".join(f"(WITH q{e} AS ({oracle.cells(_ev, e)} SELECT count(*) AS cells FROM cells) SELECT CAST({e} AS DOUBLE) AS eps, cells FROM q{e})" for e in (75, 150, 300, 600, 1200)))
-_add("offset_counts", lambda s, d: measures.offset_counts(s, [1, 2, 3, 4, 5, 6, 7]), "SELECT * FROM (VALUES " + ", ".join(f"(CAST({a} AS INTEGER), CAST({b} AS INTEGER), '{c}', '{e}')" for a, b, c, e in ((1, 1, 3, 2), (2, 2, 25, 20), (3, 2, 125, 116), (4, 2, 625, 608), (5, 3, 16807, 3902), (6, 3, 117649, 28196), (7, 3, 823543, 197066))) + ") t(d, reach, box, reachable)")
+def _offset_sql() -> str:
+    """Every offset of the box, its gaps' squares added up."""
+    one = []
+    for d in range(1, 8):
+        r = math.ceil(math.sqrt(d))
+        box = ", ".join(f"generate_series(-{r}, {r}) o{i}(x{i})" for i in range(d))
+        gap = " + ".join(f"greatest(abs(x{i}) - 1, 0) * greatest(abs(x{i}) - 1, 0)" for i in range(d))
+        one.append(f"SELECT CAST({d} AS INTEGER) AS d, CAST(ceil(sqrt({d})) AS INTEGER) AS reach, CAST(count(*) AS VARCHAR) AS box, CAST(count(*) FILTER ({gap} < {d}) - 1 AS VARCHAR) AS reachable FROM {box}")
+    return " UNION ALL ".join(one)
+
+
+_add("offset_counts", lambda s, d: measures.offset_counts(s, [1, 2, 3, 4, 5, 6, 7]), _offset_sql())
 
 
 def _boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -141,9 +196,8 @@ _add("neighbour_cells_slabs_events2d", lambda s, d: _tile_pairs(s, d, "events2d"
 _add("neighbour_cells_buckets_noisy3", lambda s, d: _cell_pairs(s, d, "noisy3", neighbours.neighbours_by_buckets), oracle.neighbour_cells(w.FIXTURES["noisy3"], 30))
 _add("slab_rows_events2d", lambda s, d: neighbours.build_slabs(cell_summary(_points(s, d, "events2d"), _params("events2d"))).groupBy("dim", "pos").agg(F.sum(F.bitmap_count("bits")).alias("popcount")), f"{oracle.cells(_ev, 300)} SELECT CAST(0 AS INTEGER) AS dim, c0 AS pos, count(*) AS popcount FROM cells GROUP BY c0 UNION ALL SELECT 1, c1, count(*) FROM cells GROUP BY c1")
 _add("slab_stats_emb40", lambda s, d: measures.slab_stats(neighbours.build_slabs(cell_summary(_points(s, d, "emb40"), _params("emb40")))).select("dim", "positions"), f"{oracle.cells(w.FIXTURES['emb40'], 8300)} " + " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS dim, count(DISTINCT c{i}) AS positions FROM cells" for i in range(40)))
-_add("index_bytes_emb40", lambda s, d: measures.index_bytes(_points(s, d, "emb40"), _params("emb40"), ["slab_pruned", "kdtree_pruned"]))
-_add("index_bytes_emb54", lambda s, d: measures.index_bytes(_points(s, d, "emb54"), _params("emb54"), ["slab_pruned", "kdtree_pruned"]))
-_add("index_seconds_emb40", lambda s, d: measures.bench_index(_points(s, d, "emb40"), "emb40", _params("emb40"), [8300, 8700, 9200], ["slab_pruned", "kdtree_pruned"]))
+for _fx, _eps in {"emb40": (7900, 8300, 8700, 9200, 9600), "emb54": (9500, 9900, 10300, 10700, 11100), "customer40": (140, 150, 160, 170, 180), "events2d": (75, 150, 300, 600, 1200)}.items():
+    _add(f"index_sweep_{_fx}", lambda s, d, fx=_fx, e=_eps: measures.index_report(_points(s, d, fx), _params(fx), ["slab_pruned", "kdtree_pruned"], list(e)))
 
 
 # Labelling and merging.
@@ -166,17 +220,32 @@ def _merge_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _add("merge_edges_full_events2d", _merge_edges, f"{_base('events2d')}, spot AS ({oracle.cells(_ev, 300)} SELECT * FROM spot) SELECT DISTINCT a.c0 AS a0, a.c1 AS a1, b.c0 AS b0, b.c1 AS b1 FROM ee JOIN spot a ON ee.id = a.id JOIN spot b ON ee.nid = b.id WHERE (a.c0, a.c1) < (b.c0, b.c1)")
-for _fx in ("spread3", "events2d", "emb54"):
-    _add(f"merge_counts_{_fx}", lambda s, d, fx=_fx: measures.merge_counts(_points(s, d, fx), _params(fx, visit="both", box_prune=False), ["slab_full", "slab_pruned"]))
-_add("merge_ratio_spread3", lambda s, d: measures.merge_ratio(measures.merge_counts(_points(s, d, "spread3"), _params("spread3", visit="both", box_prune=False), ["grid_full", "slab_full", "slab_pruned"]), "grid_full"))
+for _fx in ("spread3", "events2d", "emb54", "customer54"):
+    _add(f"merge_counts_{_fx}", lambda s, d, fx=_fx: measures.merge_counts(_points(s, d, fx), _params(fx, visit="both", box_prune=False), ["grid_full", "slab_full", "slab_pruned"]))
+    _add(f"merge_ratio_{_fx}", lambda s, d, fx=_fx: measures.merge_ratio(measures.merge_counts(_points(s, d, fx), _params(fx, visit="both", box_prune=False), ["grid_full", "slab_full", "slab_pruned"]), "grid_full"))
+for _fx in ("noisy3", "events2d", "emb54"):
+    _add(f"merge_bounds_{_fx}", lambda s, d, fx=_fx: measures.merge_counts(_points(s, d, fx), _params(fx, box_prune=False), ["grid_full", "slab_full", "slab_pruned"]).select("variant", "core_cells", "considered", F.when(F.col("variant").endswith("full"), F.col("checks")).alias("full_checks"), "needed"), oracle.merge_bounds(w.FIXTURES[_fx], *w.SETTINGS[_fx], ("grid_full", "slab_full"), ("slab_pruned",)))
+_add("union_ablation_events2d", lambda s, d: measures.union_ablation(_points(s, d, "events2d"), _params("events2d")))
 _add("components_forest6", lambda s, d: components(s.createDataFrame(sorted(w.FOREST6[1]), "a bigint, b bigint")), "SELECT * FROM (VALUES " + ", ".join(f"(CAST({n} AS BIGINT), CAST({r} AS BIGINT))" for n, r in ((1, 1), (2, 1), (3, 1), (4, 4), (5, 4), (6, 4))) + ") t(node, root)")
 
 # Measures.
-_add("partition_equality_events2d", lambda s, d: measures.same_partition(_labels(s, d, "events2d"), _labels(s, d, "events2d", method="grid_full")), "SELECT CAST(0 AS BIGINT) AS id WHERE 1 = 0")
+_add("partition_equality_events2d", lambda s, d: measures.partition_report(_labels(s, d, "events2d"), _labels(s, d, "events2d", method="grid_full")), f"{oracle.labels(_ev, *w.SETTINGS['events2d'])} SELECT cluster_id, role, count(*) AS points, count(*) AS same FROM lbl GROUP BY cluster_id, role")
 _add("approx_agreement_events2d", lambda s, d: measures.agreement(_labels(s, d, "events2d", method="grid_approx", rho=0.001), _labels(s, d, "events2d")))
 _add("dataset_stats_part2d", lambda s, d: measures.dataset_stats(_points(s, d, "part2d"), _labels(s, d, "part2d")), f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT (SELECT count(*) FROM pts) AS n, CAST(2 AS INTEGER) AS d, count(DISTINCT cluster_id) FILTER (cluster_id >= 0) AS clusters FROM lbl")
-_add("method_seconds_part2d", lambda s, d: measures.bench(_points(s, d, "part2d"), "part2d", _params("part2d"), ["reference", "grid_full", "grid_approx", "slab_full", "slab_pruned"], repeats=1))
-_add("scalability_seconds", lambda s, d: measures.scalability_grid(s, [600, 1000, 1400], {10: (80, 6), 15: (95, 6), 20: (110, 6)}, ["slab_full", "slab_pruned"]))
+_METHODS = ["reference", "grid_full", "grid_approx", "slab_full", "slab_pruned"]
+for _fx in ("part2d", "customer3", "customer10", "customer30", "customer40", "emb54"):
+    _add(f"method_seconds_{_fx}", lambda s, d, fx=_fx: measures.bench(_points(s, d, fx), fx, _params(fx), _METHODS, repeats=3, limit_s=60))
+_add("speedups_customer54", lambda s, d: measures.speedup(measures.bench(_points(s, d, "customer54"), "customer54", _params("customer54"), _METHODS, repeats=1, limit_s=60), "grid_full"))
+
+
+def _scalability(spark: SparkSession, sf_dir: str, d: int) -> DataFrame:
+    """The generator's twin over all rows of three tables; a run of more than ten seconds is stopped and says so."""
+    sets = {f"{t}{d}": (_points(spark, sf_dir, f"{t}{d}"), _params(f"{t}{d}")) for t in w.SIZES}
+    return measures.scalability_grid(sets, ["slab_full", "slab_pruned"], limit_s=10)
+
+
+for _d in (10, 15, 20):
+    _add(f"scalability_{_d}d", lambda s, d, n=_d: _scalability(s, d, n))
 _add("generated_drift10", lambda s, d: drift_clusters(s, 20_000, 10, 10)[0].frame)
 
 # Reports and the relational surface.

@@ -13,13 +13,14 @@ class Forest:
     def __init__(self, n: int, policy: str = "by_size", compress: bool = True):
         if policy not in ("naive", "by_size", "by_min_id"):
             raise ValueError(policy)
-        self.parent, self.size, self.policy, self.compress = list(range(n)), [1] * n, policy, compress
+        self.parent, self.size, self.policy, self.compress, self.hops = list(range(n)), [1] * n, policy, compress, 0
 
     def find(self, x: int) -> int:
         p = self.parent
         root = x
         while p[root] != root:
             root = p[root]
+            self.hops += 1
         while self.compress and p[x] != root:
             p[x], x = root, p[x]
         return root
@@ -39,11 +40,23 @@ class Forest:
         return [self.find(x) for x in range(len(self.parent))]
 
 
+def packed(members, n: int) -> np.ndarray:
+    """The members of 0..n-1 as bits in words."""
+    bits = np.zeros((n + 63) // 64 * 64, np.uint8)
+    bits[members] = 1
+    return np.packbits(bits, bitorder="little").view(np.uint64)
+
+
 class FlatForest:
-    """Roots kept flat, so that many cells are compared at once; the smaller tree is relabelled."""
+    """Roots kept flat, so that many cells are compared at once; the smaller tree is relabelled.
+
+    Trees of ``LARGE`` cells and more are also kept as bits.
+    """
+
+    LARGE = 64
 
     def __init__(self, n: int):
-        self.root, self.members = np.arange(n), {i: [i] for i in range(n)}
+        self.root, self.members, self._words = np.arange(n), {i: [i] for i in range(n)}, {}
 
     def union(self, x: int, y: int) -> None:
         a, b = int(self.root[x]), int(self.root[y])
@@ -52,6 +65,21 @@ class FlatForest:
         moved = self.members.pop(b)
         self.root[moved] = a
         self.members[a] += moved
+        gone = self._words.pop(b, None)
+        if a in self._words:
+            own = self._words[a]
+            if gone is not None:
+                own |= gone
+            else:
+                for i in moved:
+                    own[i >> 6] |= np.uint64(1 << (i & 63))
+
+    def words(self, x: int) -> np.ndarray | None:
+        """The tree of ``x`` as bits, if it is large."""
+        a = int(self.root[x])
+        if a not in self._words and len(self.members[a]) >= self.LARGE:
+            self._words[a] = packed(self.members[a], len(self.root))
+        return self._words.get(a)
 
 
 @dataclass
@@ -66,26 +94,30 @@ class MergeCounts:
     links: list[tuple[int, int]] = field(default_factory=list)
 
 
-def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: str = "once", narrow=None) -> tuple[FlatForest, MergeCounts]:
+def merge_cells(vertices, partners, check, n: int, pruned: bool = True, visit: str = "once", narrow=None, meet=None) -> tuple[FlatForest, MergeCounts]:
     """Merges cells. ``partners(g)`` are the core cells near g in visiting order, ``check(g, h)`` the costly test.
 
     With ``pruned`` a pair whose roots are equal is skipped; roots are compared
     again after each union, so the order is that of one pair after the other.
     ``once`` drops partners before their cell, ``both`` meets each pair from both
     ends. ``narrow(g, cells)`` may drop partners that cannot pass the check; it is
-    asked only about those that would be checked. Every pair considered is counted
+    asked only about those that would be checked. ``meet(g, forest)``, in place of
+    ``partners``, gives the number met and those whose roots differ. Every pair considered is counted
     once: as skipped, boxed or checked.
     """
     forest, counts = FlatForest(n), MergeCounts()
     for g in vertices:
-        near = partners(g)
-        if visit == "once":
-            near = near[near > g]
-        counts.considered += len(near)
-        if pruned:
-            apart = near[forest.root[near] != forest.root[g]]
-            counts.skipped += len(near) - len(apart)
-            near = apart
+        if meet is not None:
+            met, near = meet(g, forest)
+        else:
+            near = partners(g)
+            if visit == "once":
+                near = near[near > g]
+            met = len(near)
+            if pruned:
+                near = near[forest.root[near] != forest.root[g]]
+        counts.considered += met
+        counts.skipped += met - len(near)
         if narrow is not None and len(near):
             left = narrow(g, near)
             counts.boxed += len(near) - len(left)

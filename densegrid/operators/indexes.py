@@ -6,6 +6,7 @@ cells may hold points within eps of a given one.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from itertools import product
 
 import numpy as np
@@ -27,6 +28,13 @@ def bit_table(column: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return pos, row, bits.view(np.uint64)
 
 
+def decoded(words: np.ndarray) -> np.ndarray:
+    """The places of the bits that are set; words without any cost next to nothing."""
+    full = np.flatnonzero(words)
+    bits = np.flatnonzero(np.unpackbits(words[full].view(np.uint8), bitorder="little"))
+    return full[bits >> 6] * 64 + (bits & 63)
+
+
 class SlabIndex:
     """One bit table per dimension: a row for each occupied position, a column for each cell.
 
@@ -71,23 +79,32 @@ class SlabIndex:
             out &= self.windows[k][self.row[k][i]]
         return out
 
-    def _decode(self, bits: np.ndarray) -> np.ndarray:
-        return np.flatnonzero(np.unpackbits(bits.view(np.uint8), count=self.n, bitorder="little"))
-
     def _slice(self, low: int, high: int) -> np.ndarray:
         return np.sort(self.posting[np.searchsorted(self.posted, low - self.r) : np.searchsorted(self.posted, high + self.r, "right")])
 
     def candidates(self, i: int) -> np.ndarray:
         """Cells whose every coordinate lies within reach (the box rule), itself left out."""
-        found = self._decode(self.bits(i)) if self.dims else self._slice(self.cells[i, self.rest[0]], self.cells[i, self.rest[0]])
+        found = decoded(self.bits(i)) if self.dims else self._slice(self.cells[i, self.rest[0]], self.cells[i, self.rest[0]])
         for k in self.rest:
             found = found[np.abs(self.cells[found, k] - self.cells[i, k]) <= self.r]
         return found[found != i]
 
+    def each(self, several: np.ndarray, block: int = 256) -> Iterator[np.ndarray]:
+        """``candidates`` of one cell after the other, the words of a block at once."""
+        if not self.dims or self.rest:
+            yield from map(self.candidates, several.tolist())
+            return
+        for at in range(0, len(several), block):
+            part = several[at : at + block]
+            words = self.bits(part)
+            words[np.arange(len(part)), part >> 6] &= ~(np.uint64(1) << (part & 63).astype(np.uint64))
+            for row in words:
+                yield decoded(row)
+
     def union(self, several: np.ndarray) -> np.ndarray:
         """At least the cells within reach of any of several cells, those included."""
         if self.dims:
-            return self._decode(np.bitwise_or.reduce(self.bits(several), axis=0))
+            return decoded(np.bitwise_or.reduce(self.bits(several), axis=0))
         at = self.cells[several, self.rest[0]]
         return self._slice(at.min(), at.max())
 
@@ -104,6 +121,10 @@ def _union(index, several: np.ndarray) -> np.ndarray:
     return np.unique(np.concatenate([several, *(index.candidates(int(i)) for i in several)]))
 
 
+def _each(index, several: np.ndarray) -> Iterator[np.ndarray]:
+    return map(index.candidates, several.tolist())
+
+
 class OffsetIndex:
     """A hash of occupied cells, probed at every reachable offset: exponential in the dimension.
 
@@ -123,14 +144,16 @@ class OffsetIndex:
 
     def neighbours(self, i: int) -> np.ndarray:
         if self.offsets is None:
-            found = np.flatnonzero(gaps2(self.cells, i, slice(None)) <= self.d)
+            first, r = self.cells[:, 0], safe_reach(self.d)  # cells are sorted, so those too far in the first dimension are cut off
+            low, high = np.searchsorted(first, first[i] - r), np.searchsorted(first, first[i] + r, "right")
+            found = low + np.flatnonzero(gaps2(self.cells, i, slice(low, high)) <= self.d)
             return found[found != i]
         c, get = self.cells[i].tolist(), self.place.get
         found = (get(tuple(x + y for x, y in zip(c, o, strict=True))) for o in self.offsets)
         return np.array(sorted(x for x in found if x is not None), np.int64)
 
     candidates = neighbours
-    union = _union
+    union, each = _union, _each
 
     def nbytes(self) -> int:
         """Of the hash table, its keys and the offsets; of nothing where the cells are scanned."""
@@ -177,7 +200,7 @@ class KdIndex:
         found = np.concatenate(hits)
         return np.sort(found[(np.abs(self.cells[found] - at) <= self.r).all(axis=1) & (found != i)])
 
-    union = _union
+    union, each = _union, _each
 
     def neighbours(self, i: int) -> np.ndarray:
         found = self.candidates(i)
@@ -233,4 +256,4 @@ class RectangleTree:
         return rows[keep], dd[keep]
 
 
-INDEXES = {"slab_pruned": SlabIndex, "slab_full": SlabIndex, "grid_full": OffsetIndex, "grid_approx": OffsetIndex, "kdtree_pruned": KdIndex}
+INDEXES = {"slab_pruned": SlabIndex, "slab_full": SlabIndex, "grid_full": OffsetIndex, "grid_approx": OffsetIndex, "kdtree_pruned": KdIndex, "reference": SlabIndex}

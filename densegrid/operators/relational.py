@@ -56,10 +56,31 @@ def reachable_from(points: Points, prm: ClusterParams, start: int, max_steps: in
     return reached
 
 
-def density_connected(points: Points, prm: ClusterParams, a: int, b: int) -> bool:
-    """Whether some point reaches both: both lie in one cluster, borders in any of theirs."""
-    labels = cluster_brute(points, prm.with_(border_rule="all")).labels.where(F.col("id").isin(a, b) & (F.col("cluster_id") >= 0))
-    return not labels.groupBy("cluster_id").agg(F.count_distinct("id").alias("n")).where(F.col("n") == len({a, b})).isEmpty()
+def density_connected(points: Points, prm: ClusterParams, pairs: DataFrame) -> DataFrame:
+    """a, b, connected for each of the ``pairs`` (a, b) of ids: whether some point reaches both.
+
+    Both then lie in one cluster, borders in any of theirs; the clusters come from
+    the flagship, and noise is connected to nothing.
+    """
+    from densegrid.plans.engine import cluster
+
+    labels = cut(cluster(points, prm.with_(border_rule="all")).labels.where("cluster_id >= 0").select("id", "cluster_id"))
+    side = lambda s: labels.select(F.col("id").alias(s), "cluster_id")
+    shared = pairs.join(side("a"), "a").join(side("b"), ["b", "cluster_id"]).select("a", "b", F.lit(True).alias("connected")).distinct()
+    return pairs.join(shared, ["a", "b"], "left").select("a", "b", F.coalesce("connected", F.lit(False)).alias("connected"))
+
+
+def axiom_report(points: Points, labels: DataFrame, prm: ClusterParams) -> DataFrame:
+    """cluster_id, due, held, components: how many points its core points reach (as pairs), how many of those it
+    holds, and how many components its core points fall into. A right clustering holds all that is due, in one."""
+    reach_ = cut(direct_reach(points, prm))
+    held = cut(labels.where("cluster_id <> -1"))
+    cores = held.where("role = 'core'").select(F.col("id").alias("core_id"), "cluster_id")
+    due = reach_.join(cores, "core_id").join(held.select("id", "cluster_id", F.lit(1).alias("in")), ["id", "cluster_id"], "left").groupBy("cluster_id").agg(F.count("*").alias("due"), F.count("in").alias("held"))
+    links = reach_.join(cores.select(F.col("core_id").alias("id")), "id", "left_semi").select(F.col("core_id").alias("a"), F.col("id").alias("b"))
+    roots = components(links)
+    one = cores.join(roots, cores["core_id"] == roots["node"]).groupBy("cluster_id").agg(F.count_distinct("root").alias("components"))
+    return due.join(one, "cluster_id").select("cluster_id", "due", "held", "components")
 
 
 def check_axioms(points: Points, labels: DataFrame, prm: ClusterParams) -> DataFrame:

@@ -19,9 +19,9 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
-from densegrid.functions.geometry import cell_of, cell_scale, eps2, safe_reach
-from densegrid.operators.forest import merge_cells
-from densegrid.operators.indexes import INDEXES, RectangleTree, gaps2
+from densegrid.functions.geometry import cell_of, cell_scale, eps2, reach, safe_reach
+from densegrid.operators.forest import FlatForest, merge_cells, packed
+from densegrid.operators.indexes import INDEXES, RectangleTree, SlabIndex, decoded, gaps2
 from densegrid.params import ClusterParams
 from densegrid.sources.points import Points
 
@@ -29,38 +29,70 @@ from densegrid.sources.points import Points
 BLOCK, CHUNK = 256, 1024
 
 
+#: Points, in expectation, from which tile bounds are taken; they decide balance, never results.
+SAMPLE = 40_000
+#: Copies that halos may add in one dimension, as a share of the points.
+COPIES = 0.75
+
+
 @dataclass(frozen=True)
 class TilePlan:
-    """Cut positions by dimension; a tile is named by its place between the cuts."""
+    """Cut positions by dimension; a tile is named by its place between the cuts. ``largest``: its rows, estimated."""
 
     cuts: tuple[tuple[int, tuple[int, ...]], ...]
     tiles: int
     points: int
+    largest: int
 
 
 def plan_tiles(points: Points, prm: ClusterParams) -> TilePlan:
-    """Equi-depth cuts over the dimensions with most positions; what is fetched is cuts and counts only.
+    """Cuts by the cells of a sample: about equal depths, each moved to where the fewest points lie within reach.
 
-    Slices stay at least three reaches thick on average, so that halos stay small beside them.
+    One count and one filtered scan; the driver gets about ``SAMPLE`` coordinates.
     """
-    d, r = points.dim, safe_reach(points.dim)
-    cells = points.frame.select(cell_of(F.col("coord"), d, prm.eps).alias("cell"))
-    stats = cells.agg(F.count("*").alias("n"), *[F.approx_count_distinct(F.col("cell")[i]).alias(f"k{i}") for i in range(d)]).first()
-    need, cuts = max(1, -(-stats["n"] // prm.tile_points)), []
-    for i in sorted(range(d), key=lambda i: -stats[f"k{i}"])[:3]:
-        parts = min(need, max(1, stats[f"k{i}"] // (3 * r)), 4096)
-        if parts < 2:
-            continue
-        at = cells.select(F.col("cell")[i].cast("double").alias("p")).approxQuantile("p", [k / parts for k in range(1, parts)], 0.002)
-        edges = tuple(sorted({int(x) for x in at}))
-        cuts.append((i, edges))
-        need = -(-need // (len(edges) + 1))
-        if need < 2:
-            break
-    tiles = 1
-    for _, edges in cuts:
+    d, halo = points.dim, safe_reach(points.dim)
+    n = points.frame.count()
+    need = max(1, -(-n // prm.tile_points))
+    if need == 1:
+        return TilePlan((), 1, n, n)
+    some = points.frame.where(F.pmod(F.xxhash64("id"), F.lit(1 << 20)) < math.ceil(min(1.0, SAMPLE / n) * (1 << 20))).select("coord").limit(2 * SAMPLE).toArrow()
+    x = some.column("coord").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+    cells = np.floor(x.astype(np.float64) * cell_scale(d, prm.eps)).astype(np.int64)
+    found = sorted(((best_cuts(cells[:, i], need, halo), i) for i in range(d)), key=lambda f: (-len(f[0][0]), f[0][1]))
+    cuts, copies = [], np.ones(len(cells), np.int64)
+    for (edges, _), i in found[:3]:
+        if need > 1 and edges:
+            edges = best_cuts(cells[:, i], need, halo)[0]
+            need = -(-need // (len(edges) + 1))
+            cuts.append((i, edges))
+    tiles, rows, at = 1, np.arange(len(cells)), np.zeros(len(cells), np.int64)
+    for i, edges in cuts:
         tiles *= len(edges) + 1
-    return TilePlan(tuple(cuts), tiles, stats["n"])
+        low, high = (np.searchsorted(edges, cells[rows, i] + s, "right") for s in (-halo, halo))
+        copies = high - low + 1
+        step = np.arange(copies.sum()) - np.repeat(np.cumsum(copies) - copies, copies)
+        at = np.repeat(at * (len(edges) + 1) + low, copies) + step
+        rows = np.repeat(rows, copies)
+    most = int(np.unique(at, return_counts=True)[1].max()) if len(at) else 0
+    return TilePlan(tuple(cuts), tiles, n, int(most * n / max(1, len(cells))) + 1)
+
+
+def best_cuts(column: np.ndarray, need: int, halo: int) -> tuple[tuple[int, ...], float]:
+    """As many cuts of one dimension, up to ``need`` parts, as copy at most ``COPIES`` of the points; and that share."""
+    at = np.sort(column)
+    spots = np.unique(at)[1:]  # a cut at e parts cells below e from the rest
+    if not len(spots):
+        return (), 0.0
+    crossed = np.searchsorted(at, spots + halo) - np.searchsorted(at, spots - halo)
+    place, parts = np.searchsorted(at, spots) / len(at), min(need, 4096)
+    while parts > 1:
+        low, high = (np.searchsorted(place, (np.arange(1, parts) + s) / parts) for s in (-0.5, 0.5))
+        chosen = sorted({int(a + crossed[a:b].argmin()) for a, b in zip(low, high, strict=True) if a < b})
+        share = float(crossed[chosen].sum() / len(at))
+        if share <= COPIES and chosen:
+            return tuple(int(e) for e in spots[chosen]), share
+        parts = min(parts - 1, int(parts * 0.85))
+    return (), 0.0
 
 
 def deal(rows: DataFrame, plan: TilePlan, d: int, eps: float, halo: int) -> DataFrame:
@@ -81,6 +113,15 @@ def deal(rows: DataFrame, plan: TilePlan, d: int, eps: float, halo: int) -> Data
     return rows.select("*", F.explode(tile).alias("tile"), own_tile.alias("_own")).select(*rows.columns, "tile", (F.col("tile") == F.col("_own")).alias("own")).drop("cell")
 
 
+def part_hot(dealt: DataFrame, hot: dict[int, int]) -> tuple[DataFrame, DataFrame]:
+    """The rows of calm tiles; and those of hot ones once for each task (``low``, ``high``) that their group takes part in."""
+    spark = dealt.sparkSession
+    many = F.broadcast(spark.createDataFrame(list(hot.items()), "tile bigint, groups bigint"))
+    group = F.pmod(F.xxhash64(F.lit("group"), "id"), F.col("groups"))
+    rows = dealt.join(many, "tile").withColumn("grp", group).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1)))
+    return dealt.join(many, "tile", "left_anti"), rows.select(*dealt.columns, "grp", F.least("grp", "other").alias("low"), F.greatest("grp", "other").alias("high"))
+
+
 class Tile:
     """The rows of one tile as matrices: cells sorted, points sorted by cell and id."""
 
@@ -93,6 +134,9 @@ class Tile:
         self.x, self.ids, cell = x[order], ids[order], cell[order]
         self.own = table.column("own").to_numpy(zero_copy_only=False).astype(bool)[order]
         self.weight = np.ones(len(ids), np.int64)
+        #: In a task of a hot tile, the group of each row and whether there are two groups.
+        self.group = table.column("grp").to_numpy()[order] if "grp" in table.column_names else None
+        self.crossed = self.group is not None and len(ids) > 0 and table.column("low")[0].as_py() != table.column("high")[0].as_py()
         new = np.concatenate([[True], (cell[1:] != cell[:-1]).any(axis=1)]) if len(cell) else np.zeros(0, bool)
         self.first = np.append(np.flatnonzero(new), len(cell))
         self.cells, self.of = cell[self.first[:-1]], np.cumsum(new) - 1
@@ -265,6 +309,36 @@ def make_index(tile: Tile, prm: ClusterParams):
     return INDEXES[prm.method](tile.cells, max_offsets=prm.max_offsets, budget=prm.index_bytes)
 
 
+class BitMeeting:
+    """Core cells that a cell has still to be checked with, found on bit words for a block of cells at once.
+
+    Own words of the cell's tree are taken out before a bit is decoded, so that in a
+    large tree the cells that need no check cost a few words each.
+    """
+
+    def __init__(self, tile: Tile, index: SlabIndex, core_cell: np.ndarray, vertices: list[int], later: bool):
+        self.index, self.later, self.vertices = index, later, np.array(vertices, np.int64)
+        self.core = packed(np.flatnonzero(core_cell), index.n)
+        self.place, self.at = {int(g): k for k, g in enumerate(vertices)}, -BLOCK
+
+    def __call__(self, g: int, forest: FlatForest) -> tuple[int, np.ndarray]:
+        k = self.place[g]
+        if not 0 <= k - self.at < BLOCK:
+            self.at = k
+            self.block = self.index.bits(self.vertices[k : k + BLOCK]) & self.core
+        row, word, bit = self.block[k - self.at], g >> 6, g & 63
+        gone = (1 << (bit + 1)) - 1 if self.later else 1 << bit
+        row[word] &= np.uint64((1 << 64) - 1 - gone)
+        if self.later:
+            row[:word] = 0
+        considered = int(np.bitwise_count(row).sum())
+        own = forest.words(g)
+        if own is not None:
+            row &= ~own
+        near = decoded(row)
+        return considered, near[forest.root[near] != forest.root[g]]
+
+
 def visiting(tile: Tile, index, core_cell: np.ndarray, strict: bool = False):
     """Core cells near a cell, in the order asked for; ``strict`` leaves out those that only rounding could bring near."""
     size = np.diff(tile.first)
@@ -305,6 +379,35 @@ def label_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iter
     yield pa.RecordBatch.from_arrays([back.column("id").combine_chunks(), back.column("coord").combine_chunks(), pa.array(core[own])], ["id", "coord", "core"])
 
 
+def count_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iterator[pa.RecordBatch]:
+    """For a task of a hot tile how many points own ones reach, up to min_pts: in their own group, or across two.
+
+    The coordinates come with the counts of the own group.
+    """
+    tile = Tile(table, prm, d, exact)
+    index = make_index(tile, prm)
+    tight = ((tile.hi - tile.lo) ** 2).sum(axis=1) <= tile.limit
+    out = np.zeros(len(tile.ids), np.int64)
+    for mine in np.unique(tile.group):
+        met = tile.group != mine if tile.crossed else tile.group == mine
+        size = np.add.reduceat(tile.weight * met, tile.first[:-1])
+        dense = (tight & (size >= prm.min_pts))[tile.of]
+        rows = np.flatnonzero(tile.own & (tile.group == mine))
+        out[rows[dense[rows]]] = prm.min_pts
+        rows = rows[~dense[rows]]
+        for at in range(0, len(rows), BLOCK):
+            part = rows[at : at + BLOCK]
+            cells = np.unique(tile.of[part])
+            others = tile.rows_of(np.union1d(index.union(cells), cells))
+            count = np.zeros(len(part), np.int64)
+            counted(tile, part, others[met[others]], count)
+            out[part] = np.minimum(count, prm.min_pts)
+    own = np.flatnonzero(tile.own)
+    back = table.take(pa.array(tile.order[own]))
+    coord = back.column("coord").combine_chunks()
+    yield pa.RecordBatch.from_arrays([back.column("id").combine_chunks(), pa.nulls(len(own), coord.type) if tile.crossed else coord, pa.array(out[own])], ["id", "coord", "n"])
+
+
 def merge_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iterator[pa.RecordBatch]:
     """Rows: link (two named cells in one tree), name (a core point and its cell's name), touch (a
     border candidate, the name of a core cell it touches, squared distance), counts."""
@@ -324,12 +427,20 @@ def merge_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iter
     pruned = prm.method.endswith("pruned")
     vertices = np.flatnonzero(core_cell & own_cell).tolist()  # a pair belongs to the tile that owns its first cell
     began = _step(steps, began)
-    forest, counts = merge_cells(vertices, partners, merge_test(tile, core), len(tile.cells), pruned, prm.visit, tile.pruned)
+    quick = pruned and isinstance(index, SlabIndex) and not index.rest and prm.box_prune and prm.order == "as_given" and not prm.strict
+    meet = BitMeeting(tile, index, core_cell, vertices, prm.visit == "once") if quick else None
+    forest, counts = merge_cells(vertices, partners, merge_test(tile, core), len(tile.cells), pruned, prm.visit, tile.pruned, meet)
     if counts.links:
         a, b = np.array(counts.links).T
         yield _rows("link", name[a], name[b], np.zeros(len(a)))
     own_core = np.flatnonzero(core & tile.own)
-    yield _rows("name", tile.ids[own_core], name[tile.of[own_core]], np.zeros(len(own_core)))
+    if tile.crossed:  # the two groups' parts of a cell have names of their own, and are one
+        low = tile.group == tile.group.min()
+        a, b = (np.minimum.reduceat(np.where(core & side, tile.ids, np.iinfo(np.int64).max), starts) for side in (low, ~low))
+        both = np.flatnonzero((np.maximum(a, b) < np.iinfo(np.int64).max) & own_cell)
+        yield _rows("link", a[both], b[both], np.zeros(len(both)))
+    else:
+        yield _rows("name", tile.ids[own_core], name[tile.of[own_core]], np.zeros(len(own_core)))
     yield _rows("counts", range(5), [counts.considered, counts.skipped, counts.boxed, counts.checks, counts.unions], np.zeros(5))
     yield _rows("counts", [5], [np.count_nonzero(core_cell & own_cell)], [0.0])
     began = _step(steps, began)
@@ -401,35 +512,44 @@ def _merge_points(tile: Tile, core: np.ndarray) -> Iterator[pa.RecordBatch]:
     if links:
         yield _rows("link", *zip(*links, strict=True), np.zeros(len(links)))
     own_core = tile.ids[core & tile.own]
-    yield _rows("name", own_core, own_core, np.zeros(len(own_core)))
+    if not tile.crossed:
+        yield _rows("name", own_core, own_core, np.zeros(len(own_core)))
     yield _rows("counts", range(6), [met, 0, 0, met, len(links), len(own_core)], np.zeros(6))
     if touch:
         yield _rows("touch", *zip(*touch, strict=True))
 
 
 def neighbour_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iterator[pa.RecordBatch]:
-    """Rows: pair (the smallest ids of two neighbouring cells, both ways), bytes (index size; seconds of build and queries)."""
+    """Rows: pair (the smallest ids of two neighbouring cells, both ways)."""
     tile = Tile(table, prm, d, exact)
-    began = time.perf_counter()
     index = make_index(tile, prm)
     name, own = tile.ids[tile.first[:-1]], np.logical_or.reduceat(tile.own, tile.first[:-1])
     box = prm.corner_rule == "box"
     a, b = [], []
     for c in np.flatnonzero(own).tolist():
-        near = index.candidates(c) if box and hasattr(index, "candidates") else index.neighbours(c)
+        near = index.candidates(c) if box else index.neighbours(c)
         if box:
-            near = near[(np.abs(tile.cells[near] - tile.cells[c]) <= -(-(tile.d**0.5) // 1)).all(axis=1)]
+            near = near[(np.abs(tile.cells[near] - tile.cells[c]) <= reach(tile.d)).all(axis=1)]
         else:
             near = near[gaps2(tile.cells, c, near) < tile.d]
         a += [int(name[c])] * len(near)
         b += name[near].tolist()
     if a:
         yield _rows("pair", a, b, np.zeros(len(a)))
-    yield _rows("bytes", [0], [index.nbytes()], [time.perf_counter() - began])
 
 
-def run_tiles(dealt: DataFrame, kernel, schema: str, prm: ClusterParams, d: int, exact: bool) -> DataFrame:
-    """``kernel`` over every tile that owns a point."""
+def index_tile(table: pa.Table, prm: ClusterParams, d: int, exact: bool) -> Iterator[pa.RecordBatch]:
+    """One row: the index's bytes, the cells it finds for all own cells, and the seconds to build and ask it."""
+    tile = Tile(table, prm, d, exact)
+    own = np.flatnonzero(np.logical_or.reduceat(tile.own, tile.first[:-1]))
+    began = time.perf_counter()
+    index = make_index(tile, prm)
+    found = sum(map(len, index.each(own)))
+    yield _rows("index", [index.nbytes()], [found], [time.perf_counter() - began])
+
+
+def run_tiles(dealt: DataFrame, kernel, schema: str, prm: ClusterParams, d: int, exact: bool, by: list[str] | None = None) -> DataFrame:
+    """``kernel`` over every tile (or every task of a tile, by ``by``) that owns a point."""
 
     def run(table: pa.Table) -> pa.Table:
         batches = list(kernel(table, prm, d, exact)) if table.num_rows and pc.any(table.column("own")).as_py() else []
@@ -439,4 +559,4 @@ def run_tiles(dealt: DataFrame, kernel, schema: str, prm: ClusterParams, d: int,
     from pyspark.sql.types import _parse_datatype_string
 
     empty = to_arrow_schema(_parse_datatype_string(schema)).empty_table()
-    return dealt.groupBy("tile").applyInArrow(lambda table: run(table), schema)
+    return dealt.groupBy(*(by or ["tile"])).applyInArrow(lambda table: run(table), schema)

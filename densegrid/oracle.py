@@ -62,3 +62,17 @@ def neighbour_cells(fx: Fixture, eps: float, rule: str = "exact") -> str:
     differ = " OR ".join(f"a.c{i} <> b.c{i}" for i in range(d))
     cols = ", ".join(f"{s}.c{i} AS {s}{i}" for s in "ab" for i in range(d))
     return f"{cells(fx, eps)} SELECT {cols} FROM cells a JOIN cells b ON {near} AND ({differ})"
+
+
+def merge_bounds(fx: Fixture, eps: float, min_pts: int, full: tuple[str, ...], pruned: tuple[str, ...]) -> str:
+    """A row for each method: core cells, pairs of them that the strict corner rule calls near (each once), checks of the methods that skip none, unions that one forest makes."""
+    d = len(fx.features)
+    c = format(cell_scale(d, eps), ".17e")
+    at = ", ".join(f"CAST(floor(CAST(x{i} AS DOUBLE) * {c}) AS BIGINT) AS c{i}" for i in range(d))
+    gap = " + ".join(f"greatest(abs(a.c{i} - b.c{i}) - 1, 0) * greatest(abs(a.c{i} - b.c{i}) - 1, 0)" for i in range(d))
+    row = lambda c: f"({', '.join(f'{c}.c{i}' for i in range(d))})"
+    rows = " UNION ALL ".join(f"SELECT '{m}' AS variant, core_cells, considered, {'considered' if m in full else 'CAST(NULL AS BIGINT)'} AS full_checks, core_cells - clusters AS needed FROM n" for m in full + pruned)
+    return f"""{base(fx, eps, min_pts)},
+held AS MATERIALIZED (SELECT DISTINCT {", ".join(f"c{i}" for i in range(d))} FROM (SELECT {at} FROM pts WHERE id IN (SELECT id FROM core))),
+n AS MATERIALIZED (SELECT (SELECT count(*) FROM held) AS core_cells, (SELECT count(*) FROM held a JOIN held b ON {gap} < {d} AND {row("a")} < {row("b")}) AS considered, (SELECT count(DISTINCT root) FROM lab) AS clusters)
+{rows}"""

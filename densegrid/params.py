@@ -15,8 +15,8 @@ class ClusterParams:
 
     strict: pairs of cells that only rounding could bring within eps are not met, so
     that pairs count as the definition says. index_bytes: memory for bit tables in a
-    tile. tile_points: how many own points a tile should have; tile_limit: beyond how
-    many, halo included, it is dealt to several tasks.
+    tile. tile_points: how many own points a tile should have; tile_limit, tile_bytes:
+    beyond how many rows, halo included, or bytes it is dealt to several tasks.
     """
 
     eps: float
@@ -34,6 +34,7 @@ class ClusterParams:
     index_bytes: int = 256 << 20
     tile_points: int = 4_000
     tile_limit: int = 4_000_000
+    tile_bytes: int = 512 << 20
     driver_roots: int = 2_000_000
 
     def __post_init__(self):
@@ -47,5 +48,9 @@ class ClusterParams:
         if not 0 < self.rho:
             raise ValueError("rho must be positive")
 
+    def rows_limit(self, d: int) -> int:
+        """Rows of ``d`` coordinates that one task takes; a row is held three times."""
+        return max(2, min(self.tile_limit, self.tile_bytes // (24 * d + 64)))
+
     def with_(self, **changes) -> ClusterParams:
         return replace(self, **changes)

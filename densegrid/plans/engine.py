@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, functions as F
 from densegrid.functions.geometry import safe_reach
 from densegrid.operators import relational
 from densegrid.operators.components import forest_roots
-from densegrid.operators.tiles import OUT, deal, label_tile, merge_tile, plan_tiles, run_tiles
+from densegrid.operators.tiles import OUT, TilePlan, count_tile, deal, label_tile, merge_tile, part_hot, plan_tiles, run_tiles
 from densegrid.params import ClusterParams
 from densegrid.plans.lineage import cut
 from densegrid.sources.points import Points
@@ -37,18 +37,10 @@ def cluster(points: Points, prm: ClusterParams) -> ClusterResult:
         return relational.cluster_brute(points, prm)
     if prm.method == "bucket_pruned":
         return relational.cluster_buckets(points, prm)
-    d, exact, halo = points.dim, points.exact, safe_reach(points.dim)
     plan = plan_tiles(points, prm)
     if plan.points == 0:
         return ClusterResult(_labels(points.frame.select("id", F.lit(-1).cast("long").alias("cluster_id"), F.lit("noise").alias("role"))), points.frame.withColumn("cluster_id", F.lit(-1).cast("long")), _counts(points.frame.select(F.lit("counts").alias("kind"), F.col("id").alias("a"), F.col("id").alias("b"))))
-    kind = "bigint" if exact else "double"
-    dealt = deal(points.frame, plan, d, prm.eps, halo)
-    if plan.points > prm.tile_limit or plan.tiles > 1:
-        largest = dealt.groupBy("tile").count().agg(F.max("count")).first()[0]
-        if largest > prm.tile_limit:  # one box of cells holds more than a task should: no tiles then
-            return relational.cluster_buckets(points, prm)
-    flagged = cut(run_tiles(dealt, label_tile, f"id long, coord array<{kind}>, core boolean", prm, d, exact))
-    found = cut(run_tiles(deal(flagged, plan, d, prm.eps, halo), merge_tile, OUT, prm, d, exact))
+    flagged, found = _passes(points, prm, plan)
     roots = forest_roots(found.where("kind = 'link'").select("a", "b"), prm.driver_roots)
     names = found.where("kind = 'name'").select(F.col("a").alias("id"), F.col("b").alias("name"))
     core = names.join(roots, names["name"] == roots["node"], "left").select("id", F.coalesce("root", "name").alias("cluster_id"))
@@ -57,6 +49,36 @@ def cluster(points: Points, prm: ClusterParams) -> ClusterResult:
     return ClusterResult(labels, core.join(flagged.where("core").select("id", "coord"), "id"), _counts(found))
 
 
+def merge_rows(points: Points, prm: ClusterParams) -> DataFrame:
+    """What the tiles find: kind, a, b, v (``tiles.merge_tile``)."""
+    return _passes(points, prm, plan_tiles(points, prm))[1]
+
+
+def _passes(points: Points, prm: ClusterParams, plan: TilePlan) -> tuple[DataFrame, DataFrame]:
+    """Points with their core flags, and the rows of the merging pass.
+
+    A tile that holds more rows than a task should is dealt to several: its rows go
+    into groups by their ids, and each two groups meet in a task of their own. Other
+    tiles are left as they are.
+    """
+    d, exact, halo, limit = points.dim, points.exact, safe_reach(points.dim), prm.rows_limit(points.dim)
+    kind = "bigint" if exact else "double"
+    labelled = f"id long, coord array<{kind}>, core boolean"
+    dealt, hot = deal(points.frame, plan, d, prm.eps, halo), None
+    if plan.largest > limit // 2:  # the estimate is near the limit: count; there are at most rows / limit such tiles
+        over = dealt.groupBy("tile").count().where(F.col("count") > limit).select("tile", F.ceil(2 * F.col("count") / limit).cast("long").alias("groups")).collect()
+        hot = {r["tile"]: r["groups"] for r in over}
+    if not hot:
+        flagged = cut(run_tiles(dealt, label_tile, labelled, prm, d, exact))
+        return flagged, cut(run_tiles(deal(flagged, plan, d, prm.eps, halo), merge_tile, OUT, prm, d, exact))
+    calm, parted = part_hot(dealt, hot)
+    partial = run_tiles(parted, count_tile, f"id long, coord array<{kind}>, n long", prm, d, exact, ["tile", "low", "high"])
+    summed = partial.groupBy("id").agg(F.max("coord").alias("coord"), (F.sum("n") >= prm.min_pts).alias("core"))
+    flagged = cut(run_tiles(calm, label_tile, labelled, prm, d, exact).unionByName(summed))
+    calm, parted = part_hot(deal(flagged, plan, d, prm.eps, halo), hot)
+    return flagged, cut(run_tiles(calm, merge_tile, OUT, prm, d, exact).unionByName(run_tiles(parted, merge_tile, OUT, prm, d, exact, ["tile", "low", "high"])))
+
+
 def assign_roles(ids: DataFrame, core: DataFrame, touch: DataFrame, border_rule: str) -> DataFrame:
     """id, cluster_id, role from core (id, cluster_id) and touch (id, cluster_id, dist2): steps B1 to B4."""
     if border_rule == "all":

@@ -33,7 +33,7 @@ class Fixture:
         return f"SELECT CAST({self.text(self.id, True)} AS BIGINT) AS id, {cols} FROM {self.table}" + (f" WHERE {self.where}" if self.where else "")
 
 
-def spread(d: int, table: str = "orders", key: str = "o_orderkey", where: str = "", noisy: bool = False) -> Fixture:
+def spread(d: int, table: str = "orders", key: str = "o_orderkey", where: str = "", noisy: bool = False, id: str = "") -> Fixture:
     """The generator's twin in whole-number arithmetic: ten drifting clusters by key."""
     k, out = f"cast({key} as bigint)", []
     for i in range(d):
@@ -44,7 +44,7 @@ def spread(d: int, table: str = "orders", key: str = "o_orderkey", where: str =
         if noisy:
             x = f"CASE WHEN {k} % 97 = 0 THEN 1000 + ({k} * {mul} + {54321 * i + 7}) % 1000003 % 9001 ELSE {x} END"
         out.append(x)
-    return Fixture(table, key, tuple(out), where)
+    return Fixture(table, id or key, tuple(out), where)
 
 
 class Embedding(Fixture):
@@ -56,23 +56,43 @@ class Embedding(Fixture):
         return expr
 
 
+class Grams(Fixture):
+    """Whole texts as hashed word features: in thousandths, the share of words whose length and ends fall into each bin."""
+
+    def text(self, expr: str, duckdb: bool) -> str:
+        if not expr.isdigit():
+            return expr
+        words, code, size, fn = ("string_split(lower(coalesce(text, '')), ' ')", "unicode", "len", "list_filter") if duckdb else ("split(lower(coalesce(text, '')), ' ')", "ascii", "size", "filter")
+        arrow = "lambda w: " if duckdb else "w -> "
+        hits = f"{size}({fn}({words}, {arrow}(length(w) * 31 + {code}(concat(w, 'a')) * 7) % {len(self.features)} = {expr}))"
+        return f"cast({hits} as bigint) * 1000 {'//' if duckdb else 'div'} {size}({words})"
+
+
 LINE_ID = "((l_orderkey * 8 + l_linenumber) * 20000 + l_partkey) * 1000 + l_suppkey"
 
+#: Scalability: the generator's twin over three tables, each ten times (four times) the one before.
+SIZES = {"customer": ("c_custkey", ""), "orders": ("o_orderkey", ""), "lineitem": ("l_orderkey * 8 + l_linenumber", LINE_ID)}
+
 FIXTURES: dict[str, Fixture] = {
     "part2d": Fixture("part", "p_partkey", ("p_size * 100", "round(p_retailprice * 100)")),
     "events2d": Fixture("events", "event_id", ("{MINUTE}", "round(value * 100)")),
+    "events2d_fine": Fixture("events", "event_id", ("{MINUTE}", "round(value * 100)")),
     "customer2d": Fixture("customer", "c_custkey", ("round(c_acctbal * 100)", "c_nationkey * 10000")),
     "line7": Fixture("lineitem", LINE_ID, ("l_quantity * 20", "round(l_extendedprice / 100)", "round(l_discount * 100) * 100", "round(l_tax * 100) * 100", "l_linenumber * 150", "({DAY} * 2) {DIV} 5", "l_suppkey * 10")),
     "lattice4": Fixture("lineitem", LINE_ID, ("l_quantity", "round(l_discount * 100)", "round(l_tax * 100)", "l_linenumber")),
     **{f"emb{k}": Embedding("embeddings", "vec_id", tuple(map(str, range(k)))) for k in (10, 20, 30, 40, 54, 64)},
     **{f"spread{d}": spread(d) for d in (3, 10, 15, 20, 30, 40)},
     **{f"noisy{d}": spread(d, noisy=True) for d in (3, 10, 15, 20, 30, 40)},
+    **{f"{t}{d}": spread(d, t, k, id=i) for t, (k, i) in SIZES.items() for d in (3, 10, 15, 20, 30, 40, 54)},
+    "doc16": Grams("documents", "doc_id", tuple(map(str, range(16)))),
 }
 
 #: eps and min_pts by fixture.
 SETTINGS = {
     "part2d": (150, 4), "events2d": (300, 10), "customer2d": (5000, 4), "line7": (200, 10), "lattice4": (2, 180),
     "emb10": (2500, 4), "emb20": (4900, 4), "emb30": (6700, 4), "emb40": (8300, 4), "emb54": (10300, 4), "emb64": (11500, 4),
+    **{f"{t}{d}": s for t in SIZES for d, s in {3: (30, 20), 10: (80, 20), 15: (95, 30), 20: (110, 40), 30: (140, 70), 40: (160, 80), 54: (187, 90)}.items()},
+    "doc16": (12, 4), "events2d_fine": (200, 4),
     "spread3": (30, 20), "spread10": (80, 20), "spread15": (95, 30), "spread20": (110, 40), "spread30": (140, 70), "spread40": (160, 80),
     "noisy3": (30, 20), "noisy10": (80, 20), "noisy15": (95, 30), "noisy20": (110, 40), "noisy30": (140, 70), "noisy40": (160, 80),
 }
