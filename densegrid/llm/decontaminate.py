@@ -4,7 +4,10 @@ Test items are cut into segments, the documents of a small inverted index whose
 postings are sorted by segment and kept in blocks with their largest impact.
 Every training document is read as overlapping passages; each passage is a query.
 An item is reported when a passage scores at least ``THETA`` of a segment's own
-score and the text then shows the item's question or answer by shared word runs.
+score and the text then shows the item's question and its answer by shared word runs.
+
+Passages that can't reach the threshold for any segment are told by the segments'
+essential terms before the search (``ItemIndex.candidates``); none that can is lost.
 """
 
 from __future__ import annotations
@@ -218,8 +221,8 @@ def leaks(text: bytes | None, index: ItemIndex) -> list[tuple[int, float, float,
             near = ws[max(0, at - reach) : at + 2 * HALF + reach]
             for size in {RUN, *(len(p) for p in (q, a) if len(p) < RUN)}:
                 runs.update(tuple(near[k : k + size]) for k in range(len(near) - size + 1))
-        oq, oa = overlap(q, runs), overlap(a, runs) if a else 0.0
-        if max(oq, oa) >= OVERLAP:
+        oq, oa = overlap(q, runs), overlap(a, runs) if a else 1.0  # an item of one word has no answer apart
+        if min(oq, oa) >= OVERLAP:
             out.append((i, float(score), oq, oa))
     return out
 

@@ -30,7 +30,7 @@ FAMILIES = {
     "indic": "bn gu hi mr ne pa ur", "turkic": "az kk ky tr tt uz", "semitic": "am ar he mt", "celtic": "br cy ga gd",
 }
 _FAMILY = {lang: family for family, langs in FAMILIES.items() for lang in langs.split()}
-_LETTER = re.compile(r"[^\W\d_]")
+_LETTER = re.compile(rb"[A-Za-z]")
 
 
 def held_out(doc_id: Column, folds: int, fold: int) -> Column:
@@ -38,6 +38,11 @@ def held_out(doc_id: Column, folds: int, fold: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds)) == fold, F.lit(False))
 
 
+def has_letter(text: bytes | None) -> bool:
+    """Whether a text has a letter in the sense of Unicode; digits raised, circled or broken are none."""
+    return bool(text) and (bool(_LETTER.search(text)) or any(map(str.isalpha, text.decode("utf-8", "replace"))))
+
+
 def hash_share(doc_id: Column, salt: str) -> Column:
     """A value in 0..1 drawn from the id."""
     return F.xxhash64(F.lit(salt), doc_id).bitwiseAND(F.lit((1 << 30) - 1)) / float(1 << 30)
@@ -71,26 +76,32 @@ def sample_features(labelled: DataFrame) -> list[tuple[str, np.ndarray, np.ndarr
     return sorted(((r["label"], np.frombuffer(r["idx"], np.int32), np.frombuffer(r["val"], np.float32)) for r in rows), key=lambda x: (x[0], x[1].tobytes(), x[2].tobytes()))
 
 
-def fit_svm(x: np.ndarray, y: np.ndarray, c: float = 10.0, rounds: int = 30) -> np.ndarray:
+def fit_svm(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, c: float = 10.0, rounds: int = 30) -> np.ndarray:
     """Weights, the last one a bias, of a linear SVM with squared hinge loss: dual coordinate descent.
 
-    Classes weigh alike whatever their sizes.
+    ``rows`` are sparse (indices, values). Classes weigh alike whatever their sizes.
     """
-    x = np.hstack([x, np.ones((len(x), 1), np.float32)])
     weight = np.where(y > 0, len(y) / (2 * max(1, (y > 0).sum())), len(y) / (2 * max(1, (y < 0).sum())))
     slack = 1 / (2 * c * weight)
-    norm, alpha, w = (x.astype(np.float64) ** 2).sum(axis=1) + slack, np.zeros(len(x)), np.zeros(x.shape[1])
+    norm, alpha, w = np.array([1 + float((v * v).sum()) for _, v in rows]) + slack, np.zeros(len(rows)), np.zeros((1 << BITS) + 1)
     rng = np.random.default_rng(7)
     for _ in range(rounds):
-        for i in rng.permutation(len(x)):
-            g = y[i] * (x[i] @ w) - 1 + slack[i] * alpha[i]
+        for i in rng.permutation(len(rows)):
+            idx, val = rows[i]
+            g = y[i] * (val @ w[idx] + w[-1]) - 1 + slack[i] * alpha[i]
             new = max(0.0, alpha[i] - g / norm[i])
             if new != alpha[i]:
-                w += (new - alpha[i]) * y[i] * x[i]
+                step = (new - alpha[i]) * y[i]
+                w[idx] += step * val
+                w[-1] += step
                 alpha[i] = new
     return w
 
 
+def margins(rows: list[tuple[np.ndarray, np.ndarray]], w: np.ndarray) -> np.ndarray:
+    return np.array([val @ w[idx] for idx, val in rows]) + w[-1]
+
+
 def fit_sigmoid(margin: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     """Platt's a, b: P(y = 1) = 1 / (1 + exp(-(a m + b))), with his softened targets."""
     up, down = (y > 0).sum(), (y < 0).sum()
@@ -113,9 +124,7 @@ class LanguageModel:
 
     def __init__(self, rows: list[tuple[str, np.ndarray, np.ndarray]]):
         labels = np.array([r[0] for r in rows], object)
-        x = np.zeros((len(rows), 1 << BITS), np.float32)
-        for i, (_, idx, val) in enumerate(rows):
-            x[i, idx] = val
+        sparse = [(idx, val.astype(np.float64)) for _, idx, val in rows]
         self.languages = sorted(set(labels.tolist()))
         family = {lang: _FAMILY.get(lang, lang) for lang in self.languages}
         self.families = {f: [lang for lang in self.languages if family[lang] == f] for f in sorted(set(family.values()))}
@@ -124,11 +133,11 @@ class LanguageModel:
         weights, self.sigmoid = [], []
         for of, names in [(kin, list(self.families)), *((labels, langs) for langs in self.families.values())]:
             for a, b in combinations(names, 2):
-                take = (of == a) | (of == b)
-                y = np.where(of[take] == a, 1.0, -1.0)
-                w = fit_svm(x[take], y)
+                take = np.flatnonzero((of == a) | (of == b))
+                y, x = np.where(of[take] == a, 1.0, -1.0), [sparse[i] for i in take]
+                w = fit_svm(x, y)
                 self.pairs[("f:" if of is kin else "l:") + a, b] = len(weights)
-                self.sigmoid.append(fit_sigmoid(x[take] @ w[:-1] + w[-1], y))
+                self.sigmoid.append(fit_sigmoid(margins(x, w), y))
                 weights.append(w)
         stacked = np.array(weights).reshape(-1, (1 << BITS) + 1)
         self.weights, self.bias = np.ascontiguousarray(stacked[:, :-1].T, np.float32) * np.float32(SCALE), stacked[:, -1]
@@ -167,7 +176,7 @@ class LanguageModel:
                     best, p = self._choose(prob[at], "l:", langs)
                     lang[at], sure[at] = np.array(langs, object)[best], sure[at] * p
             for i, t in enumerate(part):
-                if not t or not _LETTER.search(t.decode("utf-8", "replace")):
+                if not has_letter(t):
                     lang[i], sure[i] = UNKNOWN, 0.0
             names += lang.tolist()
             scores.append(sure)

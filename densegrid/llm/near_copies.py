@@ -17,7 +17,8 @@ import xxhash
 from pyspark.sql import DataFrame, Window, functions as F
 
 from densegrid.llm._text import column, mix, of_columns, text_slices, words_of
-from densegrid.llm.simhash import links, simhash
+from densegrid.llm._skew import hot_join
+from densegrid.llm.simhash import leading_rows, links, simhash
 from densegrid.operators.components import components
 from densegrid.plans.lineage import cut
 from densegrid.plans.shipping import ship
@@ -78,7 +79,7 @@ def _common(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _marks(docs: DataFrame) -> DataFrame:
-    """(doc_id, node, n, fp, keys): node names the text's shingle set, keys is its prefix."""
+    """(doc_id, th, node, n, fp, keys): th is a hash of the text, node names the text's shingle set, keys is its prefix."""
     shipped = ship(docs.sparkSession, _common(docs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -90,9 +91,9 @@ def _marks(docs: DataFrame) -> DataFrame:
                 fps = np.array([simhash(t, SHINGLE) for t in texts], np.uint64).view(np.int64)
                 ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*keys, np.empty(0, np.int64)])))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(texts)), pa.array([_node(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(fps), lists], ["doc_id", "node", "n", "fp", "keys"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(texts)), batch.column(2).slice(at, len(texts)), pa.array([_node(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(fps), lists], ["doc_id", "th", "node", "n", "fp", "keys"])
 
-    return docs.mapInArrow(run, "doc_id long, node long, n long, fp long, keys array<long>")
+    return docs.withColumn("th", F.xxhash64("text")).mapInArrow(run, "doc_id long, th long, node long, n long, fp long, keys array<long>")
 
 
 def verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -119,7 +120,13 @@ def verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
 
 
 def near_copies(docs: DataFrame) -> DataFrame:
-    """(doc_id, component_id) for every row with a doc_id: the smallest doc_id reachable over links.
+    """(doc_id, component_id) for every row with a doc_id: the smallest doc_id reachable over links of likeness."""
+    rows = grouped(docs)
+    return hot_join(rows, rows.groupBy("root").agg(F.min("doc_id").alias("component_id")), "root").select("doc_id", "component_id")
+
+
+def grouped(docs: DataFrame) -> DataFrame:
+    """(doc_id, th, root) for every row with a doc_id: a hash of its text, and what names its group.
 
     Texts with one and the same set fold into a node first (sets are told apart by
     64-bit hashes); texts without words are one node. A shared shingle first pairs
@@ -149,16 +156,10 @@ def near_copies(docs: DataFrame) -> DataFrame:
     other = held.select("key", *[F.col(c).alias(f"{c}2") for c in ("node", "n", "root")])
     cross = held.join(other, "key").where((F.col("node") < F.col("node2")) & (F.col("root") != F.col("root2")) & near(F.col("n"), F.col("n2"))).select(F.col("node").alias("a"), F.col("node2").alias("b")).distinct()
     done = components(first.unionByName(verified(some, nodes, cut(cross))))
-    roots = nodes.join(done, "node", "left").select("node", "doc_id", F.coalesce("root", "node").alias("root"))
-    named = roots.join(roots.groupBy("root").agg(F.min("doc_id").alias("component_id")), "root").select("node", "component_id")
-    return marks.select("doc_id", "node").join(named, "node").select("doc_id", "component_id")
+    roots = nodes.join(done, "node", "left").select("node", F.coalesce("root", "node").alias("root"))
+    return cut(hot_join(marks.select("doc_id", "th", "node"), roots, "node").select("doc_id", "th", "root"))
 
 
 def drop_near_copies(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that lead their group: the smallest doc_id stays, with all its columns.
-
-    Rows whose doc_id is null stay. Of repeated rows of the leading id one stays.
-    """
-    leads = near_copies(docs).where("doc_id = component_id").select(F.col("doc_id").alias("_lead")).distinct()
-    led = docs.join(leads, docs["doc_id"] == leads["_lead"], "left_semi").dropDuplicates(["doc_id"])
-    return led.unionByName(docs.where("doc_id IS NULL"))
+    """The rows of ``docs`` that lead their group (``simhash.leading_rows``), with all their columns."""
+    return leading_rows(docs, grouped(docs))

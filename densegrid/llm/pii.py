@@ -20,7 +20,6 @@ from pyspark.sql import DataFrame
 from densegrid.llm._text import column, of_columns
 
 ROUNDS = 10
-KEY = b"set your own key"
 
 
 def permute(value: int, size: int, key: bytes, tweak: str) -> int:
@@ -49,12 +48,6 @@ def permute(value: int, size: int, key: bytes, tweak: str) -> int:
             return value
 
 
-def _moved(value: int, size: int, key: bytes, tweak: str) -> int:
-    """``permute`` without fixed points for all but tiny domains: a fixed point takes one more step."""
-    out = permute(value, size, key, tweak)
-    return permute((value + 1) % size, size, key, tweak + "'") if out == value else out
-
-
 def luhn_digit(payload: str) -> str:
     total = 0
     for i, c in enumerate(reversed(payload)):
@@ -81,12 +74,12 @@ def _number(text: str, key: bytes, kind: str, keep: int = 0) -> str:
     """Digits after the first ``keep`` permuted among all strings of as many digits."""
     d = _digits(text)
     n = len(d) - keep
-    return _refill(text, d[:keep] + str(_moved(int(d[keep:]), 10**n, key, f"{kind}{n}")).zfill(n)) if n > 0 else text
+    return _refill(text, d[:keep] + str(permute(int(d[keep:]), 10**n, key, f"{kind}{n}")).zfill(n)) if n > 0 else text
 
 
 def _card(text: str, key: bytes) -> str:
     d = _digits(text)
-    body = str(_moved(int(d[:-1]), 10 ** (len(d) - 1), key, f"card{len(d)}")).zfill(len(d) - 1)
+    body = str(permute(int(d[:-1]), 10 ** (len(d) - 1), key, f"card{len(d)}")).zfill(len(d) - 1)
     return _refill(text, body + luhn_digit(body))
 
 
@@ -95,7 +88,7 @@ def _ip(text: str, key: bytes) -> str:
     n = int.from_bytes(bytes(int(x) for x in text.split(".")), "big")
     low, high = next(r for r in ((0, 1), (1, 224), (224, 256)) if n < r[1] << 24)
     base, size = low << 24, (high - low) << 24
-    return ".".join(str(x) for x in (base + _moved(n - base, size, key, f"ip{low}")).to_bytes(4, "big"))
+    return ".".join(str(x) for x in (base + permute(n - base, size, key, f"ip{low}")).to_bytes(4, "big"))
 
 
 _FIRST, _LAST = datetime.date(1900, 1, 1).toordinal(), datetime.date(2099, 12, 31).toordinal()
@@ -109,16 +102,37 @@ def _day(y: int, m: int, d: int) -> int | None:
     return n if _FIRST <= n <= _LAST else None
 
 
+def _width(field: str, padded: bool) -> tuple[int, int]:
+    """The values that a day or month field can take without changing its look: fields of two digits are filled with zeros if all are."""
+    if len(field) == 1:
+        return 1, 9
+    return (1, 31) if padded else (10, 31) if field[0] != "0" else (1, 9)
+
+
+@lru_cache(maxsize=64)
+def _days(month: tuple[int, int], day: tuple[int, int], late: bool) -> tuple[list[int], dict[int, int]]:
+    """The dates of a look, and their places; ``late``: only those whose day can be no month."""
+    low = max(day[0], 13) if late else day[0]
+    found = [n for n in range(_FIRST, _LAST + 1) if month[0] <= (t := datetime.date.fromordinal(n)).month <= month[1] and low <= t.day <= day[1]]
+    return found, {n: i for i, n in enumerate(found)}
+
+
 def _date(m: re.Match, key: bytes) -> str | None:
-    """Year first, or day and month in the order that makes a valid date (day first if both do)."""
-    a, sep, b, c = m[1], m[2], m[3], m[4]
-    for order in ((0, 1, 2),) if len(a) == 4 else ((2, 1, 0), (2, 0, 1)):
-        parts = [a, b, c]
+    """Year first, or day and month in the order that makes a valid date (day first if both do).
+
+    The date is permuted among those that look alike: in the same order, with as
+    many digits in each field. So equal looks go to equal looks, one to one.
+    """
+    sep, parts = m[2], [m[1], m[3], m[4]]
+    for order in ((0, 1, 2),) if len(m[1]) == 4 else ((2, 1, 0), (2, 0, 1)):
         n = _day(*(int(parts[i]) for i in order))
         if n is not None:
-            day = datetime.date.fromordinal(_FIRST + _moved(n - _FIRST, _LAST - _FIRST + 1, key, "date"))
-            # two-digit fields stay two digits; a one-digit field takes what the day needs
-            new = {order[0]: f"{day.year:04}", order[1]: f"{day.month:02}", order[2]: f"{day.day:02}"}
+            month, day = parts[order[1]], parts[order[2]]
+            padded = len(month) == len(day) == 2
+            look = (_width(month, padded), _width(day, padded), order == (2, 0, 1))
+            found, place = _days(*look)
+            t = datetime.date.fromordinal(found[permute(place[n], len(found), key, f"date{look}")])
+            new = {order[0]: f"{t.year:04}", order[1]: f"{t.month:0{len(month)}}", order[2]: f"{t.day:0{len(day)}}"}
             return sep.join(new[i] for i in range(3))
     return None
 
@@ -133,7 +147,7 @@ def _word(text: str, key: bytes, kind: str) -> str:
     for c, s in zip(text, sets, strict=True):
         if s:
             n, size = n * len(s) + s.index(c.lower()), size * len(s)
-    n, out = _moved(n, size, key, kind + "".join(str(len(s)) for s in sets)), []
+    n, out = permute(n, size, key, kind + "".join(str(len(s)) for s in sets)), []
     for c, s in zip(reversed(text), reversed(sets), strict=True):
         if s:
             n, k = divmod(n, len(s))
@@ -144,7 +158,7 @@ def _word(text: str, key: bytes, kind: str) -> str:
 
 
 def _hex(text: str, key: bytes) -> str:
-    return format(_moved(int(text, 16), 16 ** len(text), key, f"hex{len(text)}"), f"0{len(text)}{'X' if text.upper() == text else 'x'}")
+    return format(permute(int(text, 16), 16 ** len(text), key, f"hex{len(text)}"), f"0{len(text)}{'X' if text.upper() == text else 'x'}")
 
 
 def _email(local: str, domain: str, key: bytes) -> str:
@@ -183,8 +197,8 @@ _PHONE = re.compile(r"(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?|\d{2,4}[ .-])\d{2
 _CARD = re.compile(r"\d(?:[ -]?\d){12,18}(?![\d])", re.A)
 _SSN = re.compile(r"(?!000|666|9\d\d)\d{3}-(?!00)\d{2}-(?!0000)\d{4}(?!\d)", re.A)
 _IBAN = re.compile(r"[A-Za-z]{2}\d{2}(?: ?[A-Za-z0-9]{4}){2,7}(?: ?[A-Za-z0-9]{1,4})?(?![A-Za-z0-9])", re.A)
-_HEXRUN = re.compile(r"[0-9a-f]{24,128}(?![0-9A-Za-z])|[0-9A-F]{24,128}(?![0-9A-Za-z])", re.A)
-_KEYRUN = re.compile(r"[A-Za-z0-9_\-]{20,200}(?![A-Za-z0-9])", re.A)
+_HEXRUN = re.compile(r"[0-9a-f]{24,}(?![0-9A-Za-z])|[0-9A-F]{24,}(?![0-9A-Za-z])", re.A)
+_KEYRUN = re.compile(r"[A-Za-z0-9_\-]{20,}(?![A-Za-z0-9])", re.A)
 _LOCAL = re.compile(r"[^\s@<>\"'(),;:\[\]\\|=]{1,64}\Z")
 _DOMAIN = re.compile(r"(?:[A-Za-z0-9](?:[A-Za-z0-9-]{0,62})\.)+[A-Za-z]{2,24}", re.A)
 _DIGIT = re.compile(r"[0-9]")
@@ -203,6 +217,14 @@ def _emails(text: str) -> list[tuple[int, int, str, str]]:
     return out
 
 
+def _is_phone(text: str) -> bool:
+    """Digit groups alone are any numbers: a phone number has a plus sign, an area code in brackets, a leading zero, or hyphens or dots in threes and fours."""
+    if text[0] in "+(0" or "(" in text:
+        return True
+    groups = re.split(r"[-.]", text)
+    return " " not in text and len(set(re.findall(r"[-.]", text))) == 1 and len(groups) == 3 and [len(g) for g in groups] in ([3, 3, 4], [3, 4, 4])
+
+
 def _at_digit(text: str, at: int, low: int) -> tuple[int, int, str] | None:
     """The value whose first digit stands at ``at``: start, end, kind. ``low``: what is free to its left."""
     head = _ALNUM.search(text, max(low, at - 200), at)
@@ -222,7 +244,7 @@ def _at_digit(text: str, at: int, low: int) -> tuple[int, int, str] | None:
             d = _digits(m[0])
             if kind == "card" and not is_luhn(d):
                 continue
-            if kind == "phone" and not 8 <= len(d) <= 15:
+            if kind == "phone" and not (8 <= len(d) <= 15 and _is_phone(m[0])):
                 continue
             if kind == "date" and (len(m[1]) == 4) == (len(m[4]) == 4):
                 continue
@@ -237,12 +259,14 @@ def _at_digit(text: str, at: int, low: int) -> tuple[int, int, str] | None:
     return None
 
 
-def pseudonymise(text: str | None, key: bytes = KEY) -> tuple[str | None, dict[str, int]]:
+def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, dict[str, int]]:
     """The text with every value found replaced, and how many of each kind.
 
     Kinds: email, ip, date, ssn, card (valid check digit), phone, iban (valid
     check), hex and key (secrets). Numbers that fail their check are no card and
-    stay. Mapping a value again gives another pseudonym: apply once.
+    stay. Each kind is permuted one to one among the values of its look, so different
+    values stay different (and one in as many as there are may map to itself).
+    Mapping a value again gives another pseudonym: apply once.
     """
     if not text or not (_DIGIT.search(text) or "@" in text):
         return text, {}
@@ -289,12 +313,14 @@ def pseudonymise(text: str | None, key: bytes = KEY) -> tuple[str | None, dict[s
     return "".join([*out, text[done:]]), counts
 
 
-def mask_documents(docs: DataFrame, key: bytes = KEY) -> DataFrame:
-    """(doc_id, text, n_found, kinds) for every row: pseudonyms in place, kinds as a sorted list.
+def mask_documents(docs: DataFrame, key: bytes) -> DataFrame:
+    """``key``: the caller's secret, at least eight bytes; equal keys link pseudonyms across runs. (doc_id, text, n_found, kinds) for every row: pseudonyms in place, kinds as a sorted list.
 
     Null texts stay null, empty ones empty. Null and repeated ids are carried
     along; other columns are ignored. No rows give no rows.
     """
+    if len(key) < 8:
+        raise ValueError("a key of at least eight bytes is needed")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

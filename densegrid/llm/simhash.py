@@ -15,8 +15,9 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
+from densegrid.llm._skew import hot_join
 from densegrid.llm._text import column, of_columns
 from densegrid.operators.components import components
 from densegrid.plans.lineage import cut
@@ -47,15 +48,19 @@ def simhash(text: bytes | None, shingle: int = SHINGLE, seed: int = SEED) -> int
     return int(np.packbits(ones * 2 > total, bitorder="little").view(np.uint64)[0])
 
 
+def text_hash(docs: DataFrame) -> Column:
+    return F.xxhash64(docs["text"].cast("binary"))
+
+
 def fingerprint_rows(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp): one row per document, fp as a signed 64-bit value."""
+    """(doc_id, fp, th): one row per document, fp as a signed 64-bit value, th a hash of the text as it stands."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fps = np.array([simhash(t) for t in column(batch, "text")], np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64)), batch.column(2)], ["doc_id", "fp", "th"])
 
-    return of_columns(docs, doc_id="long", text="binary").mapInArrow(run, "doc_id long, fp long")
+    return of_columns(docs, doc_id="long", text="binary").withColumn("th", F.xxhash64("text")).mapInArrow(run, "doc_id long, fp long, th long")
 
 
 def gray_rank(fps: np.ndarray) -> np.ndarray:
@@ -180,6 +185,15 @@ def links(prints: DataFrame, limit: int = LIMIT, bucket: int = BUCKET) -> DataFr
     return run.mapInArrow(search, "a long, b long")
 
 
+def grouped(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
+    """(doc_id, fp, th, root) for every row: ``th`` is a hash of its text, ``root`` names its component."""
+    prints = cut(fingerprint_rows(docs))
+    folded = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    found = components(links(folded.select("fp"), limit))
+    roots = folded.join(found, folded["fp"] == found["node"], "left").select("fp", F.coalesce("root", "fp").alias("root"))
+    return cut(hot_join(prints, roots, "fp"))
+
+
 def near_duplicates(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id for every row of ``docs``.
 
@@ -189,19 +203,23 @@ def near_duplicates(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
     are rows like any other. Equal fingerprints fold before the search, so groups
     of copies cost one entry. No rows give no rows; other columns are ignored.
     """
-    prints = cut(fingerprint_rows(docs))
-    folded = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    found = components(links(folded.select("fp"), limit))
-    roots = folded.join(found, folded["fp"] == found["node"], "left").select("fp", F.coalesce("root", "fp").alias("root"), "least")
-    named = roots.join(roots.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    rows = grouped(docs, limit)
+    least = rows.groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    return hot_join(rows, least, "root").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def drop_near_duplicates(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
-    """The rows of ``docs`` that lead their group: the smallest doc_id stays, with all its columns.
+def leading_rows(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The row of ``docs`` that leads each of the ``groups`` (doc_id, th, root): the smallest doc_id, then text hash.
 
-    Rows whose doc_id is null stay. Of repeated rows of the leading id one stays.
+    Rows are told apart by id and text, so an id with two texts may lead two groups.
+    Rows without a doc_id stay; of repeated rows one does.
     """
-    groups = near_duplicates(docs, limit).where("doc_id = component_id").select(F.col("doc_id").alias("_lead")).distinct()
-    led = docs.join(groups, docs["doc_id"] == groups["_lead"], "left_semi").dropDuplicates(["doc_id"])
+    leads = groups.where("doc_id IS NOT NULL").groupBy("root").agg(F.min(F.struct("doc_id", "th")).alias("m")).select(F.col("m.doc_id").alias("_lead"), F.col("m.th").alias("_hash")).distinct()
+    marked = docs.withColumn("_th", text_hash(docs))
+    led = marked.join(leads, (F.col("doc_id").cast("long") == F.col("_lead")) & (F.col("_th") == F.col("_hash")), "left_semi").dropDuplicates(["doc_id", "_th"]).drop("_th")
     return led.unionByName(docs.where("doc_id IS NULL"))
+
+
+def drop_near_duplicates(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
+    """The rows of ``docs`` that lead their group (``leading_rows``), with all their columns."""
+    return leading_rows(docs, grouped(docs, limit))

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, lm_score, pii, quality, queries, sentencepiece_codec, simhash
 
 RNG = random.Random(7)
+KEY = b"a key of the tests"
 SYLLABLES = "tion an re er th ing on st en ou ly ea".split()
 
 
@@ -152,10 +153,10 @@ def test_every_passage_above_threshold_is_a_candidate():
 def test_leaks(spark, hard, empty):
     rng = random.Random(9)
     items = [(i, (prose(12, rng) + "?\n" + prose(14, rng) + ".")) for i in range(20)]
-    docs = [(i, prose(100, rng) + " " + t.upper().replace(" ", "  ") + " " + prose(100, rng)) for i, t in items if i % 2] + [(100 + i, prose(300, rng)) for i in range(20)] + [(200, " ".join(items[4][1].split()[:13]) + " " + prose(80, rng))]
+    docs = [(i, prose(100, rng) + " " + t.upper().replace(" ", "  ") + " " + prose(100, rng)) for i, t in items if i % 2] + [(100 + i, prose(300, rng)) for i in range(20)] + [(200, " ".join(items[4][1].split()[:13]) + " " + prose(80, rng))]  # the last has a question without its answer
     bench = spark.createDataFrame(items + [(None, None), (77, "")], "item_id bigint, text string")
     df = spark.createDataFrame(docs, "doc_id bigint, text string")
-    want = {(i, i) for i, _ in items if i % 2} | {(200, 4)}
+    want = {(i, i) for i, _ in items if i % 2}
     for size in (1000, 3):  # one index, or many
         assert {(r["doc_id"], r["item_id"]) for r in decontaminate.find_leaks(df, bench, size).collect()} == want
     kept = {r["doc_id"] for r in decontaminate.drop_leaking(df, bench).collect()}
@@ -386,25 +387,25 @@ VALUES = {
 @pytest.mark.parametrize("kind", VALUES)
 def test_formats(kind):
     v = VALUES[kind]
-    out, n = pii.pseudonymise(f"before {v}, after ({v}) end")
+    out, n = pii.pseudonymise(f"before {v}, after ({v}) end", KEY)
     assert n == {kind: 2} and v not in out and out.startswith("before ") and out.endswith(" end")
     new = out[7:].partition(", after (")[0]
     assert out == f"before {new}, after ({new}) end"  # equal values stay linked
     shape = lambda s: "".join("9" if c.isdigit() else "a" if c.isalpha() else c for c in s)
     if kind not in ("hex", "iban", "ip"):
         assert shape(new) == shape(v)
-    assert pii.pseudonymise(new)[1] == {kind: 1}  # still a valid value of its kind
+    assert pii.pseudonymise(new, KEY)[1] == {kind: 1}  # still a valid value of its kind
     assert pii.pseudonymise(v, b"another key")[0] != new
 
 
 def test_what_is_no_personal_data_stays():
     for t in ("version 3.0 and 2.5", "1234567890123456", "CC BY-NC 4.0", "12345 people in 2024", "31/31/2020", "a@b", "@ 7", "", None, "300.1.2.3"):
-        assert pii.pseudonymise(t) == (t, {})
+        assert pii.pseudonymise(t, KEY) == (t, {})
 
 
 def test_masked_documents(spark, sf, hard, empty):
-    assert pii.mask_documents(hard).count() == hard.count() and pii.mask_documents(empty).count() == 0
-    assert pii.mask_documents(hard).where("doc_id = 0").first()["text"] is None
+    assert pii.mask_documents(hard, KEY).count() == hard.count() and pii.mask_documents(empty, KEY).count() == 0
+    assert pii.mask_documents(hard, KEY).where("doc_id = 0").first()["text"] is None
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", F.col("text").alias("old"))
     rows = queries.op9_pii(spark, sf).join(docs, "doc_id").collect()
     for r in rows:

@@ -5,7 +5,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from densegrid.llm import decontaminate, langid, sentencepiece_codec
-from tests.llm.test_operators import groups, prose, python_dedup, python_simhash
+from tests.llm.test_near_copies import leaders
+from tests.llm.test_operators import prose, python_dedup
 
 
 def test_stage_order():
@@ -18,16 +19,16 @@ def test_pipeline_equals_brute_force(spark, sf):
     rows = {r["doc_id"]: r["text"] for r in docs.collect()}
     rows = {i: t for i, t in rows.items() if t and any(c.isalpha() for c in t)}
     rows = python_dedup(rows.items())
-    ids = sorted(rows)
-    label = groups([python_simhash(rows[i]) for i in ids])
-    rows = {i: rows[i] for k, i in enumerate(ids) if label[k] == k}
+    lead = leaders(rows)
+    rows = {i: rows[i] for i in sorted(rows) if lead[i] == i}
     items = [(r["item_id"], r["text"].encode()) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
-    runs = {i: {tuple(w[k : k + 5]) for w in [decontaminate.words(t)] for k in range(len(w) - 4)} for i, t in items}
+    asked = [decontaminate.question_answer(t) for _, t in items]
     kept = {}
     for i, t in rows.items():
         w = decontaminate.words(t.encode())
         have = {tuple(w[k : k + 5]) for k in range(len(w) - 4)}
-        if not any(len(r & have) / len(r) >= 0.5 for r in runs.values()):
+        share = lambda part: decontaminate.overlap(part, have | {tuple(w[k : k + n]) for n in range(1, 5) for k in range(len(w) - n + 1)})  # noqa: B023, E731
+        if not any(all(share(p) >= 0.5 for p in parts if p) for parts in asked):
             kept[i] = t
     import sentencepiece
 
@@ -36,6 +37,19 @@ def test_pipeline_equals_brute_force(spark, sf):
     assert got == {i: lib.encode(t) for i, t in kept.items()}
 
 
+@pytest.mark.parametrize("k", range(5))
+def test_stages_take_nulls_repeated_ids_clashing_columns_and_no_rows(spark, sf, k):
+    rows = [(1, "a first text that has its own words to say", "en", "s", 1), (1, "zwei andere ganz eigene worte stehen hier drin", "de", "s", 1), (1, "a first text that has its own words to say", "en", "s", 1), (None, "a text without any id at all here", None, None, None), (None, None, None, None, None), (7, None, "en", None, None), (8, "", "en", "s", 0), (9, "x" * 5000, "en", "s", 5000)]
+    docs = spark.createDataFrame([(*r, 1.0, "x", [1], 2, True) for r in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint, score double, node string, ids array<int>, n_tokens int, _th boolean")
+    stage = corpus_pipeline.STAGES[k][1]
+    kept = {(r["doc_id"], r["text"]) for r in stage(spark, docs, sf).collect()} if k < 4 else None
+    if k == 4:
+        assert stage(spark, docs, sf).count() == len(rows)
+    else:
+        assert {(1, rows[0][1]), (1, rows[1][1]), (None, rows[3][1])} <= kept  # both texts of the repeated id stay
+    assert stage(spark, docs.limit(0), sf).count() == 0
+
+
 @pytest.mark.parametrize("k", range(4))
 def test_stages_keep_columns_and_clean_documents(spark, sf, k):
     rng = random.Random(k)
