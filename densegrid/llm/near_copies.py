@@ -20,7 +20,7 @@ from densegrid.llm._text import column, mix, of_columns, text_slices, words_of
 from densegrid.llm._skew import hot_join
 from densegrid.llm.simhash import leading_rows, links, simhash
 from densegrid.operators.components import components
-from densegrid.plans.lineage import cut
+from densegrid.plans.lineage import Cut, cut
 from densegrid.plans.shipping import ship
 
 SHINGLE = 5
@@ -104,19 +104,27 @@ def verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for _, texts in text_slices(batch, "text"):
-                sets = list(shingle_sets(texts))
-                yield pa.RecordBatch.from_arrays([pa.array([_node(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "shingles"])
+                pressed = [pa.compress(t or b"", codec="zstd", asbytes=True) for t in texts]
+                yield pa.RecordBatch.from_arrays([pa.array([_node(s) for s in shingle_sets(texts)], pa.int64()), pa.array([len(t or b"") for t in texts], pa.int64()), pa.array(pressed, pa.binary())], ["node", "size", "text"])
 
-    sets = cut(docs.join(ids, "doc_id", "left_semi").select("text").mapInArrow(read, "node long, shingles binary"))  # repeated ids may repeat a set, which only repeats links
+    # Compressed texts take a third of the room of shingle sets, which are made again where two texts meet.
+    held = Cut(docs.join(ids, "doc_id", "left_semi").select("text").mapInArrow(read, "node long, size long, text binary"))  # repeated ids may repeat a text, which only repeats links
 
     def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, own = None, None
         for batch in batches:
-            x, y = column(batch, "x"), column(batch, "y")
-            good = [alike(np.frombuffer(s, np.uint64), np.frombuffer(t, np.uint64)) for s, t in zip(x, y, strict=True)]
+            good = []
+            for a, m, x, n, y in zip(*(column(batch, c) for c in ("a", "m", "x", "n", "y")), strict=True):
+                if a != last:  # the rows come sorted by their first text
+                    last, own = a, next(shingle_sets([pa.decompress(x, m, "zstd", asbytes=True) if m else b""]))
+                good.append(alike(own, next(shingle_sets([pa.decompress(y, n, "zstd", asbytes=True) if n else b""]))))
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    met = pairs.join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("y")), "b").join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("x")), "a")
-    return met.select("a", "b", "x", "y").mapInArrow(test, "a long, b long")
+    side = lambda node, size, text: held.frame.select(F.col("node").alias(node), F.col("size").alias(size), F.col("text").alias(text))
+    met = pairs.join(side("b", "n", "y"), "b").join(side("a", "m", "x"), "a")
+    out = cut(met.select("a", "b", "m", "x", "n", "y").mapInArrow(test, "a long, b long"))
+    held.drop()
+    return out
 
 
 def near_copies(docs: DataFrame) -> DataFrame:
@@ -148,7 +156,7 @@ def grouped(docs: DataFrame) -> DataFrame:
     index = links(prints.select("fp"))
     at = [prints.select(F.col("fp").alias(c), F.col("least").alias(f"_{c}")) for c in "ab"]
     bits = index.join(at[0], "a").join(at[1], "b").select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b"))
-    first = cut(verified(some, nodes, cut(star.unionByName(same).unionByName(bits).distinct())))
+    first = verified(some, nodes, cut(star.unionByName(same).unionByName(bits).distinct()))
     found = cut(components(first))
     held = shared.join(found, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
     apart = held.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 < r1").select("key")
