@@ -16,9 +16,9 @@ from densegrid.operators.tiles import deal, label_tile, plan_tiles, run_tiles
 from densegrid.functions.geometry import safe_reach
 from densegrid.params import ClusterParams
 from densegrid.plans.engine import cluster
-from densegrid.sources.points import Points, as_points, fold_duplicates, load_table
+from densegrid.sources.points import Points, fold_duplicates, load_table, scale_features
 from densegrid.sql import register
-from densegrid.streaming import windows
+from densegrid.streaming import incremental, windows
 
 Query = Callable[[SparkSession, str], DataFrame]
 _QUERIES: dict[str, Query] = {}
@@ -266,10 +266,65 @@ _add("core_minus_noise_parts", lambda s, d: load_table(s, d, "part").select(F.co
 _add("clustered_users_semi", lambda s, d: load_table(s, d, "events").join(_labels(s, d, "events2d").where("role = 'core'").withColumnRenamed("id", "event_id"), "event_id", "left_semi").select("user_id").distinct(), f"{_lbl} SELECT DISTINCT user_id FROM events WHERE event_id IN (SELECT id FROM lbl WHERE role = 'core')")
 _add("noise_share_by_day", lambda s, d: _labelled_events(s, d).groupBy(F.to_date("ts").alias("day")).agg(F.count_if(F.col("role") == "noise").alias("noise"), F.count("*").alias("n")), f"{_lbl} SELECT CAST(ts AS DATE) AS day, count(*) FILTER (role = 'noise') AS noise, count(*) AS n FROM lbl JOIN events ON lbl.id = event_id GROUP BY 1")
 _add("json_feature_clusters", lambda s, d: _labelled_events(s, d).where("role = 'core'").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n")), f"{_lbl} SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM lbl JOIN events ON lbl.id = event_id WHERE role = 'core' GROUP BY 1")
-_add("k_distance_part2d", lambda s, d: profile.k_distance(_points(s, d, "part2d"), 4, 400), f"WITH pts AS ({w.FIXTURES['part2d'].select()}), nb AS (SELECT a.id, {oracle.dist2_sql(2)} AS dist2, row_number() OVER (PARTITION BY a.id ORDER BY {oracle.dist2_sql(2)}, b.id) AS turn FROM pts a JOIN pts b ON {oracle.dist2_sql(2)} <= 160000) SELECT id, dist2 FROM nb WHERE turn = 4")
+_add("k_distance_part2d", lambda s, d: profile.k_distance(_points(s, d, "part2d"), 4, 400), f"WITH pts AS ({w.FIXTURES['part2d'].select()}), nb AS (SELECT a.id, {oracle.dist2_sql(2)} AS dist2, row_number() OVER (PARTITION BY a.id ORDER BY {oracle.dist2_sql(2)}, b.id) AS turn FROM pts a, pts b) SELECT id, dist2 FROM nb WHERE turn = 4")
 _add("suggest_eps_part2d", lambda s, d: profile.suggest_eps(_points(s, d, "part2d"), 4, 400))
 
 
+def _latest_core(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each event with its user's latest core event at that time or before."""
+    rows = _labelled_events(spark, sf_dir)
+    marks = rows.where("role = 'core'").select("user_id", "ts", F.col("id").alias("core_id"))
+    return profile.latest_before(rows.select("id", "user_id", "ts"), marks, "user_id", "ts", "core_id").select("id", "core_id")
+
+
+_add("asof_latest_core_event", _latest_core, f"{_lbl}, mark AS (SELECT user_id, ts, max(id) AS core_id FROM lbl JOIN events ON id = event_id WHERE role = 'core' GROUP BY ALL) SELECT e.event_id AS id, m.core_id FROM events e ASOF LEFT JOIN mark m ON e.user_id = m.user_id AND e.ts >= m.ts")
+
+
+def _grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    _labelled_events(spark, sf_dir).createOrReplaceTempView("densegrid_labelled")
+    return spark.sql("SELECT role, event_type, count(*) AS n, CAST(grouping_id(role, event_type) AS BIGINT) AS level FROM densegrid_labelled GROUP BY GROUPING SETS ((role, event_type), (role), ())")
+
+
+_add("profile_grouping_sets_events2d", _grouping_sets, f"{_lbl} SELECT role, event_type, count(*) AS n, CAST(grouping_id(role, event_type) AS BIGINT) AS level FROM lbl JOIN events ON lbl.id = event_id GROUP BY GROUPING SETS ((role, event_type), (role), ())")
+
+
+def _frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = _labels(spark, sf_dir, "part2d").where("cluster_id >= 0").join(load_table(spark, sf_dir, "part").select(F.col("p_partkey").alias("id"), F.col("p_size").cast("long").alias("size")), "id")
+    by = Window.partitionBy("cluster_id").orderBy("size", "id")
+    near = Window.partitionBy("cluster_id").orderBy("size").rangeBetween(-5, 5)
+    return rows.select("id", F.row_number().over(by).cast("long").alias("place"), F.dense_rank().over(Window.partitionBy("cluster_id").orderBy("size")).cast("long").alias("dense"), F.ntile(4).over(by).cast("long").alias("quarter"), F.first_value("id").over(by).alias("first_id"), F.lead("id").over(by).alias("next_id"), F.count("*").over(near).alias("alike"), F.sum("size").over(by.rowsBetween(-2, 2)).alias("around"))
+
+
+_add("cluster_frames_part2d", _frames, f"{oracle.labels(w.FIXTURES['part2d'], *w.SETTINGS['part2d'])} SELECT id, row_number() OVER b AS place, dense_rank() OVER (PARTITION BY cluster_id ORDER BY p_size) AS dense, ntile(4) OVER b AS quarter, first_value(id) OVER b AS first_id, lead(id) OVER b AS next_id, count(*) OVER (PARTITION BY cluster_id ORDER BY p_size RANGE BETWEEN 5 PRECEDING AND 5 FOLLOWING) AS alike, CAST(sum(p_size) OVER (PARTITION BY cluster_id ORDER BY p_size, id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS around FROM lbl JOIN part ON id = p_partkey WHERE cluster_id >= 0 WINDOW b AS (PARTITION BY cluster_id ORDER BY p_size, id)")
+_add("same_role_intersect_events2d", lambda s, d: _labels(s, d, "events2d").where("role = 'core'").select("id").intersect(_labels(s, d, "events2d_fine").where("role = 'core'").select("id")).union(_labels(s, d, "events2d").where("role = 'noise'").select("id").intersect(_labels(s, d, "events2d_fine").where("role = 'noise'").select("id"))), f"WITH a AS ({_sql('events2d')}), b AS ({_sql('events2d_fine')}) SELECT id FROM a WHERE role = 'core' INTERSECT SELECT id FROM b WHERE role = 'core' UNION ALL (SELECT id FROM a WHERE role = 'noise' INTERSECT SELECT id FROM b WHERE role = 'noise')")
+_add("points_in_box_events2d", lambda s, d: neighbours.in_box(_points(s, d, "events2d"), [5000, 1000], [20000, 4000]).select("id"), f"WITH pts AS ({_ev.select()}) SELECT id FROM pts WHERE x0 BETWEEN 5000 AND 20000 AND x1 BETWEEN 1000 AND 4000")
+_add("points_in_ball_events2d", lambda s, d: neighbours.in_ball(_points(s, d, "events2d"), [20000, 3000], 2500).select("id", "dist2"), f"WITH pts AS ({_ev.select()}) SELECT id, (x0 - 20000) * (x0 - 20000) + (x1 - 3000) * (x1 - 3000) AS dist2 FROM pts WHERE (x0 - 20000) * (x0 - 20000) + (x1 - 3000) * (x1 - 3000) <= 6250000")
+
+
+def _one_cell(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cells = cell_summary(_points(spark, sf_dir, "events2d"), _params("events2d"))
+    fullest = cells.orderBy(F.desc("n"), "gid").first()["gid"]
+    return _flat_cells(neighbours.neighbours_of(cells, fullest, 2, _params("events2d")), 2)
+
+
+_add("neighbours_of_fullest_events2d", _one_cell, f"{oracle.cells(_ev, 300)} SELECT b.c0, b.c1 FROM (SELECT * FROM cells ORDER BY n DESC, c0, c1 LIMIT 1) a JOIN cells b ON greatest(abs(a.c0 - b.c0) - 1, 0) ** 2 + greatest(abs(a.c1 - b.c1) - 1, 0) ** 2 < 2 AND (a.c0 <> b.c0 OR a.c1 <> b.c1)")
+_add("scaled_features_part2d", lambda s, d: cluster(scale_features(_points(s, d, "part2d"), [0.5, 0.5], [100, 90000]), ClusterParams(75, 4)).labels, _sql("part2d"))
+_add("clusters_folded_lattice4", lambda s, d: _labels(s, d, "lattice4", fold=True), _sql("lattice4"))
+_add("clusters_folded_part2d", lambda s, d: _labels(s, d, "part2d", fold=True), _sql("part2d"))
+
+
+def _inserted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All parts, put in by thirds."""
+    points, prm = _points(spark, sf_dir, "part2d"), _params("part2d")
+    state = incremental.empty_state(points)
+    for k in range(3):
+        state = incremental.insert_points(state, points.with_frame(points.frame.where(F.pmod("id", F.lit(3)) == k)), prm)
+    return incremental.state_labels(state, points, prm)
+
+
+_add("clusters_incremental_part2d", _inserted, _sql("part2d"))
+
+
 def _assign(spark: SparkSession, sf_dir: str) -> DataFrame:
     prm = _params("part2d")
     return profile.assign_new(cluster(_points(spark, sf_dir, "part2d"), prm).core, _FRESH.points(spark, sf_dir), prm)
@@ -306,6 +361,7 @@ _add("clusters_by_event_type_udtf", _by_type, _by_type_sql())
 # Streams.
 _add("stream_window_cell_counts", lambda s, d: windows.drain(windows.window_cell_counts(windows.event_stream(s, d)), "densegrid_windows").withColumn("start", F.date_format("start", "yyyy-MM-dd")), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS start, CAST(floor(round(value * 100) / 5000) AS BIGINT) AS cell, count(*) AS n FROM events GROUP BY 1, 2")
 _add("batch_window_cell_counts", lambda s, d: windows.window_cell_counts(load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))).withColumn("start", F.date_format("start", "yyyy-MM-dd")), _SQL["stream_window_cell_counts"])
+_add("stream_sliding_counts", lambda s, d: windows.drain(windows.window_cell_counts(windows.event_stream(s, d), "2 days", slide="1 day"), "densegrid_sliding").withColumn("start", F.date_format("start", "yyyy-MM-dd")), "SELECT strftime(day - to_days(k), '%Y-%m-%d') AS start, cell, count(*) AS n FROM (SELECT date_trunc('day', ts) AS day, CAST(floor(round(value * 100) / 5000) AS BIGINT) AS cell FROM events), (VALUES (0), (1)) t(k) GROUP BY 1, 2")
 _add("stream_dense_cells", lambda s, d: windows.drain(windows.dense_cells(windows.event_stream(s, d), 50), "densegrid_dense", "append"), "SELECT cell, CAST(50 AS BIGINT) AS n FROM (SELECT CAST(floor(round(value * 100) / 5000) AS BIGINT) AS cell FROM events) GROUP BY cell HAVING count(*) >= 50")
 
 

@@ -10,8 +10,9 @@ from itertools import product
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-from densegrid.functions.geometry import cell_gap2, reach, reachable_offset_count, safe_reach
+from densegrid.functions.geometry import cell_gap2, dist2, eps2, reach, reachable_offset_count, safe_reach
 from densegrid.params import ClusterParams
+from densegrid.sources.points import Points
 
 BUCKET_BITS = 32_768
 
@@ -89,6 +90,21 @@ def neighbours_by_buckets(cells: DataFrame, d: int, prm: ClusterParams, m: int =
     return left.join(right, [f"b{i}" for i in dims]).where((F.col("gid_a") != F.col("gid_b")) & near).select("gid_a", "gid_b")
 
 
+def in_box(points: Points, low: list[float], high: list[float]) -> DataFrame:
+    """The points within a closed box, by a range in every dimension."""
+    inside = F.lit(True)
+    for i, (a, b) in enumerate(zip(low, high, strict=True)):
+        inside &= F.col("coord")[i].between(a, b)
+    return points.frame.where(inside)
+
+
+def in_ball(points: Points, centre: list[float], eps: float) -> DataFrame:
+    """The points within eps of a place, with their squared distances; the ball's box is tested first."""
+    at = F.array(*[F.lit(int(x) if points.exact else float(x)) for x in centre]).cast(f"array<{'bigint' if points.exact else 'double'}>")
+    near = in_box(points, [x - eps for x in centre], [x + eps for x in centre])
+    return near.withColumn("dist2", dist2(F.col("coord"), at, points.exact)).where(F.col("dist2") <= eps2(eps, points.exact))
+
+
 def neighbours_of(cells: DataFrame, gid: int, d: int, prm: ClusterParams) -> DataFrame:
     """The neighbours of one cell: a range in every dimension."""
     at = cells.where(F.col("gid") == gid).select("cell").first()["cell"]

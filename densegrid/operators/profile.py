@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from densegrid.functions.geometry import eps2
 from densegrid.operators.relational import eps_neighbours
 from densegrid.params import ClusterParams
+from densegrid.plans.lineage import cut
 from densegrid.sources.points import Points
 
 
@@ -20,10 +21,37 @@ def cluster_profile(labels: DataFrame, points: Points) -> DataFrame:
 
 
 def k_distance(points: Points, k: int, radius: float) -> DataFrame:
-    """id, dist2 to the k-th nearest point, itself the first; points with fewer within ``radius`` are left out."""
-    near = eps_neighbours(points, ClusterParams(radius, 1))
-    turn = F.row_number().over(Window.partitionBy("id").orderBy("dist2", "nbr_id"))
-    return near.withColumn("turn", turn).where(F.col("turn") == k).select("id", "dist2")
+    """id, dist2 to the k-th nearest point, itself the first; none where there are fewer than k points.
+
+    Points with fewer than k within ``radius`` are asked again with twice the radius,
+    until each has its k: ``radius`` only decides how much work that is.
+    """
+    every, out = points.frame, None
+    if every.limit(k).count() < k:
+        return every.select("id", F.lit(None).cast("bigint" if points.exact else "double").alias("dist2")).limit(0)
+    open_ = points
+    while True:
+        near = eps_neighbours(open_, ClusterParams(radius, 1), others=every)
+        turn = F.row_number().over(Window.partitionBy("id").orderBy("dist2", "nbr_id"))
+        found = cut(near.withColumn("turn", turn).where(F.col("turn") == k).select("id", "dist2"))
+        out = found if out is None else out.unionByName(found)
+        left = cut(open_.frame.join(found.select("id"), "id", "left_anti"))
+        if left.isEmpty():
+            return out
+        open_, radius = points.with_frame(left.select("id", "coord")), radius * 2
+
+
+def latest_before(events: DataFrame, marks: DataFrame, key: str, time: str, value: str) -> DataFrame:
+    """``events`` with the latest ``value`` that ``marks`` (key, time, value) has for its key at its time or before: an as-of join.
+
+    Both sides go through one sort by key and time, so no two rows are paired; null
+    where nothing is early enough. Of marks at one time the largest value counts.
+    """
+    left = events.withColumn("_turn", F.lit(1)).withColumn("_value", F.lit(None).cast(dict(marks.dtypes)[value]))
+    right = marks.groupBy(key, time).agg(F.max(value).alias("_value")).withColumn("_turn", F.lit(0))
+    past = Window.partitionBy(key).orderBy(time, "_turn").rowsBetween(Window.unboundedPreceding, 0)
+    seen = left.unionByName(right, allowMissingColumns=True).withColumn(value, F.last("_value", ignorenulls=True).over(past))
+    return seen.where("_turn = 1").select(*events.columns, value)
 
 
 def suggest_eps(points: Points, min_pts: int, radius: float, quantiles: tuple[float, ...] = (0.5, 0.75, 0.9, 0.95)) -> DataFrame:

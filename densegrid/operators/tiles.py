@@ -133,7 +133,7 @@ class Tile:
         self.order = order
         self.x, self.ids, cell = x[order], ids[order], cell[order]
         self.own = table.column("own").to_numpy(zero_copy_only=False).astype(bool)[order]
-        self.weight = np.ones(len(ids), np.int64)
+        self.weight = table.column("weight").to_numpy()[order] if "weight" in table.column_names else np.ones(len(ids), np.int64)
         #: In a task of a hot tile, the group of each row and whether there are two groups.
         self.group = table.column("grp").to_numpy()[order] if "grp" in table.column_names else None
         self.crossed = self.group is not None and len(ids) > 0 and table.column("low")[0].as_py() != table.column("high")[0].as_py()

@@ -13,6 +13,7 @@ BORDER_RULES = ("min_cluster", "nearest_core", "all")
 class ClusterParams:
     """eps: radius of the closed ball; min_pts: its least population, the point itself included.
 
+    fold: repeated coordinates are clustered as one point of their weight.
     strict: pairs of cells that only rounding could bring within eps are not met, so
     that pairs count as the definition says. index_bytes: memory for bit tables in a
     tile. tile_points: how many own points a tile should have; tile_limit, tile_bytes:
@@ -31,6 +32,7 @@ class ClusterParams:
     null_policy: str = "fail"
     max_offsets: int = 100_000
     strict: bool = False
+    fold: bool = False
     index_bytes: int = 256 << 20
     tile_points: int = 4_000
     tile_limit: int = 4_000_000

@@ -12,7 +12,7 @@ from densegrid.operators.components import forest_roots
 from densegrid.operators.tiles import OUT, TilePlan, count_tile, deal, label_tile, merge_tile, part_hot, plan_tiles, run_tiles
 from densegrid.params import ClusterParams
 from densegrid.plans.lineage import cut
-from densegrid.sources.points import Points
+from densegrid.sources.points import Points, fold_duplicates
 
 NOISE = -1
 
@@ -33,6 +33,8 @@ def cluster(points: Points, prm: ClusterParams) -> ClusterResult:
     coordinates are legal; repeated ids are the caller's to avoid. An empty input
     gives an empty result.
     """
+    if prm.fold:
+        return _folded(points, prm.with_(fold=False))
     if prm.method == "brute":
         return relational.cluster_brute(points, prm)
     if prm.method == "bucket_pruned":
@@ -49,6 +51,21 @@ def cluster(points: Points, prm: ClusterParams) -> ClusterResult:
     return ClusterResult(labels, core.join(flagged.where("core").select("id", "coord"), "id"), _counts(found))
 
 
+def _folded(points: Points, prm: ClusterParams) -> ClusterResult:
+    """Each distinct place once, with its weight and smallest id; every point then takes its place's label.
+
+    For the tile methods: their counts add up weights.
+    """
+    if prm.method in ("brute", "bucket_pruned", "reference"):
+        raise ValueError(f"{prm.method} counts points one by one")
+    places = cut(fold_duplicates(points))
+    r = cluster(points.with_frame(places.select("id", "coord", "weight")), prm)
+    at = points.frame.select(F.col("id").alias("own"), "coord").join(places.select("coord", "id"), "coord").select("own", "id", "coord")
+    labels = at.join(r.labels, "id").select(F.col("own").alias("id"), "cluster_id", "role")
+    core = at.join(r.core.select("id", "cluster_id"), "id").select(F.col("own").alias("id"), "cluster_id", "coord")
+    return ClusterResult(labels, core, r.counts)
+
+
 def merge_rows(points: Points, prm: ClusterParams) -> DataFrame:
     """What the tiles find: kind, a, b, v (``tiles.merge_tile``)."""
     return _passes(points, prm, plan_tiles(points, prm))[1]

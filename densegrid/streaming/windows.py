@@ -10,6 +10,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from densegrid.params import ClusterParams
 from densegrid.plans.engine import cluster
+from densegrid.plans.lineage import cut
 from densegrid.sources.points import as_points
 
 
@@ -53,17 +54,44 @@ def dense_cells(events: DataFrame, min_pts: int, side: int = 5000) -> DataFrame:
 def cluster_windows(events: DataFrame, prm: ClusterParams, out: str, checkpoint: str, window: str = "7 days", late: str = "1 hour"):
     """Clusters every closed window's points (minute, cents) into Parquet files at ``out``; a started query.
 
-    A window is written once the watermark has passed it; the stream's own state holds its points.
+    Rows go to files by window as they come; a window is clustered once the latest
+    time seen is past its end by ``late``, all that close at once in one run: their
+    number is a third coordinate, wider apart than eps. Rows that come for a window
+    already clustered are counted in ``out``_late. A batch that is run again writes
+    the same files again.
     """
-    closed = events.withWatermark("ts", late).groupBy(F.window("ts", window).alias("w")).agg(F.collect_list(F.struct("event_id", "ts", "value")).alias("e"))
-
-    def write(batch: DataFrame, epoch: int) -> None:
-        for row in batch.select(F.col("w.start").alias("start")).distinct().toLocalIterator():
-            rows = batch.where(F.col("w.start") == row["start"]).select(F.explode("e").alias("e")).select("e.*")
-            found = cluster(as_points(rows, "event_id", [F.floor(F.unix_timestamp("ts") / 60), F.round(F.col("value") * 100)]), prm)
-            found.labels.withColumn("start", F.lit(row["start"])).write.mode("append").parquet(out)
-
-    return closed.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).outputMode("append").trigger(availableNow=True).start()
+    spark, held = events.sparkSession, f"{checkpoint}/held"
+    at = F.window("ts", window)
+
+    def kept(path: str) -> DataFrame | None:
+        hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+        return spark.read.parquet(path) if hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).exists(hadoop) else None
+
+    def step(batch: DataFrame, epoch: int) -> None:
+        rows = batch.select("event_id", "ts", "value", at["start"].alias("start"), at["end"].alias("end"))
+        done = kept(f"{checkpoint}/done")
+        if done is not None:
+            done = done.where(F.col("epoch") < epoch).select("start").distinct()
+            rows.join(F.broadcast(done), "start", "left_semi").groupBy("start").agg(F.count("*").alias("late")).write.mode("overwrite").parquet(f"{out}_late/epoch={epoch}")
+            rows = rows.join(F.broadcast(done), "start", "left_anti")
+        rows.write.mode("overwrite").parquet(f"{held}/epoch={epoch}")
+        every = spark.read.parquet(held).where(F.col("epoch") <= epoch)
+        closing = every.groupBy("start", "end").agg(F.max("ts").alias("ts")).crossJoin(F.broadcast(every.agg(F.max("ts").alias("latest")))).where(F.col("end") <= F.col("latest") - F.expr(f"interval {late}")).select("start")
+        if done is not None:
+            closing = closing.join(F.broadcast(done), "start", "left_anti")
+        closing = cut(closing.distinct())
+        if not closing.isEmpty():  # windows are told by their own count of seconds, so that their order doesn't matter
+            points = every.join(F.broadcast(closing), "start", "left_semi").withColumn("gap", F.unix_timestamp("start") * (2 * int(prm.eps) + 2))
+            found = cluster(as_points(points, "event_id", [F.floor(F.unix_timestamp("ts") / 60), F.round(F.col("value") * 100), F.col("gap")]), prm)
+            found.labels.join(points.select(F.col("event_id").alias("id"), "start"), "id").write.mode("overwrite").parquet(f"{out}/epoch={epoch}")
+        closing.write.mode("overwrite").parquet(f"{checkpoint}/done/epoch={epoch}")
+
+    return events.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def late_rows(query) -> int:
+    """Rows that a finished or running query has dropped since they came after its watermark, as its progress reports them."""
+    return sum(int(s["numRowsDroppedByWatermark"]) for p in query.recentProgress for s in p["stateOperators"])
 
 
 def drain(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
