@@ -45,6 +45,12 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     null doc_id sorts first. Rows of one id and equal texts count as one document.
     A hot passage is counted by partial aggregates and its join may be split.
     """
+    kept = [(c, c if c in ("doc_id", "text", "n_chars") else f"c{i}") for i, c in enumerate(docs.columns) if c != "removed_lines"]
+    out = _dedup(docs.select(*[F.col(f"`{c}`").alias(plain) for c, plain in kept]))  # other names can't clash with this module's
+    return out.select(*[F.col(plain).alias(c) for c, plain in kept], "removed_lines")
+
+
+def _dedup(docs: DataFrame) -> DataFrame:
     base = docs.select(*[f"`{c}`" for c in docs.columns if c not in ("th", "removed_lines")]).withColumn("th", F.xxhash64("text"))
     occ = windows(base.select("doc_id", "th", "text").where("text IS NOT NULL"))
     place = F.struct("doc_id", "th", "i0")

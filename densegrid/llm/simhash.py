@@ -215,8 +215,9 @@ def leading_rows(docs: DataFrame, groups: DataFrame) -> DataFrame:
     Rows without a doc_id stay; of repeated rows one does.
     """
     leads = groups.where("doc_id IS NOT NULL").groupBy("root").agg(F.min(F.struct("doc_id", "th")).alias("m")).select(F.col("m.doc_id").alias("_lead"), F.col("m.th").alias("_hash")).distinct()
-    marked = docs.withColumn("_th", text_hash(docs))
-    led = marked.join(leads, (F.col("doc_id").cast("long") == F.col("_lead")) & (F.col("_th") == F.col("_hash")), "left_semi").dropDuplicates(["doc_id", "_th"]).drop("_th")
+    th = "_th" + "_" * max(map(len, docs.columns))  # longer than any of their names
+    marked = docs.withColumn(th, text_hash(docs))
+    led = marked.join(leads, (marked["doc_id"].cast("long") == leads["_lead"]) & (marked[th] == leads["_hash"]), "left_semi").dropDuplicates(["doc_id", th]).drop(th)
     return led.unionByName(docs.where("doc_id IS NULL"))
 
 
