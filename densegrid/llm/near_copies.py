@@ -3,8 +3,9 @@
 Two texts are linked if their sets of five-word shingles have a Jaccard likeness
 of ``LIKE`` or more. Candidates come from the SimHash index, which folds most of
 a group cheaply, and from shared rare shingles: sets that are so alike share one
-among the first few of each in any common order, so no pair is lost. Every
-candidate is verified on the whole sets before it links.
+among the first few of each in any common order, so no pair is lost. A
+candidate goes unread if the parities of its two sets differ in more bits than
+alike sets can; every other is verified on the whole sets before it links.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from densegrid.llm._text import column, mix, of_columns, text_slices, words_of
 from densegrid.llm._skew import hot_join
@@ -28,6 +29,8 @@ SHINGLE = 5
 LIKE = (4, 5)
 #: Documents whose shingles are counted to find common ones, and how many of those are kept; they only set the order.
 COUNTED, COMMON = 20_000, 1 << 18
+#: 64-bit words of a set's parities; more of them rule out more pairs, and never an alike one.
+PARITY = 8
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -49,6 +52,24 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
     return both * LIKE[1] >= LIKE[0] * (len(a) + len(b) - both)
 
 
+def parities(shingles: np.ndarray) -> np.ndarray:
+    """For each of 64 * PARITY classes of shingles whether the set has an odd number of them, as PARITY words.
+
+    Every shingle that only one of two sets has turns one bit, so the sets differ
+    in at least as many shingles as their parities do in bits.
+    """
+    odd = np.bincount((shingles % np.uint64(64 * PARITY)).astype(np.int64), minlength=64 * PARITY) & 1
+    return np.packbits(odd.astype(bool), bitorder="little").view(np.int64)
+
+
+def may_be_alike() -> Column:
+    """Whether sets of n and m shingles with parities p0, p1, ... and q0, q1, ... can have a likeness of LIKE."""
+    n, m = F.col("n"), F.col("m")
+    differ = sum((F.bit_count(F.col(f"p{i}").bitwiseXOR(F.col(f"q{i}"))) for i in range(PARITY)), F.lit(0))
+    sizes = F.least(n, m) * LIKE[1] >= F.greatest(n, m) * LIKE[0]
+    return sizes & (differ * (LIKE[1] + LIKE[0]) <= (n + m) * (LIKE[1] - LIKE[0]))
+
+
 def prefix(shingles: np.ndarray, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
     """The first shingles, rare ones before common ones, of which a set as alike must have one among its own first."""
     n = len(shingles)
@@ -79,7 +100,8 @@ def _common(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _marks(docs: DataFrame) -> DataFrame:
-    """(doc_id, th, node, n, fp, keys): th is a hash of the text, node names the text's shingle set, keys is its prefix."""
+    """(doc_id, th, node, n, fp, keys, p0, ...): th is a hash of the text, node names the text's shingle set, keys is its prefix."""
+    odd = [f"p{i}" for i in range(PARITY)]
     shipped = ship(docs.sparkSession, _common(docs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -91,9 +113,11 @@ def _marks(docs: DataFrame) -> DataFrame:
                 fps = np.array([simhash(t, SHINGLE) for t in texts], np.uint64).view(np.int64)
                 ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*keys, np.empty(0, np.int64)])))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(texts)), batch.column(2).slice(at, len(texts)), pa.array([_node(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(fps), lists], ["doc_id", "th", "node", "n", "fp", "keys"])
+                bits = np.array([parities(s) for s in sets], np.int64).reshape(-1, PARITY)
+                own = [batch.column(0).slice(at, len(texts)), batch.column(2).slice(at, len(texts)), pa.array([_node(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(fps), lists]
+                yield pa.RecordBatch.from_arrays([*own, *map(pa.array, np.ascontiguousarray(bits.T))], ["doc_id", "th", "node", "n", "fp", "keys", *odd])
 
-    return docs.withColumn("th", F.xxhash64("text")).mapInArrow(run, "doc_id long, th long, node long, n long, fp long, keys array<long>")
+    return docs.withColumn("th", F.xxhash64("text")).mapInArrow(run, "doc_id long, th long, node long, n long, fp long, keys array<long>, " + ", ".join(f"{c} long" for c in odd))
 
 
 def verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -143,14 +167,14 @@ def grouped(docs: DataFrame) -> DataFrame:
     """
     some = of_columns(docs, doc_id="long", text="binary").where("doc_id IS NOT NULL")
     marks = cut(_marks(some))
-    nodes = cut(marks.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n"), F.min("fp").alias("fp")))
-    sizes = nodes.select("node", "n")
+    odd, even = ([f"{c}{i}" for i in range(PARITY)] for c in "pq")
+    nodes = cut(marks.groupBy("node").agg(F.min("doc_id").alias("doc_id"), *[F.min(c).alias(c) for c in ("n", "fp", *odd)]))
+    sizes = nodes.select("node", "n", *odd)
     met = Window.partitionBy("key")  # one shuffle of the keys; common ones stand last in the order, so few texts bring them
     keyed = marks.select("node", F.explode("keys").alias("key")).select("*", F.min("node").over(met).alias("lead"), F.max("node").over(met).alias("last"))
     shared = cut(keyed.where("lead < last").drop("last").distinct().join(sizes, "node"))
-    sizes = sizes.withColumnsRenamed({"node": "lead", "n": "m"})
-    near = lambda n, m: F.least(n, m) * LIKE[1] >= F.greatest(n, m) * LIKE[0]
-    star = shared.where("node <> lead").select("node", "n", "lead").distinct().join(sizes, "lead").where(near(F.col("n"), F.col("m"))).select(F.col("lead").alias("a"), F.col("node").alias("b"))
+    sizes = sizes.withColumnsRenamed({"node": "lead", "n": "m", **dict(zip(odd, even, strict=True))})
+    star = shared.where("node <> lead").drop("key").distinct().join(sizes, "lead").where(may_be_alike()).select(F.col("lead").alias("a"), F.col("node").alias("b"))
     prints = nodes.groupBy("fp").agg(F.min("node").alias("least"))
     same = nodes.join(prints, "fp").where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
     index = links(prints.select("fp"))
@@ -158,11 +182,11 @@ def grouped(docs: DataFrame) -> DataFrame:
     bits = index.join(at[0], "a").join(at[1], "b").select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b"))
     first = verified(some, nodes, cut(star.unionByName(same).unionByName(bits).distinct()))
     found = cut(components(first))
-    held = shared.join(found, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
+    held = shared.join(found, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"), *odd)
     apart = held.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 < r1").select("key")
     held = cut(held.join(apart, "key", "left_semi"))
-    other = held.select("key", *[F.col(c).alias(f"{c}2") for c in ("node", "n", "root")])
-    cross = held.join(other, "key").where((F.col("node") < F.col("node2")) & (F.col("root") != F.col("root2")) & near(F.col("n"), F.col("n2"))).select(F.col("node").alias("a"), F.col("node2").alias("b")).distinct()
+    other = held.withColumnsRenamed({"node": "node2", "n": "m", "root": "root2", **dict(zip(odd, even, strict=True))})
+    cross = held.join(other, "key").where((F.col("node") < F.col("node2")) & (F.col("root") != F.col("root2")) & may_be_alike()).select(F.col("node").alias("a"), F.col("node2").alias("b")).distinct()
     done = components(first.unionByName(verified(some, nodes, cut(cross))))
     roots = nodes.join(done, "node", "left").select("node", F.coalesce("root", "node").alias("root"))
     return cut(hot_join(marks.select("doc_id", "th", "node"), roots, "node").select("doc_id", "th", "root"))

@@ -63,3 +63,13 @@ def test_alike_sets_share_a_prefix_in_any_order():
         rank = r.permutation(len(common))
         if near_copies.alike(a, b):
             assert np.intersect1d(near_copies.prefix(a, common, rank), near_copies.prefix(b, common, rank)).size
+
+
+def test_parities_never_differ_in_more_bits_than_the_sets_do_in_shingles():
+    r = np.random.default_rng(3)
+    for size in (0, 1, 5, 80, 3000):
+        a = np.unique(r.integers(0, 1 << 60, size).astype(np.uint64))
+        for share in (0.0, 0.05, 0.3, 1.0):
+            b = np.unique(np.concatenate([a[r.random(len(a)) >= share], r.integers(0, 1 << 60, int(size * share)).astype(np.uint64)]))
+            bits = int(np.bitwise_count(near_copies.parities(a) ^ near_copies.parities(b)).sum())
+            assert bits <= len(np.setxor1d(a, b)) and (share or not bits)
