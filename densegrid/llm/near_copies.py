@@ -162,8 +162,8 @@ def grouped(docs: DataFrame) -> DataFrame:
 
     Texts with one and the same set fold into a node first (sets are told apart by
     64-bit hashes); texts without words are one node. A shared shingle first pairs
-    its texts with one leader only, so that large groups fold in pairs as many as
-    texts; then all pairs that are still apart and share a shingle are verified.
+    its texts with one leader only, by chance another for each shingle, so that large
+    groups fold in pairs as many as texts have shingles; then all pairs that are still apart and share a shingle are verified.
     """
     some = of_columns(docs, doc_id="long", text="binary").where("doc_id IS NOT NULL")
     marks = cut(_marks(some))
@@ -171,8 +171,8 @@ def grouped(docs: DataFrame) -> DataFrame:
     nodes = cut(marks.groupBy("node").agg(F.min("doc_id").alias("doc_id"), *[F.min(c).alias(c) for c in ("n", "fp", *odd)]))
     sizes = nodes.select("node", "n", *odd)
     met = Window.partitionBy("key")  # one shuffle of the keys; common ones stand last in the order, so few texts bring them
-    keyed = marks.select("node", F.explode("keys").alias("key")).select("*", F.min("node").over(met).alias("lead"), F.max("node").over(met).alias("last"))
-    shared = cut(keyed.where("lead < last").drop("last").distinct().join(sizes, "node"))
+    keyed = marks.select("node", F.explode("keys").alias("key")).select("*", F.min_by("node", F.xxhash64("key", "node")).over(met).alias("lead"), (F.min("node").over(met) < F.max("node").over(met)).alias("met"))
+    shared = cut(keyed.where("met").drop("met").distinct().join(sizes, "node"))
     sizes = sizes.withColumnsRenamed({"node": "lead", "n": "m", **dict(zip(odd, even, strict=True))})
     star = shared.where("node <> lead").drop("key").distinct().join(sizes, "lead").where(may_be_alike()).select(F.col("lead").alias("a"), F.col("node").alias("b"))
     prints = nodes.groupBy("fp").agg(F.min("node").alias("least"))
