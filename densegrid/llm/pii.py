@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import datetime
 import hashlib
+import math
 import re
 from collections.abc import Iterator
 from functools import lru_cache
@@ -20,6 +21,8 @@ from pyspark.sql import DataFrame
 from densegrid.llm._text import column, of_columns
 
 ROUNDS = 10
+#: Longer words and hex runs are permuted in blocks of so many characters.
+BLOCK = 64
 
 
 def permute(value: int, size: int, key: bytes, tweak: str) -> int:
@@ -30,15 +33,14 @@ def permute(value: int, size: int, key: bytes, tweak: str) -> int:
     """
     if size < 2:
         return value
-    a = int(size**0.5)
-    while a * a < size:
-        a += 1
+    a = math.isqrt(size - 1) + 1  # not by floats, whose error is astronomical for long words
     b = -(-size // a)
+    wide = 16 if a < 1 << 64 else 64
     while True:
         left, right = divmod(value, b)
         for r in range(ROUNDS):
             side, other = (a, right) if r % 2 == 0 else (b, left)
-            f = int.from_bytes(hashlib.blake2b(f"{tweak}|{size}|{r}|{other}".encode(), key=key[:64], digest_size=16).digest(), "big")
+            f = int.from_bytes(hashlib.blake2b(f"{tweak}|{size}|{r}|{other}".encode(), key=key[:64], digest_size=wide).digest(), "big")
             if r % 2 == 0:
                 left = (left + f) % side
             else:
@@ -140,8 +142,22 @@ def _date(m: re.Match, key: bytes) -> str | None:
 _VOWELS, _OTHERS = "aeiou", "bcdfghjklmnpqrstvwxyz"
 
 
+def _chained(text: str, one) -> str:
+    """``one`` (a block, a tweak) block by block; a block's tweak depends on all before it, so the whole stays one to one."""
+    out, tweak = [], ""
+    for at in range(0, len(text), BLOCK):
+        part = text[at : at + BLOCK]
+        out.append(one(part, tweak))
+        tweak = hashlib.blake2b((tweak + part).encode(), digest_size=16).hexdigest()
+    return "".join(out)
+
+
 def _word(text: str, key: bytes, kind: str) -> str:
-    """Letters and digits permuted in their classes, as one mixed-radix number; the rest stays."""
+    """Letters and digits permuted in their classes, as one mixed-radix number a block; the rest stays."""
+    return _chained(text, lambda part, tweak: _word_block(part, key, kind + tweak))
+
+
+def _word_block(text: str, key: bytes, kind: str) -> str:
     sets = [_VOWELS if c.lower() in _VOWELS else _OTHERS if c.lower() in _OTHERS else "0123456789" if c.isdigit() and c.isascii() else "" for c in text]
     n, size = 0, 1
     for c, s in zip(text, sets, strict=True):
@@ -158,7 +174,8 @@ def _word(text: str, key: bytes, kind: str) -> str:
 
 
 def _hex(text: str, key: bytes) -> str:
-    return format(permute(int(text, 16), 16 ** len(text), key, f"hex{len(text)}"), f"0{len(text)}{'X' if text.upper() == text else 'x'}")
+    case = "X" if text.upper() == text else "x"
+    return _chained(text, lambda part, tweak: format(permute(int(part, 16), 16 ** len(part), key, f"hex{len(part)}{tweak}"), f"0{len(part)}{case}"))
 
 
 def _email(local: str, domain: str, key: bytes) -> str:
@@ -202,7 +219,8 @@ _KEYRUN = re.compile(r"[A-Za-z0-9_\-]{20,}(?![A-Za-z0-9])", re.A)
 _LOCAL = re.compile(r"[^\s@<>\"'(),;:\[\]\\|=]{1,64}\Z")
 _DOMAIN = re.compile(r"(?:[A-Za-z0-9](?:[A-Za-z0-9-]{0,62})\.)+[A-Za-z]{2,24}", re.A)
 _DIGIT = re.compile(r"[0-9]")
-_ALNUM = re.compile(r"[A-Za-z0-9_\-]*\Z", re.A)
+_RUN = re.compile(r"[A-Za-z0-9_\-]*", re.A)
+_IN_RUN = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789_-")
 
 
 def _emails(text: str) -> list[tuple[int, int, str, str]]:
@@ -217,18 +235,46 @@ def _emails(text: str) -> list[tuple[int, int, str, str]]:
     return out
 
 
-def _is_phone(text: str) -> bool:
-    """Digit groups alone are any numbers: a phone number has a plus sign, an area code in brackets, a leading zero, or hyphens or dots in threes and fours."""
-    if text[0] in "+(0" or "(" in text:
+def _is_phone(text: str, before: str) -> bool:
+    """Digit groups alone are any numbers: a phone number has a plus sign, an area code in brackets, a leading zero, or hyphens or dots in threes and fours.
+
+    ``before`` is the two characters to its left: groups of three that go on after
+    a digit and their own separator are the thousands of a longer number.
+    """
+    if text[0] in "+(" or "(" in text:
         return True
+    if text[0] == "0":
+        goes_on = len(before) == 2 and before[0] in "0123456789"
+        return not (goes_on and re.fullmatch(rf"\d{{3}}(?:{re.escape(before[1])}\d{{3}})+", text))
     groups = re.split(r"[-.]", text)
     return " " not in text and len(set(re.findall(r"[-.]", text))) == 1 and len(groups) == 3 and [len(g) for g in groups] in ([3, 3, 4], [3, 4, 4])
 
 
-def _at_digit(text: str, at: int, low: int) -> tuple[int, int, str] | None:
-    """The value whose first digit stands at ``at``: start, end, kind. ``low``: what is free to its left."""
-    head = _ALNUM.search(text, max(low, at - 200), at)
-    run = head.start() if head else at
+def _secrets(text: str, run: int) -> list[tuple[int, int, str]]:
+    """Account numbers and secrets that begin at ``run``, in the order of preference."""
+    found = []
+    for shape, kind in ((_IBAN, "iban"), (_HEXRUN, "hex")):
+        m = shape.match(text, run)
+        if m and (kind != "iban" or _iban_ok(m[0])) and (run == 0 or not text[run - 1].isalnum()):
+            found.append((run, m.end(), kind))
+    m = _KEYRUN.match(text, run)
+    if m and sum(c.isdigit() for c in m[0]) >= 4 and any(c.isalpha() for c in m[0]):
+        found.append((run, m.end(), "key"))
+    return found
+
+
+def _at_digit(text: str, at: int, low: int, seen: list) -> tuple[int, int, str] | None:
+    """The value whose first digit stands at ``at``: start, end, kind. ``low``: what is free to its left.
+
+    ``seen`` keeps the last run of word characters, its end and its secrets by start,
+    so that a long run is gone over once, however many digits it has.
+    """
+    if not seen or not seen[0] <= at < seen[1]:
+        start = at
+        while start and text[start - 1] in _IN_RUN:
+            start -= 1
+        seen[:] = start, _RUN.match(text, at).end(), {}
+    run = max(low, seen[0])
     alone = run == at or not text[at - 1].isalnum()
     if alone:
         for kind, shape in (("ip", _IP), ("date", _DATE), ("ssn", _SSN), ("card", _CARD), ("phone", _PHONE)):
@@ -242,21 +288,16 @@ def _at_digit(text: str, at: int, low: int) -> tuple[int, int, str] | None:
             if not m:
                 continue
             d = _digits(m[0])
-            if kind == "card" and not is_luhn(d):
+            if kind == "card" and (not is_luhn(d) or (at > low and text[at - 1] == "+")):  # a plus sign begins a phone number, whatever its last digit
                 continue
-            if kind == "phone" and not (8 <= len(d) <= 15 and _is_phone(m[0])):
+            if kind == "phone" and not (8 <= len(d) <= 15 and _is_phone(m[0], text[max(0, m.start() - 2) : m.start()])):
                 continue
             if kind == "date" and (len(m[1]) == 4) == (len(m[4]) == 4):
                 continue
             return m.start(), m.end(), kind
-    for shape, kind in ((_IBAN, "iban"), (_HEXRUN, "hex")):
-        m = shape.match(text, run)
-        if m and m.end() > at and (kind != "iban" or _iban_ok(m[0])) and (run == 0 or not text[run - 1].isalnum()):
-            return m.start(), m.end(), kind
-    m = _KEYRUN.match(text, run)
-    if m and sum(c.isdigit() for c in m[0]) >= 4 and any(c.isalpha() for c in m[0]):
-        return m.start(), m.end(), "key"
-    return None
+    if run not in seen[2]:
+        seen[2][run] = _secrets(text, run)
+    return next((value for value in seen[2][run] if value[1] > at), None)
 
 
 def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, dict[str, int]]:
@@ -271,7 +312,7 @@ def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, dict[str, in
     if not text or not (_DIGIT.search(text) or "@" in text):
         return text, {}
     found = [(s, e, "email", (a, b)) for s, e, a, b in _emails(text)]
-    out, done, counts, spans = [], 0, {}, iter(found)
+    out, done, counts, spans, seen = [], 0, {}, iter(found), []
     mail = next(spans, None)
     at = 0
     while True:
@@ -286,7 +327,7 @@ def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, dict[str, in
         elif not m:
             break
         else:
-            hit = _at_digit(text, place, done)
+            hit = _at_digit(text, place, done, seen)
             if hit is None or hit[0] < done:
                 end = place + 1
                 while end < len(text) and text[end] in "0123456789":
@@ -306,7 +347,7 @@ def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, dict[str, in
             elif kind == "key":
                 new = _word(text[s:e], key, "key")
             else:
-                new = _cached(kind, text[s:e], key)
+                new = (_cached if e - s <= BLOCK else _cached.__wrapped__)(kind, text[s:e], key)
         out += [text[done:s], new]
         counts[kind] = counts.get(kind, 0) + 1
         done = at = e

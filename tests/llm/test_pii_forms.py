@@ -50,12 +50,28 @@ def test_digit_groups_are_no_phone_numbers():
 
 
 def test_long_secrets_go_as_a_whole():
-    for n in (40, 201, 256, 1000):
+    for n in (40, 201, 256, 1000, 20_000):
         t = "key " + "a1B2" * (n // 4) + " end"
         out, found = pii.pseudonymise(t, KEY)
         assert sum(found.values()) == 1 and len(out) == len(t) and out[4:40] != t[4:40]
 
 
+def test_blocks_of_long_secrets_stay_apart():
+    """Secrets that share blocks get pseudonyms of their own, and a hex run stays one."""
+    long = ["x9Y8z7" * 40 + end for end in ("a1", "a2", "b1")] + ["w" + "x9Y8z7" * 40 + "a1"]
+    assert len({pii._word(x, KEY, "key") for x in long}) == len(long)
+    hexes = ["0f" * 64, "0f" * 63 + "0e", "1f" + "0f" * 63]
+    out = [pii._hex(x, KEY) for x in hexes]
+    assert len(set(out)) == 3 and all(re.fullmatch("[0-9a-f]{128}", x) for x in out) and out[0][:64] == out[1][:64]
+
+
+def test_a_run_with_many_digits_and_no_secret_is_gone_over_once():
+    t = "1-" * 50_000
+    assert pii.pseudonymise(t, KEY) == (t, {})
+    t = "a-" * 50_000 + "1"
+    assert pii.pseudonymise(t, KEY) == (t, {})
+
+
 def test_a_key_is_required(spark):
     docs = spark.createDataFrame([(1, "x")], "doc_id bigint, text string")
     with pytest.raises(TypeError):
