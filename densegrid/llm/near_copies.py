@@ -70,6 +70,16 @@ def may_be_alike() -> Column:
     return sizes & (differ * (LIKE[1] + LIKE[0]) <= (n + m) * (LIKE[1] - LIKE[0]))
 
 
+def may_meet_first() -> Column:
+    """Whether sets as alike can have their first common shingle, in the order of the prefixes, at their places i and j.
+
+    Before it they share nothing, so no more than what follows it in either set.
+    An alike pair meets this at its first common shingle, and so is never lost.
+    """
+    n, m = F.col("n"), F.col("m")
+    return F.least(n - F.col("i"), m - F.col("j")) * (LIKE[1] + LIKE[0]) >= (n + m) * LIKE[0]
+
+
 def prefix(shingles: np.ndarray, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
     """The first shingles, rare ones before common ones, of which a set as alike must have one among its own first."""
     n = len(shingles)
@@ -171,10 +181,10 @@ def grouped(docs: DataFrame) -> DataFrame:
     nodes = cut(marks.groupBy("node").agg(F.min("doc_id").alias("doc_id"), *[F.min(c).alias(c) for c in ("n", "fp", *odd)]))
     sizes = nodes.select("node", "n", *odd)
     met = Window.partitionBy("key")  # one shuffle of the keys; common ones stand last in the order, so few texts bring them
-    keyed = marks.select("node", F.explode("keys").alias("key")).select("*", F.min_by("node", F.xxhash64("key", "node")).over(met).alias("lead"), (F.min("node").over(met) < F.max("node").over(met)).alias("met"))
+    keyed = marks.select("node", F.posexplode("keys").alias("i", "key")).select("*", F.min_by("node", F.xxhash64("key", "node")).over(met).alias("lead"), (F.min("node").over(met) < F.max("node").over(met)).alias("met"))
     shared = cut(keyed.where("met").drop("met").distinct().join(sizes, "node"))
     sizes = sizes.withColumnsRenamed({"node": "lead", "n": "m", **dict(zip(odd, even, strict=True))})
-    star = shared.where("node <> lead").drop("key").distinct().join(sizes, "lead").where(may_be_alike()).select(F.col("lead").alias("a"), F.col("node").alias("b"))
+    star = shared.where("node <> lead").drop("key", "i").distinct().join(sizes, "lead").where(may_be_alike()).select(F.col("lead").alias("a"), F.col("node").alias("b"))
     prints = nodes.groupBy("fp").agg(F.min("node").alias("least"))
     same = nodes.join(prints, "fp").where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
     index = links(prints.select("fp"))
@@ -182,11 +192,11 @@ def grouped(docs: DataFrame) -> DataFrame:
     bits = index.join(at[0], "a").join(at[1], "b").select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b"))
     first = verified(some, nodes, cut(star.unionByName(same).unionByName(bits).distinct()))
     found = cut(components(first))
-    held = shared.join(found, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"), *odd)
+    held = shared.join(found, "node", "left").select("key", "i", "node", "n", F.coalesce("root", "node").alias("root"), *odd)
     apart = held.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 < r1").select("key")
     held = cut(held.join(apart, "key", "left_semi"))
-    other = held.withColumnsRenamed({"node": "node2", "n": "m", "root": "root2", **dict(zip(odd, even, strict=True))})
-    cross = held.join(other, "key").where((F.col("node") < F.col("node2")) & (F.col("root") != F.col("root2")) & may_be_alike()).select(F.col("node").alias("a"), F.col("node2").alias("b")).distinct()
+    other = held.withColumnsRenamed({"node": "node2", "i": "j", "n": "m", "root": "root2", **dict(zip(odd, even, strict=True))})
+    cross = held.join(other, "key").where((F.col("node") < F.col("node2")) & (F.col("root") != F.col("root2")) & may_meet_first() & may_be_alike()).select(F.col("node").alias("a"), F.col("node2").alias("b")).distinct()
     done = components(first.unionByName(verified(some, nodes, cut(cross))))
     roots = nodes.join(done, "node", "left").select("node", F.coalesce("root", "node").alias("root"))
     return cut(hot_join(marks.select("doc_id", "th", "node"), roots, "node").select("doc_id", "th", "root"))
