@@ -320,3 +320,9 @@ def test_main_path_has_no_cross_join(spark):
     plan = cluster(p, ClusterParams(6, 6)).labels._jdf.queryExecution().executedPlan().toString()
     plan += relational.eps_neighbours(p, ClusterParams(6, 6))._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan and "SinglePartition" not in plan
+
+
+def test_runs_stopped_at_a_whole_number_of_seconds_are_reported(spark):
+    p = Points(spark.createDataFrame([(i, [i]) for i in range(9)], "id bigint, coord array<bigint>"), 1, True)
+    rows = measures.scalability_grid({"nine": (p, ClusterParams(2, 2))}, ["slab_pruned"], limit_s=0).collect()
+    assert [(r["variant"], r["n"], r["value"], r["status"]) for r in rows] == [("slab_pruned", 9, 0.0, "censored")]
