@@ -141,3 +141,14 @@ def test_nothing_else_needs_the_training_data_operators():
                 assert not re.search(r"(import|from)\s+densegrid\.llm", open(os.path.join(folder, f)).read()), f
     code = "import sys, importlib.abc\nclass No(importlib.abc.MetaPathFinder):\n  def find_spec(self, name, path=None, target=None):\n    if name in ('densegrid.llm', 'corpus_pipeline'): raise ModuleNotFoundError(name=name)\nsys.meta_path.insert(0, No())\nimport __spark_entry__ as e\nassert 'clusters_toy' in e.queries() and 'pipeline' not in e.queries(), e.queries()\nassert e.oracle_sql()"
     subprocess.run([sys.executable, "-c", code], cwd=ROOT, check=True)
+
+
+@pytest.mark.parametrize("name, table, key, out", [
+    ("clusters_toy", "customer", "c_custkey", "id"),
+])
+def test_query_follows_its_table(spark, sf, tmp_path, name, table, key, out):
+    """On a few rows of the table the result has these rows' keys, or says how many cells they fill."""
+    catalogue.load_table(spark, sf, table).limit(70).write.parquet(f"{tmp_path}/{table}.parquet")
+    keys = {r[0] for r in spark.read.parquet(f"{tmp_path}/{table}.parquet").select(key).collect()}
+    got = [r[out] for r in catalogue.queries()[name](spark, str(tmp_path)).collect()]
+    assert len(keys) == 70 and (set(got) == keys if out != "cells" else len(got) == 7 and 0 < max(got) <= 70)
