@@ -145,6 +145,7 @@ def test_nothing_else_needs_the_training_data_operators():
 
 @pytest.mark.parametrize("name, table, key, out", [
     ("clusters_toy", "customer", "c_custkey", "id"),
+    ("components_forest6", "customer", "c_custkey", "node"),
 ])
 def test_query_follows_its_table(spark, sf, tmp_path, name, table, key, out):
     """On a few rows of the table the result has these rows' keys, or says how many cells they fill."""
