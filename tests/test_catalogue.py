@@ -147,6 +147,7 @@ def test_nothing_else_needs_the_training_data_operators():
     ("clusters_toy", "customer", "c_custkey", "id"),
     ("components_forest6", "customer", "c_custkey", "node"),
     ("generated_drift10", "orders", "o_orderkey", "id"),
+    ("offset_counts", "customer", "c_custkey", "cells"),
 ])
 def test_query_follows_its_table(spark, sf, tmp_path, name, table, key, out):
     """On a few rows of the table the result has these rows' keys, or says how many cells they fill."""
