@@ -176,13 +176,17 @@ def grouped(docs: DataFrame) -> DataFrame:
     groups fold in pairs as many as texts have shingles; then all pairs that are still apart and share a shingle are verified.
     """
     some = of_columns(docs, doc_id="long", text="binary").where("doc_id IS NOT NULL")
-    marks = cut(_marks(some))
+    marked = Cut(_marks(some))  # what is dropped below is large, and read for the last time by the cut before
+    marks = marked.frame
+    members = cut(marks.select("doc_id", "th", "node"))
     odd, even = ([f"{c}{i}" for i in range(PARITY)] for c in "pq")
     nodes = cut(marks.groupBy("node").agg(F.min("doc_id").alias("doc_id"), *[F.min(c).alias(c) for c in ("n", "fp", *odd)]))
     sizes = nodes.select("node", "n", *odd)
     met = Window.partitionBy("key")  # one shuffle of the keys; common ones stand last in the order, so few texts bring them
     keyed = marks.select("node", F.posexplode("keys").alias("i", "key")).select("*", F.min_by("node", F.xxhash64("key", "node")).over(met).alias("lead"), (F.min("node").over(met) < F.max("node").over(met)).alias("met"))
-    shared = cut(keyed.where("met").drop("met").distinct().join(sizes, "node"))
+    asked = Cut(keyed.where("met").drop("met").distinct().join(sizes, "node"))
+    shared = asked.frame
+    marked.drop()
     sizes = sizes.withColumnsRenamed({"node": "lead", "n": "m", **dict(zip(odd, even, strict=True))})
     star = shared.where("node <> lead").drop("key", "i").distinct().join(sizes, "lead").where(may_be_alike()).select(F.col("lead").alias("a"), F.col("node").alias("b"))
     prints = nodes.groupBy("fp").agg(F.min("node").alias("least"))
@@ -194,12 +198,16 @@ def grouped(docs: DataFrame) -> DataFrame:
     found = cut(components(first))
     held = shared.join(found, "node", "left").select("key", "i", "node", "n", F.coalesce("root", "node").alias("root"), *odd)
     apart = held.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 < r1").select("key")
-    held = cut(held.join(apart, "key", "left_semi"))
+    left = Cut(held.join(apart, "key", "left_semi"))
+    held = left.frame
+    asked.drop()
     other = held.withColumnsRenamed({"node": "node2", "i": "j", "n": "m", "root": "root2", **dict(zip(odd, even, strict=True))})
     cross = held.join(other, "key").where((F.col("node") < F.col("node2")) & (F.col("root") != F.col("root2")) & may_meet_first() & may_be_alike()).select(F.col("node").alias("a"), F.col("node2").alias("b")).distinct()
-    done = components(first.unionByName(verified(some, nodes, cut(cross))))
+    cross = cut(cross)
+    left.drop()
+    done = components(first.unionByName(verified(some, nodes, cross)))
     roots = nodes.join(done, "node", "left").select("node", F.coalesce("root", "node").alias("root"))
-    return cut(hot_join(marks.select("doc_id", "th", "node"), roots, "node").select("doc_id", "th", "root"))
+    return cut(hot_join(members, roots, "node").select("doc_id", "th", "root"))
 
 
 def drop_near_copies(docs: DataFrame) -> DataFrame:
