@@ -38,3 +38,17 @@ def test_tiles_hold_places(spark, monkeypatch, method):
     counting(monkeypatch, engine, "plan_tiles", seen)
     prm = ClusterParams(2, 5 * TIMES, method=method, tile_points=1000)
     assert found(engine.cluster(repeated(spark, x), prm)) == expected(x, 2, 5) and seen == [len(x)]
+
+
+def test_brute_pairs_places(spark, monkeypatch):
+    seen, x = [], np.unique(BLOBS, axis=0)
+    counting(monkeypatch, relational, "all_pairs", seen)
+    assert found(engine.cluster(repeated(spark, x), ClusterParams(6, 4 * TIMES, method="brute"))) == expected(x, 6, 4) and seen == [len(x)]
+
+
+def test_all_pairs_in_several_groups(spark):
+    p = points_of(spark, BLOBS)
+    frame = p.frame.withColumn("weight", p.frame["id"] + 1)
+    got = sorted(map(tuple, relational.all_pairs(frame, ClusterParams(6, 4), 2, True, block=30).collect()))
+    dd = ((BLOBS[:, None] - BLOBS[None]) ** 2).sum(axis=2)
+    assert got == sorted((i, j, j + 1, int(dd[i, j])) for i, j in zip(*map(np.ndarray.tolist, np.nonzero(dd <= 36)), strict=True))
