@@ -52,3 +52,20 @@ def test_all_pairs_in_several_groups(spark):
     got = sorted(map(tuple, relational.all_pairs(frame, ClusterParams(6, 4), 2, True, block=30).collect()))
     dd = ((BLOBS[:, None] - BLOBS[None]) ** 2).sum(axis=2)
     assert got == sorted((i, j, j + 1, int(dd[i, j])) for i, j in zip(*map(np.ndarray.tolist, np.nonzero(dd <= 36)), strict=True))
+
+
+def test_axioms_by_places(spark, monkeypatch):
+    x = np.unique(BLOBS, axis=0)
+    prm, points = ClusterParams(6, 4 * 3, border_rule="all"), repeated(spark, x, 3)
+    labels, seen = engine.cluster(points, prm).labels, []
+    counting(monkeypatch, relational, "eps_neighbours", seen)
+    got = {r["cluster_id"]: (r["due"], r["held"], r["components"]) for r in relational.axiom_report(points, labels, prm).collect()}
+    near, rows = ((x[:, None] - x[None]) ** 2).sum(axis=2) <= 36, brute(x, 6, 4, "all")
+    due = {}
+    for i, c, role in rows:
+        if role == "core":
+            due[c] = due.get(c, 0) + int(near[i].sum()) * 9
+    assert got == {c: (n, n, 1) for c, n in due.items()} and seen == [len(x)]
+    lost = labels.where("id % 2 = 0")  # points left out are due and not held
+    less = {r["cluster_id"]: (r["due"], r["held"]) for r in relational.axiom_report(points, lost, prm).collect()}
+    assert less and all(h < d for d, h in less.values())
