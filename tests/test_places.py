@@ -54,6 +54,17 @@ def test_all_pairs_in_several_groups(spark):
     assert got == sorted((i, j, j + 1, int(dd[i, j])) for i, j in zip(*map(np.ndarray.tolist, np.nonzero(dd <= 36)), strict=True))
 
 
+def test_assignment_asks_places(spark, monkeypatch):
+    x = np.unique(BLOBS, axis=0)
+    prm, points = ClusterParams(6, 4 * TIMES), repeated(spark, x)
+    core = engine.cluster(points, prm).core
+    seen = []
+    counting(monkeypatch, profile, "eps_neighbours", seen)
+    got = {r["id"]: r["cluster_id"] for r in profile.assign_new(core, points, prm).collect()}
+    label = {i: c for i, c, role in expected(x, 6, 4) if role == "core"}
+    assert len(got) == len(x) * TIMES and all(got[i] == c for i, c in label.items()) and seen == [len(x)]
+
+
 def test_axioms_by_places(spark, monkeypatch):
     x = np.unique(BLOBS, axis=0)
     prm, points = ClusterParams(6, 4 * 3, border_rule="all"), repeated(spark, x, 3)
