@@ -80,3 +80,14 @@ def test_axioms_by_places(spark, monkeypatch):
     lost = labels.where("id % 2 = 0")  # points left out are due and not held
     less = {r["cluster_id"]: (r["due"], r["held"]) for r in relational.axiom_report(points, lost, prm).collect()}
     assert less and all(h < d for d, h in less.values())
+
+
+def test_insertions_count_places(spark, monkeypatch):
+    x = np.unique(BLOBS, axis=0)
+    every, prm, seen = repeated(spark, x), ClusterParams(6, 4 * TIMES), []
+    counting(monkeypatch, incremental, "eps_neighbours", seen)
+    state = incremental.empty_state(every)
+    for k in range(3):
+        state = incremental.insert_points(state, every.with_frame(every.frame.where(f"pmod(xxhash64(id), 3) = {k}")), prm)
+    got = sorted(map(tuple, incremental.state_labels(state, every, prm).collect()))
+    assert got == expected(x, 6, 4) and max(seen) <= len(x)
