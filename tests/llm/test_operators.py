@@ -11,6 +11,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from densegrid.llm import decontaminate, fingerprint, html_extract, langid, line_dedup, lm_score, pii, quality, queries, sentencepiece_codec, simhash
+from densegrid.llm._text import span_hashes
 
 RNG = random.Random(7)
 KEY = b"a key of the tests"
@@ -480,6 +481,35 @@ def test_model_beats_the_base_on_unseen_documents(spark):
     assert row["s"] > row["b"]
 
 
+def test_the_model_is_learned_from_all_documents(spark, sf, monkeypatch):
+    """Topics and network begin from about five documents; words, topics, bytes and the network are of all."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", F.col("text").cast("binary").alias("text")).where("text IS NOT NULL")
+    tokens = [w for r in docs.collect() for w in bytes(r["text"]).lower().split()]
+    count = Counter(tokens)
+    counts = lm_score.corpus_counts(docs)
+    model, figures = lm_score.learn(docs, counts, 5)
+    assert counts.where("word IS NULL").first()["c"] == docs.count() and sum(figures[1].values()) == len(count) + 1
+    words = list(count)
+    buf = np.frombuffer(b"".join(words), np.uint8)
+    e = np.cumsum([len(w) for w in words])
+    s = np.concatenate([[0], e[:-1]])
+    h = span_hashes(buf, s, e)
+    own = np.isin(h, model.single)
+    n = np.array([count[w] for w in words])
+    assert sorted(n[own].tolist()) == sorted(n.tolist())[-lm_score.SINGLES :]
+    seen = np.exp(model.by[0])
+    assert seen.shape == (lm_score.IDS, model.topics) and sum(figures[0].values()) == len(tokens) + docs.count()
+    k = model.classes(h, *lm_score.subwords(buf, s, e))
+    once = [(w, int(z)) for w, z in zip(words, k, strict=True) if count[w] == 1 and z < model.topics]
+    assert np.allclose(model.bytes.table, lm_score.ByteModel(once, model.topics).table, atol=1e-4)
+    monkeypatch.setattr(lm_score, "_fit_all", lambda *_: None)
+    begun, _ = lm_score.learn(docs, counts, 5)
+    made, windows = begun.windows([bytes(r["text"]) for r in docs.collect()])
+    head, tail, empty, target, weight = windows(np.arange(0, made, 3))
+    loss = [m.net.gradients(head, tail, empty, target, weight)[0] for m in (model, begun)]
+    assert loss[0] < loss[1] - 0.1
+
+
 def test_byte_model_is_a_distribution():
     m = lm_score.ByteModel([(b"the", 0), (b"then", 0), (b"und", 1)], 2)
     assert np.allclose((10.0 ** m.table.astype(np.float64)).sum(axis=-1), 1, atol=1e-4)
