@@ -50,3 +50,17 @@ def test_rectangles_of_a_block_are_those_of_its_points():
     tree, p = indexes.RectangleTree(x), x[:30]
     near = set(tree.near(p, 2500).tolist())
     assert near == set().union(*(tree.near(q[None], 2500).tolist() for q in p))
+
+
+def test_features_are_worked_out_once(spark):
+    x, read = R.integers(0, 400, (60, 2)), spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            read.add(batch.num_rows)
+            yield batch
+
+    p = points_of(spark, x)
+    frame = p.frame.mapInArrow(seen, p.frame.schema)
+    assert found(engine.cluster(p.with_frame(frame), ClusterParams(45, 4))) == brute(x, 45, 4)
+    assert read.value == len(x)
