@@ -4,7 +4,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from densegrid.operators import indexes, tiles
+from densegrid.operators import indexes, relational, tiles
 from densegrid.operators.forest import Forest
 from densegrid.params import ClusterParams
 from densegrid.plans import engine
@@ -64,3 +64,28 @@ def test_features_are_worked_out_once(spark):
     frame = p.frame.mapInArrow(seen, p.frame.schema)
     assert found(engine.cluster(p.with_frame(frame), ClusterParams(45, 4))) == brute(x, 45, 4)
     assert read.value == len(x)
+
+
+@pytest.mark.parametrize("weighty", [False, True])
+def test_buckets_meet_block_against_block(spark, monkeypatch, weighty):
+    x = np.concatenate([R.integers(0, 60, (150, 8)), R.integers(0, 400, (60, 8)), R.integers(300, 360, (90, 8))])
+    if weighty:
+        x = np.repeat(x[:150], 3, axis=0)
+    rows, real = [], relational.bucket_blocks
+
+    def spied(points, prm):
+        deal, tasks = real(points, prm)
+
+        def spy(frame):
+            dealt = deal(frame)
+            rows.append((tasks, dealt.groupBy("low", "high").count().agg({"count": "max"}).first()[0]))
+            return dealt
+
+        return spy, tasks
+
+    monkeypatch.setattr(relational, "BUCKET_ROWS", 32)
+    monkeypatch.setattr(relational, "LEAST_ROWS", 32)
+    monkeypatch.setattr(relational, "bucket_blocks", spied)
+    prm = ClusterParams(45, 4, method="bucket_pruned", fold=weighty)
+    assert found(engine.cluster(points_of(spark, x), prm)) == brute(x, 45, 4)
+    assert rows and all(tasks > 10 and most < 120 for tasks, most in rows)
