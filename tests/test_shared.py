@@ -89,3 +89,22 @@ def test_buckets_meet_block_against_block(spark, monkeypatch, weighty):
     prm = ClusterParams(45, 4, method="bucket_pruned", fold=weighty)
     assert found(engine.cluster(points_of(spark, x), prm)) == brute(x, 45, 4)
     assert rows and all(tasks > 10 and most < 120 for tasks, most in rows)
+
+
+def test_reference_takes_no_distances_within_a_tree(monkeypatch):
+    x = np.concatenate([R.integers(0, 60, (1500, 3)), R.integers(300, 360, (1500, 3)), R.integers(0, 400, (60, 3))])
+    coord = pa.array(x.tolist(), pa.list_(pa.int64()))
+    table = pa.table({"id": np.arange(len(x)), "coord": coord, "own": np.ones(len(x), bool)})
+    prm, taken, real = ClusterParams(45, 4, method="reference"), [], tiles.within
+    monkeypatch.setattr(tiles, "within", lambda tile, a, b: taken.append(len(a) * len(b)) or real(tile, a, b))
+    flagged = pa.Table.from_batches(list(tiles.label_tile(table, prm, 3, True)))
+    core = flagged["core"].to_numpy(zero_copy_only=False)
+    rows = pa.Table.from_batches(list(tiles.merge_tile(flagged.append_column("own", table["own"]), prm, 3, True))).to_pylist()
+    assert sum(taken) < len(x) ** 2 // 2
+    near = ((x[:, None] - x[None]) ** 2).sum(axis=2) <= 45 * 45
+    ids = flagged["id"].to_numpy()
+    assert sorted(ids[core].tolist()) == np.flatnonzero(near.sum(axis=1) >= 4).tolist()
+    assert not any(r["kind"] == "link" for r in rows)  # all are own
+    assert {(r["a"], r["b"]) for r in rows if r["kind"] == "name"} == {(i, c) for i, c, role in brute(x, 45, 4) if role == "core"}
+    loose = np.setdiff1d(np.arange(len(x)), ids[core])
+    assert {(r["a"], r["b"]) for r in rows if r["kind"] == "touch"} == {(i, j) for i in loose.tolist() for j in ids[core].tolist() if near[i, j]}
