@@ -57,3 +57,32 @@ def test_long_lists_of_cuts_and_halos_of_core_points(spark):
                 if own or i % 3 == 0:
                     want.add((i, a * 3 + b, own))
     assert {(r["id"], r["tile"], r["own"]) for r in dealt.collect()} == want
+
+
+@pytest.mark.parametrize("rho", [0.02, 0.4])
+def test_approximate_checks_by_blocks(monkeypatch, rho):
+    """Cells of few points are not checked pair by pair; the links join what one pair after the other joins."""
+    x = np.concatenate([R.integers(0, 400, (500, 8)), np.repeat(R.integers(0, 400, (20, 8)), 3, axis=0) + R.integers(0, 9, (60, 8))])
+    prm, core = ClusterParams(140, 2, method="grid_approx", rho=rho), R.random(len(x)) < 0.9
+    rows = pa.table({"id": pa.array(range(len(x)), pa.int64()), "coord": pa.array(x.tolist(), pa.list_(pa.int64())), "own": pa.array([True] * len(x)), "core": pa.array(core)})
+    made, real = [], tiles.merge_test
+
+    def spy(tile, core):
+        check = real(tile, core)
+        one = lambda a, b: made.append((a, b)) or check(a, b)
+        one.among = check.among
+        return one
+
+    def trees():
+        root = list(range(len(x)))
+        for r in pa.Table.from_batches(list(merge_tile(rows, prm, 8, True))).to_pylist():
+            if r["kind"] == "link":
+                a, b = root[r["a"]], root[r["b"]]
+                root = [min(a, b) if c in (a, b) else c for c in root]
+        return root
+
+    monkeypatch.setattr(tiles, "merge_test", spy)
+    got = trees()
+    assert not made and 1 < len({got[i] for i in np.flatnonzero(core)})
+    monkeypatch.setattr(tiles.ProductMeeting, "FEW", 0)
+    assert trees() == got and made
